@@ -5,10 +5,25 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from forkline.llm.common import shared_folder, table
 
 
+def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.repeats import line_dedup
+
+    kept = line_dedup(table(spark, sf_dir, "documents"), run=2, long_line=50)
+    return kept.select("doc_id", F.col("n_units").alias("n_lines"), "n_removed", F.sha2("text", 256).alias("kept_sha256"))
+
+
+def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.repeats import substring_dedup
+
+    kept = substring_dedup(table(spark, sf_dir, "documents"), width=13)
+    return kept.select("doc_id", F.col("n_units").alias("n_words"), "n_removed", F.sha2("text", 256).alias("kept_sha256"))
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.packing import pack, pieces_digest
 
@@ -24,8 +39,59 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_line_dedup": op1_line_dedup,
+    "op2_substring_dedup": op2_substring_dedup,
     "op7_packing": op7_packing,
     "op10_token_files": op10_token_files,
 }
 
-ORACLES: dict[str, str] = {}
+#: The characters that part words, for SQL.
+_WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
+
+_OP1 = r"""
+WITH lines AS (
+  SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line,
+         generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS nr
+  FROM documents),
+worded AS (
+  SELECT doc_id, line, nr, row_number() OVER (PARTITION BY doc_id ORDER BY nr) AS pos,
+         count(*) OVER (PARTITION BY doc_id) AS n_lines,
+         lead(line) OVER (PARTITION BY doc_id ORDER BY nr) AS next_line,
+         len(regexp_extract_all(line, '[^\x20\x09-\x0D]+')) AS n_words
+  FROM lines WHERE regexp_matches(line, '[^\x20\x09-\x0D]')),
+windows AS (
+  SELECT doc_id, pos, 2 AS size, line || chr(10) || next_line AS run FROM worded WHERE next_line IS NOT NULL
+  UNION ALL SELECT doc_id, pos, 1, '1' || line FROM worded WHERE n_lines = 1
+  UNION ALL SELECT doc_id, pos, 1, '1' || line FROM worded WHERE n_words >= 50 AND n_lines > 1),
+firsts AS (
+  SELECT *, min((doc_id, pos)) OVER (PARTITION BY size, run) AS earliest FROM windows),
+late AS (SELECT doc_id, pos, size FROM firsts WHERE earliest < (doc_id, pos)),
+gone AS (
+  SELECT DISTINCT doc_id, pos FROM late UNION SELECT doc_id, pos + 1 FROM late WHERE size = 2),
+kept AS (
+  SELECT l.doc_id, string_agg(l.line, chr(10) ORDER BY l.nr) AS text
+  FROM lines l LEFT JOIN worded w USING (doc_id, nr) LEFT JOIN gone g ON g.doc_id = w.doc_id AND g.pos = w.pos
+  WHERE g.pos IS NULL GROUP BY l.doc_id)
+SELECT d.doc_id, coalesce(n.n_lines, 0) AS n_lines, coalesce(g.n, 0) AS n_removed, sha256(coalesce(k.text, '')) AS kept_sha256
+FROM documents d LEFT JOIN (SELECT doc_id, count(*) AS n_lines FROM worded GROUP BY doc_id) n USING (doc_id)
+LEFT JOIN (SELECT doc_id, count(*) AS n FROM gone GROUP BY doc_id) g USING (doc_id)
+LEFT JOIN kept k USING (doc_id)
+"""
+
+_OP2 = rf"""
+WITH texts AS (SELECT doc_id, {_WORDS} AS words FROM documents),
+starts AS (
+  SELECT doc_id, i, array_to_string(words[i : i + 12], ' ') AS run
+  FROM (SELECT doc_id, words, unnest(range(1, len(words) - 11)) AS i FROM texts)),
+late AS (
+  SELECT doc_id, i FROM (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY run) AS least FROM starts) WHERE least < doc_id),
+gone AS (SELECT DISTINCT doc_id, i + k AS i FROM late, range(13) r(k)),
+words AS (SELECT doc_id, unnest(words) AS word, generate_subscripts(words, 1) AS i FROM texts),
+kept AS (
+  SELECT doc_id, count(*) AS n, string_agg(word, ' ' ORDER BY i) AS text
+  FROM words w ANTI JOIN gone g USING (doc_id, i) GROUP BY doc_id)
+SELECT t.doc_id, len(words)::BIGINT AS n_words, (len(words) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(text, '')) AS kept_sha256
+FROM texts t LEFT JOIN kept USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {"op1_line_dedup": _OP1, "op2_substring_dedup": _OP2}

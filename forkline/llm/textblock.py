@@ -116,17 +116,21 @@ def blocks(texts: pa.Array | pa.ChunkedArray, most: int = 1 << 20) -> Iterator[t
         at += len(chunk)
 
 
-def windows(h: np.ndarray, owner: np.ndarray, width: int, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each ``width`` consecutive units and whether they all belong to one text; both of length ``len(h) - width + 1``."""
+def windows(h: np.ndarray, owner: np.ndarray, width: int, second: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Hash of each ``width`` consecutive units and whether they all belong to one text; both of length ``len(h) - width + 1``.
+
+    ``second`` takes an independent polynomial.
+    """
     n = len(h) - width + 1
     if n <= 0:
         return np.zeros(0, np.uint64), np.zeros(0, bool)
+    base = np.uint64(0xC2B2AE3D27D4EB4F) if second else _BASE
     with np.errstate(over="ignore"):
         acc = h[width - 1 :].copy()
         for j in range(width - 2, -1, -1):
-            acc *= _BASE
+            acc *= base
             acc += h[j : j + n]
-    return mix(acc, salt + width), owner[:n] == owner[width - 1 :]
+    return mix(acc, width), owner[:n] == owner[width - 1 :]
 
 
 def pack40(h: np.ndarray) -> bytes:
