@@ -24,6 +24,12 @@ def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", F.col("n_units").alias("n_words"), "n_removed", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op3_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.simhash import simhash_groups
+
+    return simhash_groups(table(spark, sf_dir, "documents"), shingle=3, radius=2)
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.packing import pack, pieces_digest
 
@@ -41,6 +47,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
     "op2_substring_dedup": op2_substring_dedup,
+    "op3_simhash_groups": op3_simhash_groups,
     "op7_packing": op7_packing,
     "op10_token_files": op10_token_files,
 }
