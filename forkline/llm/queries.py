@@ -36,6 +36,13 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces_digest(pack(table(spark, sf_dir, "documents"), "byte_bpe_50k.json", sequence_length=1024, end_id=0))
 
 
+def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.secrets import scan_secrets
+
+    found = scan_secrets(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans", "n_random")
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.token_files import documents_digest, read_token_files, write_token_files
 
@@ -49,6 +56,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_substring_dedup": op2_substring_dedup,
     "op3_simhash_groups": op3_simhash_groups,
     "op7_packing": op7_packing,
+    "op8_secret_scan": op8_secret_scan,
     "op10_token_files": op10_token_files,
 }
 
