@@ -1,14 +1,17 @@
-"""Fast use of a public ``tokenizers`` vocabulary: ids of whole texts from cached space-separated pieces.
+"""Fast use of a public ``tokenizers`` vocabulary, with the very ids that the library gives.
 
-No pre-token of the two vocabularies spans a single space or line feed that stands between
-two non-space characters, except that the byte-level one carries the space in front. So the
-ids of a text are those of its pieces in a row. A text with white space in any other place
-is encoded whole, where the vocabulary keeps white space.
+* Byte-level files: merged by tiktoken under ranks taken from the same file. A probe compares
+  both libraries' ids at the start; where they differ, the tokenizers library does the work.
+* Files that drop white space: no pre-token spans a space, so the ids of a text are those of
+  its space-separated pieces in a row, and pieces are cached. New ones are encoded by the
+  tokenizers library, many in a call.
 """
 
 from __future__ import annotations
 
+import json
 import os
+from collections.abc import Callable
 
 import numpy as np
 
@@ -18,8 +21,36 @@ from forkline.llm.common import tokenizer_file
 GENERATION, CACHED_CHARS = 300_000, 48
 
 
-class PieceEncoder:
-    """Ids of texts as little-endian bytes of ``dtype``; its cache is bounded by two generations of pieces."""
+_PROBE = " the Word don't 12345 naïve ßtraße ééé... \n  two  spaces\ttab %%% θλ 漢字 zzzzqqqq\n\n\nend "
+
+
+def _byte_letters() -> dict[str, int]:
+    """The letter that stands for each byte in byte-level vocabulary files: itself if it prints, else the next from U+0100."""
+    prints = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in set(prints)]
+    return {chr(b): b for b in prints} | {chr(256 + i): b for i, b in enumerate(rest)}
+
+
+def _merger(path: str, tokenizer) -> Callable[[str], np.ndarray] | None:
+    """tiktoken's encoder of a byte-level file whose ids are its merge ranks, or None."""
+    try:
+        import tiktoken
+    except ImportError:
+        return None
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    if (spec.get("pre_tokenizer") or {}).get("type") != "ByteLevel" or spec.get("normalizer"):
+        return None
+    import public_tokenizers
+
+    letters, special = _byte_letters(), {t["content"] for t in spec["added_tokens"]}
+    ranks = {bytes(letters[c] for c in token): i for token, i in spec["model"]["vocab"].items() if token not in special}
+    fast = tiktoken.Encoding("from-file", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_to_numpy
+    return fast if fast(_PROBE).tolist() == tokenizer.encode(_PROBE, add_special_tokens=False).ids else None
+
+
+class Encoder:
+    """Ids of texts as little-endian bytes of ``dtype``."""
 
     def __init__(self, vocabulary: str, dtype: str = "<u4"):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -28,95 +59,83 @@ class PieceEncoder:
         self.tokenizer = Tokenizer.from_file(tokenizer_file(vocabulary))
         self.tokenizer.encode_special_tokens = True
         self.dtype, self.step = dtype, np.dtype(dtype).itemsize
-        self.keeps_space = len(self._ids("a ")) > 1
-        self.mark = "\n" if self.keeps_space else "\x00"
-        self.mark_id = self._ids(f"a{self.mark}b")[1]
-        self.new: dict[str, bytes | None] = {}
-        self.old: dict[str, bytes | None] = {}
 
-    def _ids(self, text: str) -> list[int]:
+    def ids(self, text: str) -> list[int]:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
     def whole(self, text: str) -> bytes:
-        return np.array(self._ids(text), dtype=self.dtype).tobytes()
-
-    def _bulk(self, pieces: list[str], lead: str, out: dict[str, bytes | None], key: str) -> None:
-        """Ids of many pieces in one call, parted by a mark that no piece holds; they are kept as ``key + piece``."""
-        glue = self.mark + lead if self.keeps_space else f" {self.mark} "
-        before = self.whole(key) if key else b""
-        for i in range(0, len(pieces), 4000):
-            some = pieces[i : i + 4000]
-            ids = np.array(self._ids(lead + glue.join(some)), dtype=self.dtype)
+        return np.array(self.ids(text), dtype=self.dtype).tobytes()
+
+    def __call__(self, texts: list[str]) -> list[bytes]:
+        return [self.whole(t) for t in texts]
+
+
+class MergedEncoder(Encoder):
+    """For a byte-level vocabulary: tiktoken under the ranks of the same file."""
+
+    def __call__(self, texts: list[str]) -> list[bytes]:
+        return [self.merge(t).astype(self.dtype).tobytes() for t in texts]
+
+
+class PieceEncoder(Encoder):
+    """For a vocabulary that drops white space: ids of space-separated pieces, kept in two bounded generations."""
+
+    MARK = "\x00"
+
+    def __init__(self, vocabulary: str, dtype: str = "<u4"):
+        super().__init__(vocabulary, dtype)
+        self.mark_id = self.ids(f"a {self.MARK} b")[1]
+        self.new: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def _learn(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of many pieces in one call, parted by a mark that no piece holds."""
+        out: dict[str, bytes] = {}
+        plain = [p for p in pieces if self.MARK not in p and p.strip()]
+        for i in range(0, len(plain), 4000):
+            some = plain[i : i + 4000]
+            ids = np.array(self.ids(f" {self.MARK} ".join(some)), dtype=self.dtype)
             cuts = (np.flatnonzero(ids == self.mark_id) * self.step).tolist()
-            flat = ids.tobytes()
             if len(cuts) != len(some) - 1:
-                for p in some:
-                    out[key + p] = before + self.whole(lead + p)
                 continue
-            at = 0
+            flat, at = ids.tobytes(), 0
             for p, cut in zip(some, [*cuts, len(flat)], strict=True):
-                out[key + p] = before + flat[at:cut]
+                out[p] = flat[at:cut]
                 at = cut + self.step
-
-    def _learn(self, pieces: list[str]) -> dict[str, bytes | None]:
-        """None stands for a piece whose neighbours matter, so that its text has to be encoded whole."""
-        out: dict[str, bytes | None] = {}
-        if not self.keeps_space:
-            plain = [p for p in pieces if p.strip() and self.mark not in p]
-            self._bulk(plain, "", out, "")
-            for p in pieces:
-                if p not in out:
-                    out[p] = self.whole(p)
-            return out
-        inner, opening = [], []
         for p in pieces:
-            if not p or p == "\n" or p[-1].isspace() or (p[0].isspace() and (p[0] != "\n" or p[1].isspace())):
-                out[p] = None
-            elif p[0] == "\n":
-                opening.append(p[1:])
-            else:
-                inner.append(p)
-        self._bulk(inner, " ", out, "")
-        self._bulk(opening, "", out, "\n")
+            if p not in out:
+                out[p] = self.whole(p)
         return out
 
-    def _split(self, text: str) -> list[str]:
-        return text.replace("\n", " \n").split(" ") if self.keeps_space else text.replace("\n", " ").split(" ")
-
     def __call__(self, texts: list[str]) -> list[bytes]:
-        pieces = [self._split(t) for t in texts]
-        # a byte-level text opens without a space in front
-        rest = [p[1:] for p in pieces] if self.keeps_space else pieces
-        missing = set().union(*rest).difference(self.new)
-        known = self.new
+        pieces = [t.replace("\n", " ").split(" ") for t in texts]
+        missing = set().union(*pieces).difference(self.new)
         if missing:
             again = {p: self.old[p] for p in missing if p in self.old}
-            learned = self._learn(list(missing.difference(again)))
-            long = {p: b for p, b in learned.items() if len(p) > CACHED_CHARS}
-            known = self.new
-            known.update(again)
-            known.update(learned)
-        out = []
-        for text, own, body in zip(texts, pieces, rest, strict=True):
-            try:
-                ids = b"".join(map(known.__getitem__, body))
-                out.append((self.whole(own[0]) if own[0] else b"") + ids if self.keeps_space else ids)
-            except TypeError:
-                out.append(self.whole(text))
-        if missing:
-            for p in long:
-                known.pop(p, None)
-            if len(known) > GENERATION:
-                self.old, self.new = known, {}
+            self.new.update(again)
+            self.new.update(self._learn(list(missing.difference(again))))
+        out = [b"".join(map(self.new.__getitem__, own)) for own in pieces]
+        for p in missing:
+            if len(p) > CACHED_CHARS:
+                del self.new[p]
+        if len(self.new) > GENERATION:
+            self.old, self.new = self.new, {}
         return out
 
 
-_encoders: dict[tuple[str, str], PieceEncoder] = {}
+_encoders: dict[tuple[str, str], Encoder] = {}
 
 
-def encoder(vocabulary: str, dtype: str = "<u4") -> PieceEncoder:
+def encoder(vocabulary: str, dtype: str = "<u4") -> Encoder:
     """This worker's encoder; its cache lasts over tasks."""
     key = (vocabulary, dtype)
     if key not in _encoders:
-        _encoders[key] = PieceEncoder(vocabulary, dtype)
+        plain = Encoder(vocabulary, dtype)
+        merge = _merger(tokenizer_file(vocabulary), plain.tokenizer)
+        if merge is not None:
+            plain = MergedEncoder(vocabulary, dtype)
+            plain.merge = merge
+        elif not plain.ids(" ") and plain.ids("a b") == plain.ids("a") + plain.ids("b"):
+            plain = PieceEncoder(vocabulary, dtype)
+        _encoders[key] = plain
     return _encoders[key]
