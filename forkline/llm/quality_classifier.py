@@ -38,6 +38,7 @@ class Settings:
     bits: int = 16
     orders: tuple[int, ...] = (3, 4)
     epochs: int = 5
+    least_steps: int = 25_000
     rate: float = 0.5
     sample: int = 4000
     longest: int = 200_000
@@ -107,8 +108,9 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> Mode
     for t in texts:
         ids, _ = features([t], s)
         bags.append(np.unique(ids, return_counts=True))
-    steps, done = s.epochs * len(texts), 0
-    for _ in range(s.epochs):
+    epochs = max(s.epochs, -(-s.least_steps // len(texts)))
+    steps, done = epochs * len(texts), 0
+    for _ in range(epochs):
         for i in rng.permutation(len(texts)).tolist():
             rate = s.rate * (1 - done / steps)
             done += 1
