@@ -30,6 +30,13 @@ def op3_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(table(spark, sf_dir, "documents"), shingle=3, radius=2)
 
 
+def op5_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.line_quality import fit, judge
+
+    docs = table(spark, sf_dir, "documents")
+    return judge(docs, fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.decontaminate import decontaminate
 
@@ -71,6 +78,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
     "op2_substring_dedup": op2_substring_dedup,
     "op3_simhash_groups": op3_simhash_groups,
+    "op5_line_quality": op5_line_quality,
     "op6_decontamination": op6_decontamination,
     "op7_packing": op7_packing,
     "op8_secret_scan": op8_secret_scan,
