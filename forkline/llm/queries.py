@@ -30,6 +30,13 @@ def op3_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(table(spark, sf_dir, "documents"), shingle=3, radius=2)
 
 
+def op4_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from forkline.llm.language_model import score
+
+    held_out = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 7 == 2
+    return score(table(spark, sf_dir, "documents"), held_out)
+
+
 def op5_line_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.line_quality import fit, judge
 
@@ -78,6 +85,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_line_dedup": op1_line_dedup,
     "op2_substring_dedup": op2_substring_dedup,
     "op3_simhash_groups": op3_simhash_groups,
+    "op4_language_model": op4_language_model,
     "op5_line_quality": op5_line_quality,
     "op6_decontamination": op6_decontamination,
     "op7_packing": op7_packing,
