@@ -39,8 +39,9 @@ def through_disk(df: DataFrame, kind: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", extra: list[str] | None = None) -> DataFrame:
     return docs.select(
+        *(extra or []),
         F.col(id_col).cast("bigint").alias("doc_id"),
         F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"),
     )
@@ -85,3 +86,19 @@ def tokenizer_file(name: str) -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
+
+
+#: Rows of fixed width (16 bytes) that are broadcast at most; more are shuffled.
+BROADCAST_ROWS = 2_000_000
+
+
+def without(docs: DataFrame, bad: DataFrame, on: dict[str, str]) -> DataFrame:
+    """``docs`` without the rows that ``bad`` names, null-safe; ``on`` maps expressions over ``docs`` to columns of ``bad``."""
+    keys = through_disk(bad.select(*(F.col(c).alias(f"__bad_{i}") for i, c in enumerate(on.values()))).distinct(), "bad")
+    if keys.count() <= BROADCAST_ROWS:
+        keys = F.broadcast(keys)
+    same = None
+    for i, expression in enumerate(on):
+        one = F.expr(expression).eqNullSafe(F.col(f"__bad_{i}"))
+        same = one if same is None else same & one
+    return docs.join(keys, same, "left_anti")

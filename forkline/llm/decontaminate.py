@@ -12,8 +12,9 @@ shared is one: the rarest. The plan:
 3. candidates fetch their document's words and are compared word by word;
 4. overlapping hits become covered words by one sort within each document.
 
-The benchmark's shingles are broadcast if there are at most ``BROADCAST_ROWS`` of them
-(16 bytes each), else they are shuffled like the rest.
+The benchmark's shingles, and the keys of the documents with candidates, are broadcast if
+there are at most ``BROADCAST_ROWS`` of them (8 and 16 bytes each), else they are shuffled
+like the rest.
 
 Null texts have no words; items without words or without an id match nothing; items of one id
 count as one; documents of equal or null ids are judged apart, by their text; an empty table
@@ -25,11 +26,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import through_disk
+from forkline.llm.common import BROADCAST_ROWS, through_disk
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-BROADCAST_ROWS = 2_000_000
 
 
 def words_of(text: Column) -> Column:
@@ -53,7 +53,7 @@ def item_windows(items: DataFrame, width: int, id_col: str, text_col: str) -> Da
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
-    """``(doc_id, n_words, n_hit, item_ids, contaminated)`` for each document; ``item_ids`` are strings in order."""
+    """``(doc_id, n_words, n_hit, item_ids, contaminated, text_hash)`` for each document; ``item_ids`` are strings in order."""
     texts = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     texts = texts.withColumn("rid", F.coalesce("doc_id", F.lit(-1))).withColumn("tid", F.xxhash64("text"))
     spelt = texts.select("doc_id", "rid", "tid", words_of(F.col("text")).alias("words"))
@@ -62,7 +62,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
     sizes = sorted(r["size"] for r in windows.select("size").distinct().collect())  # of 1, 2 and 3
     base = spelt.select("doc_id", "rid", "tid", F.size("words").alias("n_words"))
     if not sizes:
-        return base.select("doc_id", F.col("n_words").cast("bigint").alias("n_words"), F.lit(0).cast("bigint").alias("n_hit"), F.array().cast("array<string>").alias("item_ids"), F.lit(False).alias("contaminated"))
+        return base.select("doc_id", F.col("n_words").cast("bigint").alias("n_words"), F.lit(0).cast("bigint").alias("n_hit"), F.array().cast("array<string>").alias("item_ids"), F.lit(False).alias("contaminated"), F.col("tid").alias("text_hash"))
 
     tokens = None
     for size in sizes:
@@ -91,7 +91,10 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
         .distinct()
     )
     candidates = through_disk(candidates.drop("n_words"), "candidates")
-    suspects = spelt.select("rid", "tid", "words").join(candidates.select("rid", "tid").distinct(), ["rid", "tid"], "left_semi").dropDuplicates(["rid", "tid"])
+    keys = through_disk(candidates.select("rid", "tid").distinct(), "suspects")
+    if keys.count() <= BROADCAST_ROWS:
+        keys = F.broadcast(keys)
+    suspects = texts.join(keys, ["rid", "tid"], "left_semi").dropDuplicates(["rid", "tid"]).select("rid", "tid", words_of(F.col("text")).alias("words"))
     verified = candidates.join(suspects, ["rid", "tid"]).where(F.slice("words", F.col("start") + 1, F.col("len")) == F.col("window")).select("rid", "tid", "item_id", "start", (F.col("start") + F.col("len")).alias("end"))
     verified = through_disk(verified, "verified")
 
@@ -107,4 +110,5 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
         F.coalesce("n_hit", F.lit(0)).cast("bigint").alias("n_hit"),
         F.coalesce("item_ids", F.array().cast("array<string>")).alias("item_ids"),
         F.col("n_hit").isNotNull().alias("contaminated"),
+        F.col("tid").alias("text_hash"),
     )

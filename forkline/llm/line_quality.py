@@ -238,6 +238,13 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), lab
 SCHEMA = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_content_words")), ("base_failed", pa.bool_()), ("kept", pa.bool_())])
 
 
+def verdict(c: Counts, content: np.ndarray, settings: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Words in content lines, whether the base rules fail, and whether the text is kept."""
+    n_content = np.bincount(c.line_doc, weights=c.line_words * content, minlength=len(c.n_words)).astype(np.int64)
+    failed = (c.n_words < LEAST_WORDS) | (100 * c.n_repeat_words > MOST_REPEATED * c.n_words)
+    return n_content, failed, ~failed & (n_content >= settings.content_share * c.n_words)
+
+
 def judge(docs: DataFrame, field: Field, settings: Settings = Settings(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The base counts, the words in content lines, ``base_failed`` and ``kept`` for every document."""
     shared = docs.sparkSession.sparkContext.broadcast(field)  # some dozens of numbers
@@ -247,10 +254,26 @@ def judge(docs: DataFrame, field: Field, settings: Settings = Settings(), id_col
             for first, block in blocks(batch.column(1)):
                 c = Counts(block)
                 content = viterbi(c.features @ shared.value.unary, c.line_doc, block.n_docs, shared.value)
-                n_content = np.bincount(c.line_doc, weights=c.line_words * content, minlength=block.n_docs).astype(np.int64)
-                failed = (c.n_words < LEAST_WORDS) | (100 * c.n_repeat_words > MOST_REPEATED * c.n_words)
-                kept = ~failed & (n_content >= settings.content_share * c.n_words)
+                n_content, failed, kept = verdict(c, content, settings)
                 columns = [c.n_words, c.word_chars, c.n_symbols, c.n_dup_lines, c.n_repeat_words, n_content]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, block.n_docs), *(pa.array(x.astype(np.int64)) for x in columns), pa.array(failed), pa.array(kept)], schema=SCHEMA)
 
     return id_and_text(docs, id_col, text_col).mapInArrow(task, "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_content_words bigint, base_failed boolean, kept boolean")
+
+
+def keep_good(docs: DataFrame, field: Field, settings: Settings = Settings(), text_col: str = "text") -> DataFrame:
+    """Rows of ``docs`` that ``judge`` keeps, with all their columns."""
+    shared = docs.sparkSession.sparkContext.broadcast(field)
+    at = docs.columns.index(text_col)
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            kept = []
+            for _, block in blocks(batch.column(at)):
+                c = Counts(block)
+                content = viterbi(c.features @ shared.value.unary, c.line_doc, block.n_docs, shared.value)
+                kept.append(verdict(c, content, settings)[2])
+            if kept:
+                yield batch.filter(pa.array(np.concatenate(kept)))
+
+    return docs.mapInArrow(task, docs.schema)

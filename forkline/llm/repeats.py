@@ -37,6 +37,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from forkline.llm.common import Grid, id_and_text, into_chunks, volume
 from forkline.llm.textblock import SPACE, blocks, bucket_of, by_bucket, contained, mix, pack40, unpack40, windows
@@ -179,9 +180,14 @@ def _groups(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return order, np.flatnonzero(np.concatenate([[True], s[1:] != s[:-1]])) if len(s) else np.zeros(0, np.int64)
 
 
-def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit: float, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(doc_id, n_units, n_removed, text, removed)``; ``removed`` lists first and past-last unit of each run that went."""
-    texts = id_and_text(docs, id_col, text_col)
+def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit: float, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
+    """``(doc_id, n_units, n_removed, text, removed)``; ``removed`` lists first and past-last unit of each run that went.
+
+    Columns named in ``carry`` follow as ``carry_0`` and so on.
+    """
+    extra = [(f"carry_{i}", docs.schema[c].dataType.simpleString()) for i, c in enumerate(carry)]
+    own = docs.select(F.col(id_col), F.col(text_col), *(F.col(c).alias(n) for c, (n, _) in zip(carry, extra, strict=True)))
+    texts = id_and_text(own, id_col, text_col, [n for n, _ in extra])
     grid = Grid(*volume(texts), bytes_per_unit)
     buckets = grid.buckets
     chunked = into_chunks(texts, grid.chunks)
@@ -267,7 +273,7 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
 
     def strike(t: pa.Table, answers: pa.Table) -> pa.Table:
         if not t.num_rows:
-            return RESULT.empty_table()
+            return pa.table([*(c for c in RESULT.empty_table().columns), *(t.column(n) for n, _ in extra)], names=[*RESULT.names, *(n for n, _ in extra)])
         u = units.read(t.column("text"))
         key, _, first, size = units.windows(u)
         ids = _ids(t)
@@ -294,13 +300,13 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
                 own = gone[edges[row0 + i] : edges[row0 + i + 1]] if n_gone[row0 + i] else None
                 texts.append(units.keep(block.text(i), own))
                 removed.append([] if own is None else np.flatnonzero(np.diff(np.concatenate([[False], own, [False]]).astype(np.int8))).tolist())
-        return pa.table([t.column("doc_id").cast(pa.int64()), pa.array(np.diff(edges), pa.int64()), pa.array(n_gone, pa.int64()), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(removed, pa.list_(pa.int32()))], schema=RESULT)
+        return pa.table([t.column("doc_id").cast(pa.int64()), pa.array(np.diff(edges), pa.int64()), pa.array(n_gone, pa.int64()), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(removed, pa.list_(pa.int32())), *(t.column(n) for n, _ in extra)], names=[*RESULT.names, *(n for n, _ in extra)])
 
     by_chunk = chunked.groupBy("chunk")
     live = by_chunk.applyInArrow(send, ddl(SENT)).groupBy("bucket").applyInArrow(find_live, ddl(ANSWER))
     placed = by_chunk.cogroup(live.groupBy("chunk")).applyInArrow(place, ddl(PLACED))
     earlier = placed.groupBy("bucket").applyInArrow(find_earlier, ddl(ANSWER))
-    return by_chunk.cogroup(earlier.groupBy("chunk")).applyInArrow(strike, ddl(RESULT))
+    return by_chunk.cogroup(earlier.groupBy("chunk")).applyInArrow(strike, ", ".join([ddl(RESULT), *(f"{n} {kind}" for n, kind in extra)]))
 
 
 def substring_dedup(docs: DataFrame, width: int = 13, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -308,10 +314,10 @@ def substring_dedup(docs: DataFrame, width: int = 13, id_col: str = "doc_id", te
     return remove_repeats(docs, WordUnits(width), 6.5, id_col, text_col)
 
 
-def line_dedup(docs: DataFrame, run: int = 2, long_line: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def line_dedup(docs: DataFrame, run: int = 2, long_line: int = 50, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """Delete lines of a run of ``run`` lines, or a line of ``long_line`` words, that occurs earlier by (id, line).
 
     Lines without a word are no part of a run and stay. A text of fewer lines than ``run``
     is one run, compared with such texts only.
     """
-    return remove_repeats(docs, LineUnits(run, long_line), 150.0, id_col, text_col)
+    return remove_repeats(docs, LineUnits(run, long_line), 150.0, id_col, text_col, carry)

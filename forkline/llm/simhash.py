@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from forkline.llm.common import id_and_text, through_disk
 from forkline.llm.components import components
-from forkline.llm.textblock import blocks
+from forkline.llm.textblock import blocks, mix
 
 SEED = 42
 #: Fingerprints that steer the choice of thresholds, and members of a key that one run compares.
@@ -51,9 +51,9 @@ def _fingerprints(buffer: bytes, starts: list[int], ends: list[int], owner_edges
     some = np.flatnonzero(size)
     if not len(some):
         return out
+    base = np.fromiter((xxh64_intdigest(buffer[a:b], SEED) for a, b in zip(starts, ends, strict=True)), np.uint64, len(starts))
     for k in range(words):
-        seed = SEED + k
-        h = np.fromiter((xxh64_intdigest(buffer[a:b], seed) for a, b in zip(starts, ends, strict=True)), np.uint64, len(starts))
+        h = mix(base, k) if k else base
         i = 0
         while i < len(some):  # so many texts that their bits take some megabytes
             j = max(i + 1, int(np.searchsorted(owner_edges[some], owner_edges[some[i]] + 40_000, side="left")))
@@ -157,16 +157,16 @@ def thresholds(values: list[np.ndarray], widths: list[int], radius: int, total:
     return best.get(radius + 1, (math.inf, []))
 
 
-def choose(sample: np.ndarray, bits: int, radius: int, total: int, most_parts: int) -> list[tuple[np.ndarray, int]]:
+def choose(sample: np.ndarray, bits: int, sure: int, total: int, parts_tried: range) -> list[tuple[np.ndarray, int]]:
     """Bit groups with their thresholds, of the cheapest number of partitions."""
     as_bits = np.unpackbits(sample.view(np.uint8), axis=1, bitorder="little").reshape(len(sample), bits)
     found = (math.inf, [])
-    for parts in range(1, most_parts + 1):
+    for parts in parts_tried:
         if bits / parts > 60:
             continue
         groups = bit_groups(as_bits, parts)
         values = [(as_bits[:, g].astype(np.uint64) << np.arange(len(g), dtype=np.uint64)).sum(1, dtype=np.uint64) for g in groups]
-        c, t = thresholds(values, [len(g) for g in groups], radius, total)
+        c, t = thresholds(values, [len(g) for g in groups], sure, total)
         if c < found[0]:
             found = (c, [(g, x) for g, x in zip(groups, t, strict=True) if x >= 0])
     if not found[1]:
@@ -228,15 +228,18 @@ def forest(ids: np.ndarray, f: np.ndarray, radius: int) -> list[tuple[int, int]]
     return edges
 
 
-def links(classes: DataFrame, words: int, radius: int, most_parts: int) -> DataFrame:
-    """``(a, b)``: enough links among distinct fingerprints ``(id, f0, ...)`` to connect all that are within ``radius``."""
+def links(classes: DataFrame, words: int, radius: int, sure: int, parts: range) -> DataFrame:
+    """``(a, b)``: enough links among distinct fingerprints ``(id, f0, ...)`` to connect all that are within ``sure`` bits.
+
+    Links of up to ``radius`` bits are taken where the partitions find them.
+    """
     names = [f"f{k}" for k in range(words)]
     total = classes.count()
     bits = 64 * words
     rows = classes.select(*names).orderBy(F.xxhash64(*names)).limit(PLAN_SAMPLE).toPandas()
     if len(rows) == 0:
         return classes.select(F.col("id").alias("a"), F.col("id").alias("b")).limit(0)
-    plan = choose(np.ascontiguousarray(rows.to_numpy(np.int64)).view(np.uint64), bits, radius, total, most_parts)
+    plan = choose(np.ascontiguousarray(rows.to_numpy(np.int64)).view(np.uint64), bits, sure, total, parts)
 
     def key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -291,12 +294,13 @@ def links(classes: DataFrame, words: int, radius: int, most_parts: int) -> DataF
     return near.unionByName(meets)
 
 
-def near_duplicate_groups(prints: DataFrame, words: int, radius: int, most_parts: int = 3) -> DataFrame:
+def near_duplicate_groups(prints: DataFrame, words: int, radius: int, sure: int | None = None, parts: range | None = None) -> DataFrame:
     """``prints`` with ``component_id``. ``prints(doc_id, f0, ...)`` is read several times: write it first."""
+    sure = radius if sure is None else sure
     names = [f"f{k}" for k in range(words)]
     classes = through_disk(prints.groupBy(*names).agg(F.min("doc_id").alias("id")), "fingerprints")
     known = classes.where("id IS NOT NULL")
-    reached = components(links(known, words, radius, most_parts))
+    reached = components(links(known, words, radius, sure, parts or range(1, sure + 2)))
     named = classes.join(reached, "id", "left").select(*names, F.coalesce("component", "id").alias("component_id"))
     return prints.join(named, names)
 
@@ -304,5 +308,23 @@ def near_duplicate_groups(prints: DataFrame, words: int, radius: int, most_parts
 def simhash_groups(docs: DataFrame, shingle: int = 3, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, fingerprint, component_id)`` of 64-bit fingerprints linked within ``radius`` bits."""
     prints = through_disk(fingerprints(docs, shingle, 1, id_col, text_col), "simhash")
-    found = near_duplicate_groups(prints, 1, radius, radius + 1)
+    found = near_duplicate_groups(prints, 1, radius)
     return found.select("doc_id", F.lpad(F.lower(F.hex("f0")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def similar_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, words: int = 6, width: int = 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(doc_id, component_id)`` of texts whose shingles are estimated to have a Jaccard similarity of ``similarity`` or more.
+
+    Two multisets of Jaccard similarity J have a cosine of about 2J / (1 + J), and SimHash bits
+    differ at the rate of the angle over pi; with ``64 * words`` bits the estimate of J has a
+    standard error of 0.02 to 0.03. The bits are dealt to ``64 * words // width`` partitions, so
+    that a link is found for sure if fewer bits than partitions differ (23 of 384: similarity
+    0.92). A link of lower similarity is found if one partition agrees: by expectation 99 % of
+    links at 0.9 and 83 % at 0.8, more for groups, whose members may be linked through others.
+    """
+    bits = 64 * words
+    cosine = 2 * similarity / (1 + similarity)
+    parts = bits // width
+    prints = through_disk(fingerprints(docs, shingle, words, id_col, text_col), "simhash")
+    found = near_duplicate_groups(prints, words, int(bits * math.acos(cosine) / math.pi), parts - 1, range(parts, parts + 1))
+    return found.select("doc_id", "component_id")
