@@ -1,5 +1,76 @@
-"""Corpus pipeline (stages follow)."""
+"""Corpus pipeline: quality rules, line dedup, near-duplicate removal, benchmark decontamination, packing.
+
+Each stage takes (spark, docs, sf_dir), works on every row it gets and returns a DataFrame,
+which is written as Parquet and read again for the next one. All but the last return the
+columns of ``documents``; the last returns the pieces of packed sequences with their ids.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from forkline.llm.common import table, through_disk, without
+
+#: SQL has no conditional random field, SimHash or tokenizer: the stages are tested against brute force.
 ORACLE_SQL = None
-STAGES = []
-def run(spark, sf_dir):
-    raise NotImplementedError
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keep the texts that pass the base rules and are mostly content lines; null texts go."""
+    from forkline.llm.line_quality import fit, keep_good
+
+    field = fit(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return keep_good(docs, field)
+
+
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Delete runs of lines that occur earlier; a text of which no word is left goes. ``n_chars`` follows the text."""
+    from forkline.llm.repeats import line_dedup as dedup
+
+    others = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
+    kept = dedup(docs, run=2, long_line=50, carry=others).where("n_units = 0 OR n_removed < n_units")
+    back = {"doc_id": F.col("doc_id"), "text": F.col("text")} | {c: F.col(f"carry_{i}") for i, c in enumerate(others)}
+    if "n_chars" in back:
+        back["n_chars"] = F.char_length("text").cast(docs.schema["n_chars"].dataType)
+    return kept.select(*(back[c].alias(c) for c in docs.columns))
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of similar texts (0.8 or more over five-word shingles) the one of smallest id stays."""
+    from forkline.llm.simhash import similar_groups
+
+    groups = similar_groups(docs, similarity=0.8, shingle=5)
+    return without(docs, groups.where("doc_id <> component_id"), {"doc_id": "doc_id"})
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts that hold a window of ten words of a benchmark item go."""
+    from forkline.llm.decontaminate import decontaminate
+
+    found = decontaminate(docs, table(spark, sf_dir, "benchmark"), width=10)
+    return without(docs, found.where("contaminated"), {"doc_id": "doc_id", "xxhash64(text)": "text_hash"})
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of sequences of 1024 tokens or a shorter power of two, with their ids."""
+    from forkline.llm.packing import pack
+
+    return pack(docs, "byte_bpe_50k.json", sequence_length=1024, end_id=0).withColumn("ids_crc32", F.crc32("ids"))
+
+
+STAGES = [
+    ("quality_rules", quality_rules),
+    ("line_dedup", line_dedup),
+    ("near_duplicates", near_duplicates),
+    ("decontamination", decontamination),
+    ("packing", packing),
+]
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over ``documents``, each written to the shared folder and read again."""
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = through_disk(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)
