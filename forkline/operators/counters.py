@@ -182,15 +182,25 @@ def elapsed_frame(spark: SparkSession, g: Graph, method: str, repeats: int = 1)
     return spark.createDataFrame([(g.name, method, v, i, ns) for (v, i), ns in best.items()], "graph string, method string, variant string, iteration int, elapsed_ns bigint")
 
 
-def collect_samples(graphs: Iterable[Graph], methods: Iterable[str] = ("cc", "bfs"), variants: Iterable[str] = ("conditional", "unconditional"), spec: PredictorSpec | None = None) -> DataFrame:
-    """Samples of all graphs, methods and variants under one predictor."""
+def unconditional_sites(conditional: DataFrame) -> DataFrame:
+    """The sites of the unconditional kernel: those of the conditional one without its test."""
+    return conditional.where(~F.col("site").endswith(".test")).withColumn("variant", F.lit("unconditional"))
+
+
+def collect_sites(graphs: Iterable[Graph], methods: Iterable[str] = ("cc", "bfs"), spec: PredictorSpec | None = None) -> DataFrame:
+    """Site statistics of all graphs and methods, both variants, under one predictor."""
     out = None
     for g in graphs:
         for method in methods:
-            for variant in variants:
-                sites = cc_site_stats(g, variant, spec) if method == "cc" else bfs_site_stats(g, variant, spec)
-                out = sites if out is None else out.unionByName(sites)
-    return samples_of(out)
+            one = stored(cc_site_stats(g, "conditional", spec) if method == "cc" else bfs_site_stats(g, "conditional", spec), "sites")
+            both = one.unionByName(unconditional_sites(one))
+            out = both if out is None else out.unionByName(both)
+    return out
+
+
+def collect_samples(graphs: Iterable[Graph], methods: Iterable[str] = ("cc", "bfs"), spec: PredictorSpec | None = None) -> DataFrame:
+    """Samples of all graphs, methods and variants under one predictor."""
+    return samples_of(collect_sites(graphs, methods, spec))
 
 
 def verify_counters(g: Graph, sites: DataFrame) -> DataFrame:
