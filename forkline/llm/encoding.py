@@ -3,8 +3,9 @@
 * Byte-level files: merged by tiktoken under ranks taken from the same file. A probe compares
   both libraries' ids at the start; where they differ, the tokenizers library does the work.
 * Files that drop white space: no pre-token spans a space, so the ids of a text are those of
-  its space-separated pieces in a row, and pieces are cached. New ones are encoded by the
-  tokenizers library, many in a call.
+  its space-separated pieces in a row, and pieces are cached. New ones are encoded many in a
+  call, by tiktoken under the file's merges where their characters are of common scripts (and
+  a probe agrees), else by the tokenizers library.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ import numpy as np
 from forkline.llm.common import tokenizer_file
 
 #: Pieces in each of the two generations of a worker's cache, and the longest that is kept.
-GENERATION, CACHED_CHARS = 300_000, 48
+GENERATION, CACHED_CHARS = 500_000, 48
 
 
 _PROBE = " the Word don't 12345 naïve ßtraße ééé... \n  two  spaces\ttab %%% θλ 漢字 zzzzqqqq\n\n\nend "
@@ -49,6 +50,46 @@ def _merger(path: str, tokenizer) -> Callable[[str], np.ndarray] | None:
     return fast if fast(_PROBE).tolist() == tokenizer.encode(_PROBE, add_special_tokens=False).ids else None
 
 
+class WordEndMerger:
+    """tiktoken for a byte-level file with word ends, over text of code points below U+0590.
+
+    The word end is a private-use character after each pre-token. Its bytes merge first, then
+    with the byte before, which gives the file's letter with its word end; all other merges
+    follow in the file's order, and ranks are turned into ids at the end.
+    """
+
+    END, BELOW = "\U0010fffd", "\u0590"
+
+    def __init__(self, path: str, tokenizer):
+        import regex
+        import tiktoken
+
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        suffix, letters, vocab = spec["model"]["end_of_word_suffix"], _byte_letters(), spec["model"]["vocab"]
+        splits = [p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split"]
+        if not suffix or len(splits) != 1 or not splits[0]["invert"] or splits[0]["behavior"] != "Removed":
+            raise ValueError("not a vocabulary of this kind")
+        end = self.END.encode()
+        spell = lambda t: bytes(letters[c] for c in t.removesuffix(suffix)) + (end if t.endswith(suffix) else b"")
+        order = [bytes([b]) for b in range(256)] + [end[:k] for k in range(2, len(end) + 1)]
+        order += [bytes([b]) + end for b in range(256)]
+        for m in spec["model"]["merges"]:
+            a, b = m if isinstance(m, list) else m.split(" ")
+            order.append(spell(a) + spell(b))
+        ids = {spell(t): i for t, i in vocab.items() if t not in {x["content"] for x in spec["added_tokens"]}}
+        if len(set(order)) != len(order):
+            raise ValueError("a merge spells the word end")
+        self.to_id = np.array([ids.get(t, -1) for t in order])
+        self.merge = tiktoken.Encoding("from-file", pat_str=f"[^{self.END}]+{self.END}", mergeable_ranks={t: i for i, t in enumerate(order)}, special_tokens={}).encode_to_numpy
+        self.cut = regex.compile(splits[0]["pattern"]["Regex"]).findall
+        self.normalize = tokenizer.normalizer.normalize_str
+
+    def __call__(self, text: str) -> np.ndarray:
+        cut = self.cut(self.normalize(text))
+        return self.to_id[self.merge(self.END.join([*cut, ""]))] if cut else np.zeros(0, np.int64)
+
+
 class Encoder:
     """Ids of texts as little-endian bytes of ``dtype``."""
 
@@ -58,6 +99,7 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(tokenizer_file(vocabulary))
         self.tokenizer.encode_special_tokens = True
+        self.vocabulary_size = self.tokenizer.get_vocab_size()
         self.dtype, self.step = dtype, np.dtype(dtype).itemsize
 
     def ids(self, text: str) -> list[int]:
@@ -87,14 +129,29 @@ class PieceEncoder(Encoder):
         self.mark_id = self.ids(f"a {self.MARK} b")[1]
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        try:
+            fast = WordEndMerger(tokenizer_file(vocabulary), self.tokenizer)
+            probe = "".join(c for c in _PROBE if c < fast.BELOW)
+            self.fast = fast if fast(probe).tolist() == self.ids(probe) else None
+        except (ImportError, ValueError, KeyError):
+            self.fast = None
 
     def _learn(self, pieces: list[str]) -> dict[str, bytes]:
         """Ids of many pieces in one call, parted by a mark that no piece holds."""
         out: dict[str, bytes] = {}
         plain = [p for p in pieces if self.MARK not in p and p.strip()]
+        if self.fast is not None:
+            self._bulk([p for p in plain if max(p) < self.fast.BELOW], self.fast, out)
+        self._bulk([p for p in plain if p not in out], self.ids, out)
+        for p in pieces:
+            if p not in out:
+                out[p] = self.whole(p)
+        return out
+
+    def _bulk(self, plain: list[str], encode, out: dict[str, bytes]) -> None:
         for i in range(0, len(plain), 4000):
             some = plain[i : i + 4000]
-            ids = np.array(self.ids(f" {self.MARK} ".join(some)), dtype=self.dtype)
+            ids = np.asarray(encode(f" {self.MARK} ".join(some)), dtype=self.dtype)
             cuts = (np.flatnonzero(ids == self.mark_id) * self.step).tolist()
             if len(cuts) != len(some) - 1:
                 continue
@@ -102,10 +159,6 @@ class PieceEncoder(Encoder):
             for p, cut in zip(some, [*cuts, len(flat)], strict=True):
                 out[p] = flat[at:cut]
                 at = cut + self.step
-        for p in pieces:
-            if p not in out:
-                out[p] = self.whole(p)
-        return out
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         pieces = [t.replace("\n", " ").split(" ") for t in texts]
@@ -134,7 +187,7 @@ def encoder(vocabulary: str, dtype: str = "<u4") -> Encoder:
         merge = _merger(tokenizer_file(vocabulary), plain.tokenizer)
         if merge is not None:
             plain = MergedEncoder(vocabulary, dtype)
-            plain.merge = merge
+            plain.merge, plain.tokenizer = merge, None  # no longer needed
         elif not plain.ids(" ") and plain.ids("a b") == plain.ids("a") + plain.ids("b"):
             plain = PieceEncoder(vocabulary, dtype)
         _encoders[key] = plain

@@ -22,10 +22,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from forkline.llm.common import id_and_text
+from forkline.llm.common import id_and_text, lean
 from forkline.llm.encoding import encoder
 
-BATCH = 256
+BATCH = 512
 NULL_ID = -(1 << 63)
 
 
@@ -47,7 +47,7 @@ def write_token_files(docs: DataFrame, folder: str, vocabulary: str, end_id: int
         from pyspark import TaskContext
 
         encode = encoder(vocabulary, np.dtype(dtype).newbyteorder("<").str)
-        if encode.tokenizer.get_vocab_size() - 1 > limit:
+        if encode.vocabulary_size - 1 > limit:
             raise ValueError(f"{dtype} cannot hold the ids of {vocabulary}")
         shard = TaskContext.get().partitionId()
         files, root = _filesystem(folder)
@@ -73,7 +73,7 @@ def write_token_files(docs: DataFrame, folder: str, vocabulary: str, end_id: int
     texts = id_and_text(docs, id_col, text_col).withColumn("tie", F.xxhash64("text"))
     n = partitions or int(spark.conf.get("spark.sql.shuffle.partitions"))
     manifest = (
-        texts.repartitionByRange(n, "doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text").mapInArrow(task, "shard int, name string, documents bigint, tokens bigint")
+        texts.repartitionByRange(n, "doc_id", "tie").sortWithinPartitions("doc_id", "tie").select("doc_id", "text").mapInArrow(lean(task), "shard int, name string, documents bigint, tokens bigint")
     )
     manifest.write.parquet(f"{folder}/manifest")
     counts = sorted(spark.read.parquet(f"{folder}/manifest").collect())  # a row for each shard
@@ -119,7 +119,7 @@ def read_token_files(spark: SparkSession, manifest: DataFrame, folder: str, dtyp
                     )
 
     shards = max(1, manifest.count())
-    return manifest.select("name", "base").repartition(shards).mapInArrow(task, "doc_id bigint, start bigint, n_tokens bigint, ids binary")
+    return manifest.select("name", "base").repartition(shards).mapInArrow(lean(task), "doc_id bigint, start bigint, n_tokens bigint, ids binary")
 
 
 def documents_digest(read: DataFrame) -> DataFrame:
