@@ -35,7 +35,7 @@ def read_adjacency_text(spark: SparkSession, path: str, one_based: bool = True)
     whole = spark.read.text(path, wholetext=True)
     lines = whole.select(F.posexplode(F.filter(F.split("value", "\n"), lambda x: ~x.startswith("%"))).alias("line", "text")).where("line > 0")
     shift = 0 if one_based else 1
-    return lines.select((F.col("line") - shift).cast("bigint").alias("src"), F.explode(F.filter(F.split(F.trim("text"), r"\s+"), lambda x: x != "")).cast("bigint").alias("dst"))
+    return lines.select((F.col("line") - shift).cast("bigint").alias("src"), F.explode(F.filter(F.split(F.trim("text"), r"\s+"), lambda x: x != "").cast("array<bigint>")).alias("dst"))
 
 
 def read_edges(spark: SparkSession, path: str, fmt: str) -> DataFrame:
