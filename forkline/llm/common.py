@@ -6,6 +6,7 @@ their names, are dropped at the door, so they can't clash. A null text counts as
 
 from __future__ import annotations
 
+import inspect
 import math
 import os
 import tempfile
@@ -15,6 +16,63 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+def give_back() -> None:
+    """Return this process's free memory to the system."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+#: Rows in an Arrow batch at most: whole texts may be long, and a batch is held several times over.
+BATCH_ROWS = 2000
+
+
+def small_batches(spark: SparkSession) -> None:
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
+def lean(work):
+    """Wrap a task or group function: when it ends, its free memory leaves the idle worker.
+
+    Workers are kept for later stages, whose executors need the room.
+    """
+
+    if inspect.isgeneratorfunction(work):
+
+        def task(batches):
+            try:
+                yield from work(batches)
+            finally:
+                give_back()
+
+        return task
+    if len(inspect.signature(work).parameters) == 1:
+
+        def group(t):
+            try:
+                return work(t)
+            finally:
+                give_back()
+
+        return group
+
+    def groups(t, u):
+        try:
+            return work(t, u)
+        finally:
+            give_back()
+
+    return groups
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -40,6 +98,7 @@ def through_disk(df: DataFrame, kind: str) -> DataFrame:
 
 
 def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", extra: list[str] | None = None) -> DataFrame:
+    small_batches(docs.sparkSession)
     return docs.select(
         *(extra or []),
         F.col(id_col).cast("bigint").alias("doc_id"),

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import Grid, id_and_text, into_chunks, through_disk, volume
+from forkline.llm.common import Grid, id_and_text, into_chunks, lean, through_disk, volume
 from forkline.llm.textblock import blocks, by_bucket, mix
 
 END = np.uint64(0x9D5C_3A77_E1B2_4F01)
@@ -135,7 +135,7 @@ def _sums(docs: DataFrame, count) -> DataFrame:
         for i in range(0, len(held[0]), 100_000):
             yield pa.RecordBatch.from_arrays([pa.array(held[0][i : i + 100_000]), pa.array(held[1][i : i + 100_000])], names=["code", "n"])
 
-    return docs.select("text").mapInArrow(task, "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n"))
+    return docs.select("text").mapInArrow(lean(task), "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n"))
 
 
 def induce_classes(docs: DataFrame, s: Settings) -> np.ndarray:
@@ -180,7 +180,7 @@ def train(table: DataFrame, s: Settings) -> np.ndarray:
                     np.add.at(expected, f[:, j], model)
             yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(np.stack([seen, expected]).astype(np.float32).tobytes(), 1)])], names=["sums"])
 
-        parts = [np.frombuffer(zlib.decompress(r["sums"]), np.float32).reshape(2, rows, k).astype(np.float64) for r in table.mapInArrow(part, "sums binary").collect()]
+        parts = [np.frombuffer(zlib.decompress(r["sums"]), np.float32).reshape(2, rows, k).astype(np.float64) for r in table.mapInArrow(lean(part), "sums binary").collect()]
         if not parts:
             return weights
         seen, expected = np.sum(parts, axis=0)
@@ -263,8 +263,8 @@ def score(docs: DataFrame, held_out: Column, settings: Settings = Settings(), id
             }
         )
 
-    sent = chunked.groupBy("chunk").applyInArrow(send, "bucket int, chunk int, words binary, counts binary, kinds binary")
-    answers = through_disk(sent.groupBy("bucket").applyInArrow(add_up, "chunk int, bucket int, totals binary, sums array<bigint>"), "word-counts")
+    sent = chunked.groupBy("chunk").applyInArrow(lean(send), "bucket int, chunk int, words binary, counts binary, kinds binary")
+    answers = through_disk(sent.groupBy("bucket").applyInArrow(lean(add_up), "chunk int, bucket int, totals binary, sums array<bigint>"), "word-counts")
     sums = np.zeros(2 * k, np.int64)
     for r in answers.where("chunk = -1").select(F.posexplode("sums").alias("i", "n")).groupBy("i").agg(F.sum("n").alias("n")).collect():
         sums[r["i"]] = r["n"]
@@ -292,4 +292,4 @@ def score(docs: DataFrame, held_out: Column, settings: Settings = Settings(), id
         return pa.table([t.column("doc_id"), t.column("held_out"), *(pa.array(c) for c in columns)], schema=schema)
 
     told = answers.where("chunk >= 0").select("chunk", "bucket", "totals")
-    return chunked.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(finish, "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
+    return chunked.groupBy("chunk").cogroup(told.groupBy("chunk")).applyInArrow(lean(finish), "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import id_and_text
+from forkline.llm.common import id_and_text, lean, small_batches
 from forkline.llm.textblock import TextBlock, blocks, mix, windows
 
 # Fixed values of the base rules.
@@ -258,12 +258,13 @@ def judge(docs: DataFrame, field: Field, settings: Settings = Settings(), id_col
                 columns = [c.n_words, c.word_chars, c.n_symbols, c.n_dup_lines, c.n_repeat_words, n_content]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, block.n_docs), *(pa.array(x.astype(np.int64)) for x in columns), pa.array(failed), pa.array(kept)], schema=SCHEMA)
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(task, "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_content_words bigint, base_failed boolean, kept boolean")
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_content_words bigint, base_failed boolean, kept boolean")
 
 
 def keep_good(docs: DataFrame, field: Field, settings: Settings = Settings(), text_col: str = "text") -> DataFrame:
     """Rows of ``docs`` that ``judge`` keeps, with all their columns."""
     shared = docs.sparkSession.sparkContext.broadcast(field)
+    small_batches(docs.sparkSession)
     at = docs.columns.index(text_col)
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -276,4 +277,4 @@ def keep_good(docs: DataFrame, field: Field, settings: Settings = Settings(), te
             if kept:
                 yield batch.filter(pa.array(np.concatenate(kept)))
 
-    return docs.mapInArrow(task, docs.schema)
+    return docs.mapInArrow(lean(task), docs.schema)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import id_and_text
+from forkline.llm.common import id_and_text, lean
 from forkline.llm.encoding import encoder
 
 SCHEMA = "doc_id bigint, start bigint, length bigint, doc_tokens bigint, sequence_id bigint, offset bigint, tier int, step_group bigint, ids binary"
@@ -151,7 +151,7 @@ def pack(docs: DataFrame, vocabulary: str, sequence_length: int = 1024, end_id:
         if ids:
             yield from packed()
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(task, SCHEMA)
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), SCHEMA)
 
 
 def pieces_digest(packed: DataFrame) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import id_and_text
+from forkline.llm.common import id_and_text, lean
 from forkline.llm.textblock import mix
 
 SLICE_CHARS = 400_000
@@ -173,4 +173,4 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
                 some = batch.slice(i, 500)
                 yield pa.RecordBatch.from_arrays([some.column(0), pa.array(scores(some.column(1).to_pylist(), shared.value))], schema=schema)
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(task, "doc_id bigint, score double")
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), "doc_id bigint, score double")

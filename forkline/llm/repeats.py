@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import Grid, id_and_text, into_chunks, volume
+from forkline.llm.common import Grid, id_and_text, into_chunks, lean, volume
 from forkline.llm.textblock import SPACE, blocks, bucket_of, by_bucket, contained, mix, pack40, unpack40, windows
 
 SENT = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("indexed", pa.binary()), ("probing", pa.binary())])
@@ -303,10 +303,10 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
         return pa.table([t.column("doc_id").cast(pa.int64()), pa.array(np.diff(edges), pa.int64()), pa.array(n_gone, pa.int64()), pa.array(texts, pa.binary()).cast(pa.string()), pa.array(removed, pa.list_(pa.int32())), *(t.column(n) for n, _ in extra)], names=[*RESULT.names, *(n for n, _ in extra)])
 
     by_chunk = chunked.groupBy("chunk")
-    live = by_chunk.applyInArrow(send, ddl(SENT)).groupBy("bucket").applyInArrow(find_live, ddl(ANSWER))
-    placed = by_chunk.cogroup(live.groupBy("chunk")).applyInArrow(place, ddl(PLACED))
-    earlier = placed.groupBy("bucket").applyInArrow(find_earlier, ddl(ANSWER))
-    return by_chunk.cogroup(earlier.groupBy("chunk")).applyInArrow(strike, ", ".join([ddl(RESULT), *(f"{n} {kind}" for n, kind in extra)]))
+    live = by_chunk.applyInArrow(lean(send), ddl(SENT)).groupBy("bucket").applyInArrow(lean(find_live), ddl(ANSWER))
+    placed = by_chunk.cogroup(live.groupBy("chunk")).applyInArrow(lean(place), ddl(PLACED))
+    earlier = placed.groupBy("bucket").applyInArrow(lean(find_earlier), ddl(ANSWER))
+    return by_chunk.cogroup(earlier.groupBy("chunk")).applyInArrow(lean(strike), ", ".join([ddl(RESULT), *(f"{n} {kind}" for n, kind in extra)]))
 
 
 def substring_dedup(docs: DataFrame, width: int = 13, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

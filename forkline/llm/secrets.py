@@ -31,7 +31,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from forkline.llm.common import id_and_text
+from forkline.llm.common import id_and_text, lean
 from forkline.llm.textblock import TextBlock, blocks
 
 # The patterns of the base, their names in order, and the least lengths.
@@ -179,6 +179,6 @@ def scan_secrets(docs: DataFrame, rate: float = 0.001, reject: float = 0.001, id
                 columns = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), [pa.int64()] * 4 + [pa.string()] * 2, strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, block.n_docs), *columns], names=[f.split()[0] for f in SCHEMA.split(", ")])
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(task, SCHEMA)
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), SCHEMA)
 
 

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import id_and_text, through_disk
+from forkline.llm.common import id_and_text, lean, through_disk
 from forkline.llm.components import components
 from forkline.llm.textblock import blocks, mix
 
@@ -99,7 +99,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3, words: int = 1, id_col: str
                 ids = batch.column(0).slice(first, block.n_docs)
                 yield pa.RecordBatch.from_arrays([ids, *(pa.array(f[:, k].view(np.int64)) for k in range(words))], schema=schema)
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(task, "doc_id bigint, " + ", ".join(f"f{k} bigint" for k in range(words)))
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), "doc_id bigint, " + ", ".join(f"f{k} bigint" for k in range(words)))
 
 
 def bit_groups(bits: np.ndarray, parts: int) -> list[np.ndarray]:
@@ -279,11 +279,11 @@ def links(classes: DataFrame, words: int, radius: int, sure: int, parts: range)
         if held:
             yield from runs(np.concatenate(held))
 
-    keyed = classes.select("id", *names).mapInArrow(key, "part int, value bigint, own boolean, id bigint, " + ", ".join(f"{n} bigint" for n in names))
+    keyed = classes.select("id", *names).mapInArrow(lean(key), "part int, value bigint, own boolean, id bigint, " + ", ".join(f"{n} bigint" for n in names))
     count = keyed.groupBy("part", "value").agg(F.count("*").alias("n"), F.max("own").alias("indexed")).where("n > 1 AND indexed")
     shared = keyed.drop("own").join(count.drop("indexed"), ["part", "value"])
     usual = shared if radius > 2 else shared.where(F.col("n") <= RUN)
-    near = usual.drop("n").repartition("part", "value").sortWithinPartitions("part", "value").mapInArrow(compare, "a bigint, b bigint")
+    near = usual.drop("n").repartition("part", "value").sortWithinPartitions("part", "value").mapInArrow(lean(compare), "a bigint, b bigint")
     if radius > 2:
         return near
     hot = shared.where(F.col("n") > RUN).select("id", "f0").distinct()
