@@ -12,11 +12,12 @@ from __future__ import annotations
 
 import json
 import os
+import unicodedata
 from collections.abc import Callable
 
 import numpy as np
 
-from forkline.llm.common import tokenizer_file
+from forkline.llm.common import give_back, tokenizer_file
 
 #: Pieces in each of the two generations of a worker's cache, and the longest that is kept.
 GENERATION, CACHED_CHARS = 500_000, 48
@@ -86,7 +87,9 @@ class WordEndMerger:
         self.normalize = tokenizer.normalizer.normalize_str
 
     def __call__(self, text: str) -> np.ndarray:
-        cut = self.cut(self.normalize(text))
+        # below U+0590 Python lower-cases like the file's normaliser, but for the final sigma
+        plain = unicodedata.is_normalized("NFC", text) and "\u03a3" not in text
+        cut = self.cut(text.lower() if plain else self.normalize(text))
         return self.to_id[self.merge(self.END.join([*cut, ""]))] if cut else np.zeros(0, np.int64)
 
 
@@ -132,7 +135,9 @@ class PieceEncoder(Encoder):
         try:
             fast = WordEndMerger(tokenizer_file(vocabulary), self.tokenizer)
             probe = "".join(c for c in _PROBE if c < fast.BELOW)
-            self.fast = fast if fast(probe).tolist() == self.ids(probe) else None
+            upper = " ".join(chr(c) for c in range(33, 0x590) if chr(c).isprintable())
+            agree = all(fast(x).tolist() == self.ids(x) for x in (probe, upper))
+            self.fast = fast if agree else None
         except (ImportError, ValueError, KeyError):
             self.fast = None
 
@@ -191,4 +196,5 @@ def encoder(vocabulary: str, dtype: str = "<u4") -> Encoder:
         elif not plain.ids(" ") and plain.ids("a b") == plain.ids("a") + plain.ids("b"):
             plain = PieceEncoder(vocabulary, dtype)
         _encoders[key] = plain
+        give_back()  # what the files' parsers used
     return _encoders[key]
