@@ -104,10 +104,11 @@ def fingerprints(docs: DataFrame, shingle: int = 3, words: int = 1, id_col: str
 
 def bit_groups(bits: np.ndarray, parts: int) -> list[np.ndarray]:
     """Deal bit positions to ``parts`` groups of nearly equal size, each grown by the bit most correlated with it."""
-    n = bits.shape[1]
-    centred = bits.astype(np.float64) - bits.mean(0)
-    spread = np.sqrt((centred**2).sum(0)) + 1e-9
-    r = np.abs(centred.T @ centred) / np.outer(spread, spread)
+    rows, n = bits.shape
+    x = bits.astype(np.float64)
+    ones, both = x.sum(0), x.T @ x  # whole numbers, hence exact in any order of summation
+    spread = np.sqrt(rows * ones - ones**2) + 1e-9
+    r = np.abs(rows * both - np.outer(ones, ones)) / np.outer(spread, spread)
     left, groups = set(range(n)), []
     for k in range(parts):
         size = n // parts + (k < n % parts)
