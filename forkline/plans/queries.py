@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from forkline import graph as gr
+from forkline import sqlapi
 from forkline.functions.selection import ratio
 from forkline.operators import bfs, components, measures
 from forkline.operators.counters import bfs_site_stats, cc_site_stats, modelled_time
@@ -50,6 +51,7 @@ _add("cc_mask_select", _labels(partial(components.components_unconditional, sele
 _add("cc_case_select", _labels(partial(components.components_unconditional, select_style="case"), SMALL), _final(SMALL))
 _add("cc_blocked", _labels(components.components_blocked, SMALL), _final(SMALL))
 _add("cc_sequential", lambda spark, sf_dir: components.sequential_reference(build(SMALL, spark, sf_dir)).select("id", "component"), _final(SMALL))
+_add("cc_recursive_sql", lambda spark, sf_dir: sqlapi.components_recursive(build("supplier_geo_tree", spark, sf_dir), 4), _final("supplier_geo_tree"))
 _add("cc_sizes", lambda spark, sf_dir: components.component_sizes(components.components_unconditional(build(SMALL, spark, sf_dir)).labels), f"WITH RECURSIVE {o.labels(SMALL)} SELECT component, count(*) AS size FROM final GROUP BY component")
 _add(
     "cc_summary",

@@ -134,3 +134,16 @@ def test_edge_files_round_trip(spark, tmp_path):
     for fmt in ("json", "orc", "csv", "parquet"):
         tables.write(edges, str(tmp_path / fmt), fmt)
         assert tables.read_edges(spark, str(tmp_path / fmt), fmt).collect() == [(1, 2)]
+
+
+def test_sql_surface(spark, fx):
+    from forkline import sqlapi
+
+    assert as_dict(sqlapi.components_recursive(fx, 4)) == WANT
+    sqlapi.register_functions(spark)
+    assert spark.sql("SELECT miss_rate_two_bit(0.5D) AS a, miss_rate_one_bit(0.5D) AS b").first() == (0.5, 0.5)
+    pairs = spark.createDataFrame([(1, 2, 0.5), (1, 3, 0.5), (1, 4, 0.9), (2, 1, 0.1)], "a bigint, b bigint, weight double")
+    assert sorted((r["a"], r["b"]) for r in sqlapi.knn_edges(pairs, 2).collect()) == [(1, 2), (1, 4), (2, 1)]
+    trace = spark.createDataFrame([(v, k, True) for v in range(50) for k in range(3)], "seq_hi bigint, seq_lo bigint, taken boolean")
+    kept = sqlapi.sample_trace(trace, 0.5).groupBy("seq_hi").count()
+    assert 0 < kept.count() < 50 and kept.where("count <> 3").count() == 0
