@@ -125,6 +125,17 @@ class _Loop:
         self.changed: DataFrame | None = None  # None: all
         self.sweeps: list[Sweep] = []
         self.history: list[DataFrame] = []
+        self.stale: list[str] = []  # epochs that the next full label table replaces
+
+    def _put(self, name: str, df: DataFrame, full: bool) -> DataFrame:
+        """Write an epoch; a full table of labels makes those before it stale, which then go."""
+        written = self.epochs.put(name, df)
+        if full:
+            if not self.keep:
+                self.epochs.drop(*self.stale)
+            self.stale = []
+        self.stale.append(name)
+        return written
 
     def labels(self) -> DataFrame:
         """Labels only fall, so the minimum over a table and its deltas is the current one."""
@@ -147,7 +158,7 @@ class _Loop:
         if shortcut:
             new = _jump(new, style)
         marked = new.observe(seen, change_mask(F.col("component"), F.col("old")).alias("mask"), F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed"), F.count("*").alias("written"))
-        written = self.epochs.put(f"sweep-{len(self.sweeps) + 1}", marked)
+        written = self._put(f"sweep-{len(self.sweeps) + 1}", marked, True)
         told = seen.get
         self.base, self.deltas = written.select("id", "component"), []
         self.changed = written.where("component <> old").select("id", "component")
@@ -160,12 +171,14 @@ class _Loop:
         if shortcut:
             merged = labels.select("id", "component", F.col("component").alias("old")).unionByName(delta.withColumn("old", F.lit(None).cast("bigint"))).groupBy("id").agg(F.min("component").alias("component"), F.max("old").alias("old"))
             delta = _jump(merged).where("component < old").select("id", "component")
-        written = self.epochs.put(f"sweep-{len(self.sweeps) + 1}", delta.observe(seen, F.count("*").alias("n")))
+        written = self._put(f"sweep-{len(self.sweeps) + 1}", delta.observe(seen, F.count("*").alias("n")), False)
         n = int(seen.get["n"])
         self.changed = written
         self.deltas.append(written)
         if len(self.deltas) >= COMPACT_EVERY:
-            self.base, self.deltas = self.epochs.put(f"labels-{len(self.sweeps) + 1}", self.labels()), []
+            last = self.stale.pop()  # the next sweep reads what this one changed
+            self.base, self.deltas = self._put(f"labels-{len(self.sweeps) + 1}", self.labels(), True), []
+            self.stale.append(last)
         return self._note("conditional", n, n, began)
 
     def result(self) -> CCRun:

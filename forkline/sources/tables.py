@@ -71,6 +71,13 @@ class Epochs:
         df.write.parquet(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def drop(self, *names: str | int) -> None:
+        """Delete states that no plan reads any more, through Hadoop's file system, wherever the folder lies."""
+        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        for name in names:
+            path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+            path.getFileSystem(conf).delete(path, True)
+
 
 def stored(df: DataFrame, kind: str) -> DataFrame:
     return Epochs(df.sparkSession, kind).put("all", df)
