@@ -38,7 +38,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of similar texts (0.8 or more over five-word shingles) the one of smallest id stays."""
-    from forkline.llm.simhash import similar_groups
+    from forkline.llm.similar import similar_groups
 
     groups = similar_groups(docs, similarity=0.8, shingle=5)
     return without(docs, groups.where("doc_id <> component_id"), {"doc_id": "doc_id"})

@@ -34,6 +34,7 @@ from pyspark.sql import functions as F
 
 from forkline.llm.common import id_and_text, lean, through_disk
 from forkline.llm.components import components
+from forkline.llm.similar import similar_groups  # noqa: F401  (links by the shingles themselves)
 from forkline.llm.textblock import blocks, mix
 
 SEED = 42
@@ -311,21 +312,3 @@ def simhash_groups(docs: DataFrame, shingle: int = 3, radius: int = 2, id_col: s
     prints = through_disk(fingerprints(docs, shingle, 1, id_col, text_col), "simhash")
     found = near_duplicate_groups(prints, 1, radius)
     return found.select("doc_id", F.lpad(F.lower(F.hex("f0")), 16, "0").alias("fingerprint"), "component_id")
-
-
-def similar_groups(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, words: int = 6, width: int = 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(doc_id, component_id)`` of texts whose shingles are estimated to have a Jaccard similarity of ``similarity`` or more.
-
-    Two multisets of Jaccard similarity J have a cosine of about 2J / (1 + J), and SimHash bits
-    differ at the rate of the angle over pi; with ``64 * words`` bits the estimate of J has a
-    standard error of 0.02 to 0.03. The bits are dealt to ``64 * words // width`` partitions, so
-    that a link is found for sure if fewer bits than partitions differ (23 of 384: similarity
-    0.92). A link of lower similarity is found if one partition agrees: by expectation 99 % of
-    links at 0.9 and 83 % at 0.8, more for groups, whose members may be linked through others.
-    """
-    bits = 64 * words
-    cosine = 2 * similarity / (1 + similarity)
-    parts = bits // width
-    prints = through_disk(fingerprints(docs, shingle, words, id_col, text_col), "simhash")
-    found = near_duplicate_groups(prints, words, int(bits * math.acos(cosine) / math.pi), parts - 1, range(parts, parts + 1))
-    return found.select("doc_id", "component_id")
