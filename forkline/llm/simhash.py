@@ -5,8 +5,9 @@ Fingerprints of ``64 * words`` bits; two texts are linked if theirs differ in at
 compared. The bits are dealt to partitions, correlated ones together; partition i gets a
 threshold t_i of -1 or more with ``sum(t_i + 1) = radius + 1``, so that any linked pair
 agrees up to t_i bits in some partition. A dynamic programme over partitions picks the
-thresholds that minimise the candidates estimated on a bounded sample of fingerprints
-(the sample steers cost alone; every choice finds every link).
+thresholds that minimise the candidates estimated on a bounded sample of fingerprints. Since
+the thresholds always meet the whole radius, every choice finds every link: sample and row
+count steer cost alone.
 
 A fingerprint is indexed by its value in each used partition and probes all values within
 t_i. Rows meet by key. A key of up to ``RUN`` fingerprints is compared in one sorted run of
@@ -159,7 +160,7 @@ def thresholds(values: list[np.ndarray], widths: list[int], radius: int, total:
     return best.get(radius + 1, (math.inf, []))
 
 
-def choose(sample: np.ndarray, bits: int, sure: int, total: int, parts_tried: range) -> list[tuple[np.ndarray, int]]:
+def choose(sample: np.ndarray, bits: int, radius: int, total: int, parts_tried: range) -> list[tuple[np.ndarray, int]]:
     """Bit groups with their thresholds, of the cheapest number of partitions."""
     as_bits = np.unpackbits(sample.view(np.uint8), axis=1, bitorder="little").reshape(len(sample), bits)
     found = (math.inf, [])
@@ -168,7 +169,7 @@ def choose(sample: np.ndarray, bits: int, sure: int, total: int, parts_tried: ra
             continue
         groups = bit_groups(as_bits, parts)
         values = [(as_bits[:, g].astype(np.uint64) << np.arange(len(g), dtype=np.uint64)).sum(1, dtype=np.uint64) for g in groups]
-        c, t = thresholds(values, [len(g) for g in groups], sure, total)
+        c, t = thresholds(values, [len(g) for g in groups], radius, total)
         if c < found[0]:
             found = (c, [(g, x) for g, x in zip(groups, t, strict=True) if x >= 0])
     if not found[1]:
@@ -230,18 +231,15 @@ def forest(ids: np.ndarray, f: np.ndarray, radius: int) -> list[tuple[int, int]]
     return edges
 
 
-def links(classes: DataFrame, words: int, radius: int, sure: int, parts: range) -> DataFrame:
-    """``(a, b)``: enough links among distinct fingerprints ``(id, f0, ...)`` to connect all that are within ``sure`` bits.
-
-    Links of up to ``radius`` bits are taken where the partitions find them.
-    """
+def links(classes: DataFrame, words: int, radius: int, parts: range) -> DataFrame:
+    """``(a, b)``: enough links among distinct fingerprints ``(id, f0, ...)`` to connect all that are within ``radius`` bits."""
     names = [f"f{k}" for k in range(words)]
     total = classes.count()
     bits = 64 * words
     rows = classes.select(*names).orderBy(F.xxhash64(*names)).limit(PLAN_SAMPLE).toPandas()
     if len(rows) == 0:
         return classes.select(F.col("id").alias("a"), F.col("id").alias("b")).limit(0)
-    plan = choose(np.ascontiguousarray(rows.to_numpy(np.int64)).view(np.uint64), bits, sure, total, parts)
+    plan = choose(np.ascontiguousarray(rows.to_numpy(np.int64)).view(np.uint64), bits, radius, total, parts)
 
     def key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -296,13 +294,12 @@ def links(classes: DataFrame, words: int, radius: int, sure: int, parts: range)
     return near.unionByName(meets)
 
 
-def near_duplicate_groups(prints: DataFrame, words: int, radius: int, sure: int | None = None, parts: range | None = None) -> DataFrame:
+def near_duplicate_groups(prints: DataFrame, words: int, radius: int, parts: range | None = None) -> DataFrame:
     """``prints`` with ``component_id``. ``prints(doc_id, f0, ...)`` is read several times: write it first."""
-    sure = radius if sure is None else sure
     names = [f"f{k}" for k in range(words)]
     classes = through_disk(prints.groupBy(*names).agg(F.min("doc_id").alias("id")), "fingerprints")
     known = classes.where("id IS NOT NULL")
-    reached = components(links(known, words, radius, sure, parts or range(1, sure + 2)))
+    reached = components(links(known, words, radius, parts or range(1, radius + 2)))
     named = classes.join(reached, "id", "left").select(*names, F.coalesce("component", "id").alias("component_id"))
     return prints.join(named, names)
 

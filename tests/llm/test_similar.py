@@ -1,7 +1,8 @@
 import numpy as np
+import pytest
 
 from forkline.llm import similar as sim
-from forkline.llm.simhash import similar_groups
+from forkline.llm.simhash import near_duplicate_groups, similar_groups
 
 
 def words(n, seed):
@@ -50,6 +51,19 @@ def test_every_link_from_the_stated_similarity_on(spark):
     assert all(got[10 * i + 3] == 10 * i + 3 for i in range(1, 60, 2))
 
 
+def test_links_do_not_depend_on_other_rows(spark):
+    pairs = {}
+    for i in range(20):
+        base = words(300, 70 + i)
+        pairs |= {-2 * i - 2: " ".join(base), -2 * i - 1: changed(base, 6, "x")}
+    crowd = {i: " ".join(words(40, 100 + i)) for i in range(2000)}
+    for texts in (pairs, pairs | crowd):
+        got = {r["doc_id"]: r["component_id"] for r in similar_groups(frame(spark, texts)).where("doc_id < 0").collect()}
+        assert got == {d: d if d % 2 == 0 else d - 1 for d in pairs}
+    with pytest.raises(TypeError):  # no radius beyond the sure one
+        near_duplicate_groups(None, 6, 58, sure=23)
+
+
 def test_full_keys_and_short_texts_against_brute_force(spark, monkeypatch):
     base, texts = words(120, 1), {}
     rnd = np.random.default_rng(3)
