@@ -3,9 +3,11 @@
 Each task packs its own documents in blocks of bounded size, so nothing is shuffled:
 
 1. every full window of the longest context is cut off a document at once;
-2. the remainder is routed to the tier of the next power of two;
-3. from the longest tier down, a remainder opens a sequence and its gap is filled with the
-   longest remainders of any tier that still fit, the last one cut to fit exactly;
+2. the remainder is routed to the tier of the next power of two, a quarter of the longest
+   context at least;
+3. from the longest tier down, each remainder of a tier opens a sequence of the tier's own
+   length, and the gap is filled with the longest remainders of the shorter tiers (the
+   shortest tier: of its own) that still fit, the last one cut to fit exactly;
 4. what a block leaves over becomes sequences of shorter powers of two, which need no padding;
 5. sequences are dealt to step groups of equal numbers of tokens, longest first.
 
@@ -29,6 +31,8 @@ SCHEMA = "doc_id bigint, start bigint, length bigint, doc_tokens bigint, sequenc
 #: Tokens that a block gathers before it is packed, and texts encoded in one go.
 BLOCK_TOKENS, BATCH = 1 << 20, 256
 TASK_BITS = 34
+#: The longest context is so many times the shortest tier's.
+TIERS = 4
 
 
 class Shelves:
@@ -57,6 +61,9 @@ class Shelves:
             return None
         return self._pop(least + 1 + (above & -above).bit_length() - 1)
 
+    def holds_longer(self, least: int) -> bool:
+        return self.stock >> (least + 1) > 0
+
     def _pop(self, n: int) -> tuple:
         piece = self.by_length[n].pop()
         if not self.by_length[n]:
@@ -74,9 +81,9 @@ def pack_block(lengths: list[int], longest: int) -> list[tuple[int, list[tuple[i
         sequences += [(longest, [(doc, at, longest)]) for at in range(0, full, longest)]
         shelves.put((doc, full, n - full))
         total += n - full
-    size = longest
+    size, least = longest, max(1, longest // TIERS)
     while total:
-        while size > total:
+        while size > total or (size > least and not shelves.holds_longer(size // 2)):  # this tier is done
             size >>= 1
         pieces, room = [], size
         while room:
