@@ -37,11 +37,21 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of similar texts (0.8 or more over five-word shingles) the one of smallest id stays."""
-    from forkline.llm.similar import similar_groups
-
-    groups = similar_groups(docs, similarity=0.8, shingle=5)
-    return without(docs, groups.where("doc_id <> component_id"), {"doc_id": "doc_id"})
+    """Of each group of similar texts (0.8 or more over five-word shingles) one row stays: that of smallest id, null last, then of smallest text hash."""
+    from forkline.llm.similar import similar_rows
+
+    rows = through_disk(similar_rows(docs, similarity=0.8, shingle=5), "groups")
+    rank = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")
+    groups = rows.groupBy("group").agg(F.count("*").alias("n"), F.min(rank).alias("first")).where("n > 1")
+    members = rows.join(groups, "group").groupBy("doc_id", "text_hash").agg(F.count("*").alias("n"), F.max(rank == F.col("first")).alias("stays"))
+    members = through_disk(members, "members")
+    hashed = docs.withColumn("__hash", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    rest = without(hashed, members.where("NOT stays OR n > 1"), {"cast(doc_id AS bigint)": "doc_id", "__hash": "text_hash"})
+    # equal rows of one id and text that stay as one
+    equal = members.where("stays AND n > 1").select(F.col("doc_id").alias("__id"), F.col("text_hash").alias("__hash"))
+    several = hashed.join(equal, F.col("doc_id").cast("bigint").eqNullSafe(F.col("__id")) & (hashed["__hash"] == equal["__hash"]), "left_semi")
+    one = several.groupBy("doc_id", "__hash").agg(F.min(F.struct(*docs.columns)).alias("row")).select("row.*")
+    return rest.drop("__hash").unionByName(one)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
