@@ -2,8 +2,8 @@
 
 Patterns (the base) find assignments of secrets, access keys and hex runs. The battery looks
 at every further run of 20 or more characters out of ``A-Za-z0-9+/_-`` that no base span
-touches. It infers the run's alphabet (decimal, hex, letters and digits of one case, base62,
-base64) and takes three p-values under the hypothesis of a fair random string over it:
+touches. It infers the run's alphabet (decimal, hex, base32, letters and digits of one case,
+base62, base64, base64url) and takes three p-values under the hypothesis of a fair random string over it:
 
 * chi-squared uniformity of the characters,
 * the Wald-Wolfowitz runs test of characters above and below the middle of the alphabet,
@@ -52,10 +52,14 @@ ALPHABETS = (
     ("decimal", "0123456789"),
     ("hex", "0123456789abcdef"),
     ("HEX", "0123456789ABCDEF"),
+    ("base32", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"),
+    ("lower32", "abcdefghijklmnopqrstuvwxyz234567"),
     ("lower36", "abcdefghijklmnopqrstuvwxyz0123456789"),
     ("upper36", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789"),
     ("base62", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"),
-    ("base64", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/-_"),
+    ("base64", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"),
+    ("base64url", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789-_"),
+    ("mixed", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/-_"),
 )
 
 SCHEMA = "doc_id bigint, n_assign bigint, n_access bigint, n_hex bigint, n_random bigint, base_spans string, spans string"
