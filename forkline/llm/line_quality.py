@@ -1,14 +1,25 @@
 """Quality rules: base counts, and a linear-chain conditional random field over the lines of a text.
 
 The field labels each line that holds a word as content or boilerplate from its own features
-and its neighbours' labels. It is trained by gradient ascent on the likelihood of a bounded
-sample of labelled texts, whose lines take the label of their text. Every text is decoded
-whole by Viterbi; it is kept if content lines hold at least ``content_share`` of its words
-and the base rules don't fail. Sampled are the labelled ids of smallest hash (``sample``);
-a sampled text of more than ``longest`` characters is left out of training only.
-
-Null text is empty and fails the base rules; without labels of both kinds every line is
-content; rows of equal or null ids are judged apart; an empty table stays empty.
+and its neighbours' labels. Every text is decoded whole by Viterbi; it is kept if content
+lines hold at least ``content_share`` of its words and the base rules don't fail.
+
+Training sees labels of texts alone, so the labels of their lines are latent. A text of label
+1 is one whose content lines hold ``content_share`` of its words or more, one of label 0 one
+whose content lines hold less. Training begins with a field without steps between lines, fit
+as if each line had its text's label. Then each of ``rounds`` rounds gives every line the
+label that is more probable under the field, turns the least certain lines of a text round
+where that breaks the text's own label, and fits the whole field to the result by gradient
+ascent on the likelihood (Adam, exact gradients by the forward-backward sums).
+
+The field is fit on a bounded sample: the ``sample`` labelled ids of smallest hash, with texts
+of any length. Executors compute the lines' features; they alone reach the driver. There, a
+text of more than ``stretch`` lines is several chains; its label holds for all of them.
+
+Null text is empty and fails the base rules; rows without words, null ids and labels other
+than 0 and 1 are left out of training; ids that occur several times count once for each row;
+without labels of both kinds every line is content; rows of equal or null ids are judged
+apart; an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -37,7 +48,15 @@ _STOP[list(b".!?\"')")] = True
 _FOLLOWS = np.zeros(256, bool)  # bytes inside a multi-byte character
 _FOLLOWS[0x80:0xC0] = True
 
-FEATURES = ("bias", "log words", "one or two words", "up to five words", "symbols a word", "bars a word", "ends a sentence", "digits", "words equal to the one before", "equals an earlier line", "word length")
+_UPPER = np.zeros(256, bool)
+_UPPER[65:91] = True
+_MARK = np.zeros(256, bool)  # ASCII punctuation
+_MARK[[*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]] = True
+
+FEATURES = (
+    "bias", "log words", "one or two words", "up to five words", "symbols a word", "bars a word", "ends a sentence", "digits",
+    "words equal to the one before", "equals an earlier line", "word length", "capitals", "marks a word", "two marks a word or more",
+)
 
 
 @dataclass(frozen=True)
@@ -53,8 +72,9 @@ class Field:
 class Settings:
     content_share: float = 0.5
     sample: int = 3000
-    longest: int = 60_000
-    steps: int = 150
+    rounds: int = 2
+    steps: int = 60
+    stretch: int = 100
     rate: float = 0.1
     penalty: float = 1e-3
 
@@ -112,6 +132,7 @@ class Counts:
         echoes = np.concatenate([[0], np.cumsum(echo)])
         last = block.data[np.maximum(e[np.maximum(w1 - 1, 0)] - 1, 0)] if len(ls) else np.zeros(0, np.uint8)
         chars = np.maximum(_within(whole, ls, le), 1)
+        marks = _within(_MARK[block.data], ls, le) / words
         self.features = np.stack(
             [
                 np.ones(len(ls)),
@@ -125,6 +146,9 @@ class Counts:
                 (echoes[w1] - echoes[np.minimum(w0 + 1, w1)]) / words,
                 again,
                 np.minimum(chars / words / 10, 3),
+                _within(_UPPER[block.data], ls, le) / chars,
+                np.minimum(marks, 3),
+                marks >= 2,
             ],
             axis=1,
         ).astype(np.float64)
@@ -168,74 +192,130 @@ def viterbi(score: np.ndarray, doc: np.ndarray, n: int, field: Field) -> np.ndar
     return state
 
 
-def train(blocks_: list[tuple[np.ndarray, np.ndarray, np.ndarray]], s: Settings) -> Field:
-    """Maximum likelihood by Adam. Each item: features of its lines, text of each line, label of each text."""
-    x = np.concatenate([b[0] for b in blocks_])
-    shift = np.cumsum([0, *(len(b[2]) for b in blocks_)])
-    doc = np.concatenate([b[1] + k for b, k in zip(blocks_, shift, strict=False)])
-    y_doc = np.concatenate([b[2] for b in blocks_])
-    n, y = len(y_doc), y_doc[doc]
-    order, count = _padded(doc, n)
-    first = np.concatenate([[0], np.cumsum(count)])[:-1]
-    longest = int(count.max())
-    steps = [order[: int(np.searchsorted(-count[order], -t, side="left"))] for t in range(longest)]
-    k = x.shape[1]
-    theta, m, v = np.zeros(k + 6), np.zeros(k + 6), np.zeros(k + 6)
-    truth = np.zeros(k + 6)
-    truth[:k] = x[y == 1].sum(0)
-    inner = np.ones(len(doc), bool)
-    inner[first[count > 0]] = False
-    pairs = np.zeros((2, 2))
-    for label in (0, 1):
-        pairs[label, label] = (inner & (y == label)).sum()
-    starts = np.bincount(y[first[count > 0]], minlength=2)
-    truth[k:] = [*pairs.ravel(), *starts]
-    for i in range(1, s.steps + 1):
-        unary, pair, start = x @ theta[:k], theta[k : k + 4].reshape(2, 2), theta[k + 4 :]
-        forward, backward = np.zeros((len(doc), 2)), np.zeros((len(doc), 2))
-        for t, own in enumerate(steps):
-            line = first[own] + t
-            a = np.tile(start, (len(own), 1)) if t == 0 else np.logaddexp(forward[line - 1, :1] + pair[0], forward[line - 1, 1:] + pair[1])
+class Lines:
+    """Features and words of the lines of ``n`` texts, laid out so that steps run over positions, vectorised over chains.
+
+    A chain is a text, or ``stretch`` lines in a row of a longer one.
+    """
+
+    def __init__(self, x: np.ndarray, words: np.ndarray, doc: np.ndarray, n: int, stretch: int = 1 << 40):
+        self.x, self.words, self.doc, self.n = x, words, doc, n
+        cut = np.ones(len(doc), bool)
+        cut[1:] = (doc[1:] != doc[:-1]) | ((np.arange(len(doc)) - np.searchsorted(doc, doc)) % stretch == 0)[1:]
+        chain = np.cumsum(cut) - 1
+        order, count = _padded(chain, int(cut.sum()))
+        self.first = np.cumsum(count) - count
+        self.heads = self.first[count > 0]
+        self.steps = [order[: int(np.searchsorted(-count[order], -t, side="left"))] for t in range(int(count.max(initial=0)))]
+        self.inner = np.ones(len(doc), bool)
+        self.inner[self.heads] = False
+
+    def field(self, theta: np.ndarray) -> Field:
+        k = self.x.shape[1]
+        return Field(theta[:k], theta[k : k + 4].reshape(2, 2), theta[k + 4 :])
+
+    def sums(self, theta: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Log sums up to each line, from each line on, over whole texts (told at each line), and scores of content."""
+        f = self.field(theta)
+        unary = self.x @ f.unary
+        forward, backward = np.zeros((len(unary), 2)), np.zeros((len(unary), 2))
+        for t, own in enumerate(self.steps):
+            line = self.first[own] + t
+            a = np.tile(f.start, (len(own), 1)) if t == 0 else np.logaddexp(forward[line - 1, :1] + f.pair[0], forward[line - 1, 1:] + f.pair[1])
             a[:, 1] += unary[line]
             forward[line] = a
-        for t in range(longest - 2, -1, -1):
-            line = first[steps[t + 1]] + t
+        for t in range(len(self.steps) - 2, -1, -1):
+            line = self.first[self.steps[t + 1]] + t
             nxt = backward[line + 1].copy()
             nxt[:, 1] += unary[line + 1]
-            backward[line] = np.stack([np.logaddexp(pair[a, 0] + nxt[:, 0], pair[a, 1] + nxt[:, 1]) for a in (0, 1)], axis=1)
-        whole = np.logaddexp(*(forward + backward).T)
+            backward[line] = np.stack([np.logaddexp(f.pair[a, 0] + nxt[:, 0], f.pair[a, 1] + nxt[:, 1]) for a in (0, 1)], axis=1)
+        return forward, backward, np.logaddexp(*(forward + backward).T), unary
+
+    def content(self, theta: np.ndarray) -> np.ndarray:
+        """Probability of each line to be content."""
+        forward, backward, whole, _ = self.sums(theta)
+        return np.exp(forward[:, 1] + backward[:, 1] - whole)
+
+    def likelihood(self, theta: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
+        """Log likelihood of the labelling ``y`` of all lines, and its gradient."""
+        k, f = self.x.shape[1], self.field(theta)
+        forward, backward, whole, unary = self.sums(theta)
+        at = np.flatnonzero(self.inner)
+        truth, expected = np.zeros(k + 6), np.zeros(k + 6)
+        truth[:k] = self.x[y == 1].sum(0)
         on = np.exp(forward[:, 1] + backward[:, 1] - whole)
-        expected = np.zeros(k + 6)
-        expected[:k] = on @ x
-        at = np.flatnonzero(inner)
+        expected[:k] = on @ self.x
         for a in (0, 1):
             for b in (0, 1):
-                e = forward[at - 1, a] + pair[a, b] + backward[at, b] + (unary[at] if b else 0) - whole[at]
-                expected[k + 2 * a + b] = np.exp(e).sum()
-        own = first[count > 0]
-        expected[k + 4 :] = [(1 - on[own]).sum(), on[own].sum()]
-        g = (truth - expected) / n - s.penalty * theta
+                truth[k + 2 * a + b] = ((y[at - 1] == a) & (y[at] == b)).sum()
+                expected[k + 2 * a + b] = np.exp(forward[at - 1, a] + f.pair[a, b] + backward[at, b] + (unary[at] if b else 0) - whole[at]).sum()
+        truth[k + 4 :] = np.bincount(y[self.heads], minlength=2)
+        expected[k + 4 :] = [(1 - on[self.heads]).sum(), on[self.heads].sum()]
+        return float(truth @ theta - whole[self.heads].sum()), truth - expected
+
+
+def ascend(lines: Lines, y: np.ndarray, theta: np.ndarray, s: Settings, steps_between: bool) -> np.ndarray:
+    """Adam on the penalised likelihood of the labelling; without ``steps_between`` the lines stay independent."""
+    k = lines.x.shape[1]
+    m, v = np.zeros(k + 6), np.zeros(k + 6)
+    for i in range(1, s.steps + 1):
+        g = lines.likelihood(theta, y)[1] / lines.n - s.penalty * theta
+        if not steps_between:
+            g[k:] = 0
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         theta = theta + s.rate * (m / (1 - 0.9**i)) / (np.sqrt(v / (1 - 0.999**i)) + 1e-8)
-    return Field(theta[:k], theta[k : k + 4].reshape(2, 2), theta[k + 4 :])
+    return theta
+
+
+def completed(lines: Lines, on: np.ndarray, y_doc: np.ndarray, share: float) -> np.ndarray:
+    """The more probable label of each line, but for the least certain lines of texts whose own label that would break."""
+    y = (on >= 0.5).astype(np.int64)
+    words = np.bincount(lines.doc, weights=lines.words, minlength=lines.n)
+    held = np.bincount(lines.doc, weights=lines.words * y, minlength=lines.n)
+    count = np.bincount(lines.doc, minlength=lines.n)
+    begin = np.cumsum(count) - count
+    for d in np.flatnonzero((count > 0) & ((held >= share * words) != (y_doc == 1))).tolist():
+        own = np.arange(begin[d], begin[d] + count[d])
+        wrong = own[y[own] != y_doc[d]]
+        for i in wrong[np.argsort(-np.where(y_doc[d], on[wrong], 1 - on[wrong]), kind="stable")].tolist():
+            y[i] = y_doc[d]
+            held[d] += lines.words[i] if y_doc[d] else -lines.words[i]
+            if (held[d] >= share * words[d]) == (y_doc[d] == 1):
+                break
+    return y
+
+
+def train(lines: Lines, y_doc: np.ndarray, s: Settings) -> Field:
+    theta = ascend(lines, y_doc[lines.doc], np.zeros(lines.x.shape[1] + 6), s, False)
+    for _ in range(s.rounds):
+        theta = ascend(lines, completed(lines, lines.content(theta), y_doc, s.content_share), theta, s, True)
+    return lines.field(theta)
 
 
 def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), label_col: str = "quality", id_col: str = "doc_id", text_col: str = "text") -> Field:
     known = labels.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(label_col).cast("int").alias("label")).where("doc_id IS NOT NULL AND label IN (0, 1)")
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(settings.sample)
-    texts = id_and_text(docs, id_col, text_col).where(F.length("text") <= settings.longest)
-    rows = texts.join(F.broadcast(picked), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "label", "text").limit(settings.sample).collect()
-    rows = [r for r in rows if r["text"].strip(" \t\n\r\x0b\x0c")]
-    if len({r["label"] for r in rows}) < 2:
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for first, block in blocks(batch.column(2)):
+                c = Counts(block)
+                edges = np.searchsorted(c.line_doc, np.arange(block.n_docs + 1))
+                own = [np.column_stack([c.features[a:b], c.line_words[a:b]]).astype(np.float32).tobytes() for a, b in zip(edges, edges[1:], strict=False)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, block.n_docs), batch.column(1).slice(first, block.n_docs), batch.column(3).slice(first, block.n_docs), pa.array(own, pa.binary())], names=["doc_id", "label", "tie", "lines"])
+
+    texts = id_and_text(docs, id_col, text_col).join(F.broadcast(picked), "doc_id").select("doc_id", "label", "text", F.xxhash64("text").alias("tie"))  # at most ``sample`` ids
+    held = texts.mapInArrow(lean(task), "doc_id bigint, label int, tie bigint, lines binary").where("length(lines) > 0")
+    rows = held.orderBy(F.xxhash64("doc_id"), "doc_id", "label", "tie").limit(settings.sample).collect()
+    y_doc = np.array([r["label"] for r in rows], np.int64)
+    if len(np.unique(y_doc)) < 2:
         return Field(np.zeros(len(FEATURES)), np.zeros((2, 2)), np.zeros(2))
-    parts = []
-    for first, block in blocks(pa.array([r["text"] for r in rows], pa.large_string())):
-        c = Counts(block)
-        parts.append((c.features, c.line_doc, np.array([r["label"] for r in rows[first : first + block.n_docs]])))
-    return train(parts, settings)
+    each = [np.frombuffer(r["lines"], np.float32).reshape(-1, len(FEATURES) + 1).astype(np.float64) for r in rows]
+    every = np.concatenate(each)
+    return train(Lines(every[:, :-1], every[:, -1], np.repeat(np.arange(len(each)), [len(e) for e in each]), len(each), settings.stretch), y_doc, settings)
 
 
-SCHEMA = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_content_words")), ("base_failed", pa.bool_()), ("kept", pa.bool_())])
+SCHEMA = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_content_words", "n_lines", "n_content_lines")), ("base_failed", pa.bool_()), ("kept", pa.bool_())])
 
 
 def verdict(c: Counts, content: np.ndarray, settings: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -255,10 +335,11 @@ def judge(docs: DataFrame, field: Field, settings: Settings = Settings(), id_col
                 c = Counts(block)
                 content = viterbi(c.features @ shared.value.unary, c.line_doc, block.n_docs, shared.value)
                 n_content, failed, kept = verdict(c, content, settings)
-                columns = [c.n_words, c.word_chars, c.n_symbols, c.n_dup_lines, c.n_repeat_words, n_content]
+                lines = [np.bincount(c.line_doc, minlength=block.n_docs), np.bincount(c.line_doc[content == 1], minlength=block.n_docs)]
+                columns = [c.n_words, c.word_chars, c.n_symbols, c.n_dup_lines, c.n_repeat_words, n_content, *lines]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, block.n_docs), *(pa.array(x.astype(np.int64)) for x in columns), pa.array(failed), pa.array(kept)], schema=SCHEMA)
 
-    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_content_words bigint, base_failed boolean, kept boolean")
+    return id_and_text(docs, id_col, text_col).mapInArrow(lean(task), "doc_id bigint, n_words bigint, word_chars bigint, n_symbols bigint, n_dup_lines bigint, n_repeat_words bigint, n_content_words bigint, n_lines bigint, n_content_lines bigint, base_failed boolean, kept boolean")
 
 
 def keep_good(docs: DataFrame, field: Field, settings: Settings = Settings(), text_col: str = "text") -> DataFrame:
