@@ -61,7 +61,7 @@ def op8_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from forkline.llm.secrets import scan_secrets
 
     found = scan_secrets(table(spark, sf_dir, "documents"))
-    return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans", "n_random")
+    return found.select("doc_id", "n_assign", "n_access", "n_hex", F.sha2("base_spans", 256).alias("base_sha256"), "spans", "n_random", "n_confirmed")
 
 
 def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -134,12 +134,6 @@ def test_secret_spans_against_brute_force(spark):
     assert sec.scan_secrets(spark.createDataFrame([], SCHEMA)).count() == 0
 
 
-def test_discovery_control():
-    assert sec.discoveries([], [], 0.1) == []
-    assert sec.discoveries([1e-9, 0.9, 0.8], [40, 40, 40], 0.01) == [True, False, False]
-    assert not any(sec.random_runs(["internationalization", "aaaaaaaaaaaaaaaaaaaaaaaa", "12345678901234567890"], 0.001, 0.001))
-
-
 def brute_contamination(docs, items, width):
     cut = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(t or ""))
     windows = {}
