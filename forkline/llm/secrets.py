@@ -299,5 +299,8 @@ def scan_secrets(docs: DataFrame, rate: float = 0.01, reject: float = 0.001, id_
 
     added = F.transform(found(False), lambda r: F.struct(r["start"].alias("start"), F.lit(3).alias("kind"), r["end"].alias("end")))
     told = rows.select("doc_id", "base", added.alias("added"), F.size(found(True)).cast("bigint").alias("n_confirmed"))
-    count = [F.size(F.filter("base", lambda x, k=k: x["kind"] == k)).cast("bigint").alias(f"n_{KINDS[k]}") for k in range(3)]
-    return told.select("doc_id", *count, F.size("added").cast("bigint").alias("n_random"), "n_confirmed", _spelt(F.col("base")).alias("base_spans"), _spelt(F.concat("base", "added")).alias("spans"))
+
+    def count(kind: int) -> Column:
+        return F.size(F.filter("base", lambda x: x["kind"] == kind)).cast("bigint").alias(f"n_{KINDS[kind]}")
+
+    return told.select("doc_id", *map(count, range(3)), F.size("added").cast("bigint").alias("n_random"), "n_confirmed", _spelt(F.col("base")).alias("base_spans"), _spelt(F.concat("base", "added")).alias("spans"))

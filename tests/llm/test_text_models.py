@@ -130,6 +130,7 @@ def test_secret_spans_against_brute_force(spark):
         want += [(m.start(), 2, m.end()) for m in re.finditer("[0-9a-f]+", t) if len(m[0]) >= 16]
         assert r["base_spans"] == ",".join(f"{sec.KINDS[k]}:{a}:{b}" for a, k, b in sorted(want))
         assert set(r["base_spans"].split(",")) - {""} <= set(r["spans"].split(","))
+        assert [r[f"n_{k}"] for k in sec.KINDS[:3]] == [sum(k == i for _, k, _ in want) for i in range(3)]
     assert rows[2]["spans"] == f"random:6:{6 + len(token)}"
     assert sec.scan_secrets(spark.createDataFrame([], SCHEMA)).count() == 0
 
