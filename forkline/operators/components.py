@@ -6,8 +6,14 @@ Two disciplines compute the same labels after every sweep:
 * unconditional: take the minimum of every vertex and write every label; no filter and no
   anti-join is in the plan, and a change shows in the OR of the XORs of new and old labels.
 
-Each sweep is one action: it writes an epoch to the shared folder and observes its own
-metrics on the way, so plans stay short and a lost executor costs one sweep.
+A conditional sweep is one action: it writes an epoch to the shared folder and observes its
+own metrics on the way. Unconditional sweeps read the labels once each, by way of a loop at
+every vertex, so ``unroll`` of them are one action that shuffles the edges once; each has
+metrics of its own. Plans stay short and a lost executor costs one action.
+
+``components_in_place`` follows the sequential order, in which a sweep sees its own changes:
+a vertex takes the new labels of its neighbours of smaller id and the old ones of the others.
+That is a fixed point over edges that lead upwards, reached by rounds over what still changes.
 """
 
 from __future__ import annotations
@@ -16,7 +22,9 @@ import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
@@ -24,8 +32,8 @@ from forkline.functions.selection import change_mask, smaller
 from forkline.graph import Graph
 from forkline.sources.tables import Epochs
 
-#: Deltas that are merged into a new full label table at once.
-COMPACT_EVERY = 8
+#: Deltas that are merged into a new full label table at once, unconditional sweeps of one action, and edges of a block.
+COMPACT_EVERY, UNROLL, BLOCK_EDGES = 8, 8, 1_000_000
 
 
 @dataclass(frozen=True)
@@ -42,6 +50,14 @@ class CCRun:
     labels: DataFrame
     sweeps: list[Sweep]
     history: list[DataFrame] = field(default_factory=list)
+    epochs: str | None = None  # folder of the epochs ``sweep=N(id, component, old)``, if a history is kept
+
+    def before_and_after(self, spark: SparkSession) -> DataFrame:
+        """``(iteration, id, before, after)``: the labels that each sweep found and left."""
+        if self.epochs is None:
+            raise ValueError("the run kept no history of full labels")
+        rows = spark.read.schema("id bigint, component bigint, old bigint, sweep int").parquet(self.epochs)
+        return rows.select(F.col("sweep").alias("iteration"), "id", F.col("old").alias("before"), F.col("component").alias("after"))
 
     def sweep_frame(self, spark: SparkSession) -> DataFrame:
         return spark.createDataFrame([(s.iteration, s.discipline, s.changed, s.written, s.elapsed_ns) for s in self.sweeps], "iteration int, discipline string, changed bigint, written bigint, elapsed_ns bigint")
@@ -92,12 +108,17 @@ def _messages(edges: DataFrame, labels: DataFrame) -> DataFrame:
     return edges.join(labels, edges["dst"] == labels["id"]).select(F.col("src").alias("id"), F.col("component").alias("heard"))
 
 
+def closed(g: Graph) -> DataFrame:
+    """Edges and a loop at every vertex, by which a vertex hears its own label too."""
+    return g.edges.select("src", "dst").unionByName(g.vertices.select(F.col("id").alias("src"), F.col("id").alias("dst")))
+
+
 def sweep_unconditional(edges: DataFrame, labels: DataFrame, select_style: str = "least") -> DataFrame:
-    """``(id, component, old)`` of every vertex after a sweep."""
-    own = labels.select("id", F.lit(None).cast("bigint").alias("heard"), F.col("component").alias("old"))
-    heard = _messages(edges, labels).select("id", "heard", F.lit(None).cast("bigint").alias("old"))
-    met = own.unionByName(heard).groupBy("id").agg(F.min("heard").alias("heard"), F.max("old").alias("old"))
-    return met.select("id", smaller(F.col("old"), F.coalesce("heard", "old"), select_style).alias("component"), "old")
+    """``(id, component, old)`` of every vertex after a sweep; ``edges`` are closed."""
+    heard = edges.join(labels.select(F.col("id").alias("dst"), "component"), "dst")
+    own = F.col("src") == F.col("dst")
+    met = heard.groupBy(F.col("src").alias("id")).agg(F.min("component").alias("heard"), F.max(F.when(own, F.col("component"))).alias("old"))
+    return met.select("id", smaller(F.col("old"), F.col("heard"), select_style).alias("component"), "old")
 
 
 def sweep_conditional(edges: DataFrame, labels: DataFrame, speaking: DataFrame | None = None) -> DataFrame:
@@ -146,23 +167,32 @@ class _Loop:
             out = out.unionByName(d)
         return out.groupBy("id").agg(F.min("component").alias("component"))
 
-    def _note(self, discipline: str, changed: int, written: int, began: int) -> bool:
-        self.sweeps.append(Sweep(len(self.sweeps) + 1, discipline, changed, written, time.perf_counter_ns() - began))
+    def _note(self, discipline: str, changed: int, written: int, elapsed_ns: int) -> bool:
+        self.sweeps.append(Sweep(len(self.sweeps) + 1, discipline, changed, written, elapsed_ns))
         if self.keep:
             self.history.append(self.labels())
         return changed > 0
 
-    def unconditional(self, shortcut: bool, style: str) -> bool:
-        began, seen = time.perf_counter_ns(), Observation()
-        new = sweep_unconditional(self.g.edges, self.labels(), style)
-        if shortcut:
-            new = _jump(new, style)
-        marked = new.observe(seen, change_mask(F.col("component"), F.col("old")).alias("mask"), F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed"), F.count("*").alias("written"))
-        written = self._put(f"sweep-{len(self.sweeps) + 1}", marked, True)
-        told = seen.get
+    def unconditional(self, shortcut: bool, style: str, most: int | None = None) -> bool:
+        """Some sweeps in one action; ``most`` are allowed. Sweeps after the one that changes nothing don't count."""
+        began, edges, new, seen = time.perf_counter_ns(), closed(self.g), self.labels(), []
+        # a jump reads the labels twice, a history needs each sweep's, and plans of no rows lose inner metrics
+        alone = shortcut or self.keep or not (self.sweeps or self.g.vertices.limit(1).count())
+        unroll = 1 if alone else min(UNROLL, most or UNROLL)
+        for _ in range(unroll):
+            new = sweep_unconditional(edges, new, style)
+            if shortcut:
+                new = _jump(new, style)
+            seen.append(Observation())
+            new = new.observe(seen[-1], change_mask(F.col("component"), F.col("old")).alias("mask"), F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed"), F.count("*").alias("written"))
+        written = self._put(f"sweep={len(self.sweeps) + unroll}", new, True)
         self.base, self.deltas = written.select("id", "component"), []
         self.changed = written.where("component <> old").select("id", "component")
-        return self._note("unconditional", int(told["changed"] or 0), int(told["written"]), began) and bool(told["mask"])
+        told, each = [x.get for x in seen], (time.perf_counter_ns() - began) // unroll
+        for one in told:
+            if not self._note("unconditional", int(one["changed"] or 0), int(one["written"]), each) or not one["mask"]:
+                return False
+        return True
 
     def conditional(self, delta_scan: bool, shortcut: bool) -> bool:
         began, seen = time.perf_counter_ns(), Observation()
@@ -171,7 +201,7 @@ class _Loop:
         if shortcut:
             merged = labels.select("id", "component", F.col("component").alias("old")).unionByName(delta.withColumn("old", F.lit(None).cast("bigint"))).groupBy("id").agg(F.min("component").alias("component"), F.max("old").alias("old"))
             delta = _jump(merged).where("component < old").select("id", "component")
-        written = self._put(f"sweep-{len(self.sweeps) + 1}", delta.observe(seen, F.count("*").alias("n")), False)
+        written = self._put(f"sweep={len(self.sweeps) + 1}", delta.observe(seen, F.count("*").alias("n")), False)
         n = int(seen.get["n"])
         self.changed = written
         self.deltas.append(written)
@@ -179,10 +209,10 @@ class _Loop:
             last = self.stale.pop()  # the next sweep reads what this one changed
             self.base, self.deltas = self._put(f"labels-{len(self.sweeps) + 1}", self.labels(), True), []
             self.stale.append(last)
-        return self._note("conditional", n, n, began)
+        return self._note("conditional", n, n, time.perf_counter_ns() - began)
 
     def result(self) -> CCRun:
-        return CCRun(self.labels(), self.sweeps, self.history)
+        return CCRun(self.labels(), self.sweeps, self.history, self.epochs.root if self.keep and not self.deltas else None)
 
 
 def _bounded(max_sweeps: int | None) -> Callable[[int], bool]:
@@ -193,7 +223,7 @@ def _bounded(max_sweeps: int | None) -> Callable[[int], bool]:
 
 def components_unconditional(g: Graph, max_sweeps: int | None = None, shortcut: bool = False, select_style: str = "least", keep_history: bool = False) -> CCRun:
     loop, more = _Loop(g, keep_history), _bounded(max_sweeps)
-    while more(len(loop.sweeps)) and loop.unconditional(shortcut, select_style):
+    while more(len(loop.sweeps)) and loop.unconditional(shortcut, select_style, None if max_sweeps is None else max_sweeps - len(loop.sweeps)):
         pass
     return loop.result()
 
@@ -215,7 +245,7 @@ def components_hybrid(g: Graph, policy: SwitchPolicy | None = None, max_sweeps:
     n = g.vertices.count()
     switched, going = False, True
     while going and more(len(loop.sweeps)):
-        going = loop.conditional(True, shortcut) if switched else loop.unconditional(shortcut, "least")
+        going = loop.conditional(True, shortcut) if switched else loop.unconditional(shortcut, "least", 1)  # the policy is asked after each
         switched = switched or policy.switch(loop.sweeps, n)
     return loop.result()
 
@@ -224,6 +254,11 @@ def labels_after(g: Graph, sweeps: int) -> DataFrame:
     return components_unconditional(g, max_sweeps=sweeps).labels
 
 
+def distinct_labels(run: CCRun, spark: SparkSession) -> DataFrame:
+    """``(iteration, labels)``: how many different labels each sweep of a run with history leaves."""
+    return run.before_and_after(spark).groupBy("iteration").agg(F.countDistinct("after").alias("labels"))
+
+
 def component_sizes(labels: DataFrame) -> DataFrame:
     return labels.groupBy("component").agg(F.count("*").alias("size"))
 
@@ -245,13 +280,48 @@ def approx_components(labels: DataFrame, rsd: float = 0.02) -> DataFrame:
     return labels.agg(F.approx_count_distinct("component", rsd).alias("components"))
 
 
-def sequential_reference(g: Graph, max_edges: int = 2_000_000, conditional: bool = True) -> DataFrame:
-    """In-place sweeps in the sequential order, for tests on small graphs: ``(id, component, sweeps, stores)``.
+def _upwards(edges: DataFrame, epochs: Epochs, sweep: int, labels: DataFrame) -> tuple[DataFrame, int]:
+    """``(id, component, old)`` after one sweep in sequential order over ``labels``, and how many labels changed.
 
-    Labels change within a sweep, hence fewer sweeps than the synchronous ones.
+    What a vertex takes from larger neighbours is one aggregate; then labels that fell climb
+    to larger neighbours, round after round, until none improves.
+    """
+    above = edges.where("src < dst").join(labels.select(F.col("id").alias("dst"), "component"), "dst").groupBy(F.col("src").alias("id")).agg(F.min("component").alias("heard"))
+    start = labels.join(above, "id", "left").select("id", F.least("component", F.coalesce("heard", "component")).alias("component"), F.col("component").alias("old"))
+    now = epochs.put(f"start-{sweep}-0", start)
+    speaking, k = now.select("id", "component"), 0
+    while True:
+        k, seen = k + 1, Observation()
+        heard = edges.where("dst < src").join(speaking.select(F.col("id").alias("dst"), "component"), "dst").groupBy(F.col("src").alias("id")).agg(F.min("component").alias("heard"))
+        lower = now.join(heard, "id").where("heard < component").select("id", F.col("heard").alias("component"))
+        speaking = epochs.put(f"climb-{sweep}-{k}", lower.observe(seen, F.count("*").alias("n")))
+        if not int(seen.get["n"]):
+            break
+        merged = now.unionByName(speaking.withColumn("old", F.lit(None).cast("bigint"))).groupBy("id").agg(F.min("component").alias("component"), F.max("old").alias("old"))
+        now = epochs.put(f"start-{sweep}-{k}", merged)
+    seen = Observation()
+    done = epochs.put(f"labels/sweep={sweep}", now.observe(seen, F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed")))
+    epochs.drop(*(f"start-{sweep}-{i}" for i in range(k)), *(f"climb-{sweep}-{i}" for i in range(1, k + 1)))
+    return done, int(seen.get["changed"] or 0)
+
+
+def components_in_place(g: Graph, max_sweeps: int | None = None) -> CCRun:
+    """Sweeps in the sequential order, vertices by ascending id, that see their own changes; any size.
+
+    Labels after each sweep, and the number of sweeps, are those of a sequential kernel.
     """
-    if g.edges.limit(max_edges + 1).count() > max_edges:
-        raise ValueError("the sequential reference is for small graphs")
+    epochs, more, sweeps = Epochs(g.edges.sparkSession, "in-place"), _bounded(max_sweeps), []
+    edges, labels, changed = g.edges.select("src", "dst"), init_labels(g), 1
+    while changed and more(len(sweeps)):
+        began = time.perf_counter_ns()
+        written, changed = _upwards(edges, epochs, len(sweeps) + 1, labels)
+        labels = written.select("id", "component")
+        sweeps.append(Sweep(len(sweeps) + 1, "in-place", changed, changed, time.perf_counter_ns() - began))
+    return CCRun(labels, sweeps, [], f"{epochs.root}/labels")
+
+
+def sequential_reference(g: Graph, conditional: bool = True) -> DataFrame:
+    """The same walked by one task, for tests on small graphs: ``(id, component, sweeps, stores)``."""
 
     def run(t: pd.DataFrame) -> pd.DataFrame:
         near: dict[int, list[int]] = {int(v): [] for v in t.loc[t["dst"].isna(), "src"]}
@@ -275,36 +345,40 @@ def sequential_reference(g: Graph, max_edges: int = 2_000_000, conditional: bool
     return rows.groupBy(F.lit(0).alias("all")).applyInPandas(lambda t: run(t[["src", "dst"]]), "id bigint, component bigint, sweeps int, stores bigint")
 
 
-def components_blocked(g: Graph, blocks: int = 8, max_sweeps: int = 1000) -> CCRun:
+def _settled(t: pa.Table) -> pa.Table:
+    """Lowest labels within a block whose outside neighbours keep theirs: ``(id, heard)``."""
+    src, dst, own, far = (t.column(c).to_numpy() for c in ("src", "dst", "own", "far"))
+    ids, at = np.unique(src, return_inverse=True)
+    label = np.full(len(ids), np.iinfo(np.int64).max)
+    np.minimum.at(label, at, np.minimum(own, far))
+    to = np.searchsorted(ids, dst)
+    to[to == len(ids)] = 0
+    inside = ids[to] == dst
+    a, b = at[inside], to[inside]
+    while True:
+        before = label.copy()
+        np.minimum.at(label, a, label[b])
+        if (label == before).all():
+            return pa.table({"id": ids, "heard": label})
+
+
+def components_blocked(g: Graph, blocks: int | None = None, max_sweeps: int | None = None) -> CCRun:
     """Sweeps that are in place inside a block of vertices and synchronous between blocks.
 
-    A block is a hash of ids. Each task settles its own edges before labels are exchanged.
+    A block is a hash of ids, of about ``BLOCK_EDGES`` edges unless ``blocks`` says how many
+    there are. Each task settles its own edges before labels are exchanged.
     """
+    blocks = blocks or max(8, -(-g.edges.count() // BLOCK_EDGES))
     dealt = g.edges.withColumn("block", F.pmod(F.xxhash64("src"), F.lit(blocks)).cast("int"))
-    loop = _Loop(g, False)
-
-    def settle(key, t: pd.DataFrame) -> pd.DataFrame:
-        label = dict(zip(t["src"], t["own"], strict=True))
-        near: dict[int, list[tuple[int, int]]] = {}
-        for a, b, far in t[["src", "dst", "far"]].itertuples(index=False):
-            near.setdefault(a, []).append((b, far))
-        moved = True
-        while moved:
-            moved = False
-            for v in sorted(near):
-                low = min(label[v], *(label.get(u, far) if u in label else far for u, far in near[v]))
-                if low < label[v]:
-                    label[v], moved = low, True
-        return pd.DataFrame({"id": list(label), "heard": list(label.values())})
-
-    for _ in range(max_sweeps):
+    loop, more = _Loop(g, False), _bounded(max_sweeps)
+    while more(len(loop.sweeps)):
         began, seen = time.perf_counter_ns(), Observation()
         labels = loop.labels()
         both = dealt.join(labels.select(F.col("id").alias("dst"), F.col("component").alias("far")), "dst").join(labels.select(F.col("id").alias("src"), F.col("component").alias("own")), "src")
-        heard = both.groupBy("block").applyInPandas(settle, "id bigint, heard bigint")
+        heard = both.groupBy("block").applyInArrow(_settled, "id bigint, heard bigint")
         new = labels.join(heard, "id", "left").select("id", F.least("component", F.coalesce("heard", "component")).alias("component"), F.col("component").alias("old"))
-        written = loop.epochs.put(f"sweep-{len(loop.sweeps) + 1}", new.observe(seen, F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed"), F.count("*").alias("written")))
+        written = loop._put(f"sweep={len(loop.sweeps) + 1}", new.observe(seen, F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed"), F.count("*").alias("written")), True)
         loop.base = written.select("id", "component")
-        if not loop._note("blocked", int(seen.get["changed"] or 0), int(seen.get["written"]), began):
-            return loop.result()
-    raise RuntimeError("blocked sweeps did not settle")
+        if not loop._note("blocked", int(seen.get["changed"] or 0), int(seen.get["written"]), time.perf_counter_ns() - began):
+            break
+    return loop.result()

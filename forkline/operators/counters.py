@@ -15,9 +15,9 @@ from pyspark.sql import functions as F
 
 from forkline.graph import Graph, degrees
 from forkline.operators.bfs import bfs_conditional, bfs_unconditional, queue_order
-from forkline.operators.components import components_conditional, components_unconditional, init_labels
+from forkline.operators.components import CCRun, components_conditional, components_in_place, components_unconditional
 from forkline.operators.predictor import PredictorSpec, compose_ordered, identity, run_function, then, two_bit, walk
-from forkline.operators.trace import bfs_loop_trace, bfs_test_trace, cc_loop_trace, cc_test_trace, fold_by_vertex
+from forkline.operators.trace import bfs_loop_trace, bfs_test_fold, cc_loop_trace, cc_test_fold
 from forkline.sources.tables import stored
 
 SITE_SCHEMA = "graph string, method string, variant string, order string, predictor string, iteration int, site string, evaluations bigint, taken bigint, mispredictions bigint"
@@ -60,33 +60,42 @@ class _Site:
         return code // self.spec.states
 
 
-def cc_site_stats(g: Graph, variant: str = "conditional", spec: PredictorSpec | None = None) -> DataFrame:
-    """Sites ``cc.sweep``, ``cc.vertex``, ``cc.neighbor`` and, if conditional, ``cc.test``; an iteration is a sweep."""
+#: Messages that one job folds at least, if so many sweeps are left.
+JOB_MESSAGES = 50_000_000
+
+
+def cc_site_stats(g: Graph, variant: str = "conditional", spec: PredictorSpec | None = None, order: str = "sync", run: CCRun | None = None) -> DataFrame:
+    """Sites ``cc.sweep``, ``cc.vertex``, ``cc.neighbor`` and, if conditional, ``cc.test``; an iteration is a sweep.
+
+    ``order`` is ``sync`` or ``inplace``. A run with history may be given, so that several
+    predictors share it. Sweeps are folded from its epochs, as many in a job as make
+    ``JOB_MESSAGES``, so what a job shuffles does not grow with the number of sweeps.
+    """
+    if order not in ("sync", "inplace"):
+        raise ValueError("order must be sync or inplace")
     spec = spec or two_bit()
     spark = g.edges.sparkSession
-    run = components_unconditional(g, keep_history=True)
+    run = run or (components_unconditional(g, keep_history=True) if order == "sync" else components_in_place(g))
     sweeps = len(run.sweeps)
     n, adjacent = g.vertices.count(), g.edges.count()
     loops = compose_ordered(cc_loop_trace(g, spec).withColumn("all", F.lit(0)), ["all"], ["seq_hi"], spec).get((0,), identity(spec))
     tests: dict[int, tuple[list[int], int]] = {}
     if variant == "conditional":
-        befores = [init_labels(g), *run.history[:-1]]
-        whole = None
-        for i, labels in enumerate(befores, start=1):
-            one = cc_test_trace(g.edges, labels).withColumn("iteration", F.lit(i))
-            whole = one if whole is None else whole.unionByName(one)
-        folded = stored(fold_by_vertex(whole, spec, ["iteration"]), "trace")
-        functions = compose_ordered(folded, ["iteration"], ["seq_hi", "chunk"], spec)
-        taken = {r["iteration"]: r["taken"] for r in folded.groupBy("iteration").agg(F.sum("taken").alias("taken")).collect()}
-        tests = {i: (functions.get((i,), identity(spec)), taken.get(i, 0)) for i in range(1, sweeps + 1)}
-    return spark.createDataFrame(_cc_rows(g.name, variant, spec, sweeps, n, adjacent, loops, tests), SITE_SCHEMA)
-
-
-def _cc_rows(graph: str, variant: str, spec: PredictorSpec, sweeps: int, n: int, adjacent: int, loops: list[int], tests: dict[int, tuple[list[int], int]]) -> list[tuple]:
+        history, step = run.before_and_after(spark), max(1, JOB_MESSAGES // max(1, adjacent))
+        for first in range(1, sweeps + 1, step):
+            some = history.where(F.col("iteration").between(first, first + step - 1))
+            folded = stored(cc_test_fold(g.edges, some, spec, order), "trace")
+            functions = compose_ordered(folded, ["iteration"], ["seq_hi", "chunk"], spec)
+            taken = {r["iteration"]: r["taken"] for r in folded.groupBy("iteration").agg(F.sum("taken").alias("taken")).collect()}
+            tests |= {i: (functions.get((i,), identity(spec)), taken.get(i, 0)) for i in range(first, min(sweeps, first + step - 1) + 1)}
+    return spark.createDataFrame(_cc_rows(g.name, variant, order, spec, sweeps, n, adjacent, loops, tests), SITE_SCHEMA)
+
+
+def _cc_rows(graph: str, variant: str, order: str, spec: PredictorSpec, sweeps: int, n: int, adjacent: int, loops: list[int], tests: dict[int, tuple[list[int], int]]) -> list[tuple]:
     site = {s: _Site(spec) for s in ("cc.sweep", "cc.vertex", "cc.neighbor", "cc.test")}
     again, leave = walk([True], spec), walk([False], spec)
     vertices = then(run_function(n, True, spec), leave, spec)
-    head = (graph, "cc", variant, "sync", spec.name)
+    head = (graph, "cc", variant, order, spec.name)
     rows = []
     for i in range(1, sweeps + 1):
         last = i == sweeps
@@ -110,8 +119,7 @@ def bfs_site_stats(g: Graph, variant: str = "conditional", spec: PredictorSpec |
     functions: dict[tuple, list[int]] = {}
     taken: dict[int, int] = {}
     if variant == "conditional":
-        at = queue.select(F.col("rank").alias("seq_hi"), "dist")
-        folded = stored(fold_by_vertex(bfs_test_trace(queue, g.edges).join(at, "seq_hi"), spec, ["dist"]), "trace")
+        folded = stored(bfs_test_fold(queue, g.edges, spec), "trace")
         functions = compose_ordered(folded, ["dist"], ["seq_hi", "chunk"], spec)
         taken = {r["dist"]: r["taken"] for r in folded.groupBy("dist").agg(F.sum("taken").alias("taken")).collect()}
     site = {s: _Site(spec) for s in ("bfs.queue", "bfs.neighbor", "bfs.test")}

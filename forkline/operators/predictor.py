@@ -2,8 +2,9 @@
 
 A stretch of a trace acts on a saturating counter as a function from start state to (end
 state, misses). Such functions compose associatively, so stretches are folded where they
-lie, ranges of stretches in their order, and the few range results on the driver. No window
-runs over a whole trace. A function is an array of ``misses * states + end`` by start state.
+lie, ranges of stretches in their order (many at once, in pairs), and the few range results
+on the driver. No window runs over a whole trace. A function is an array of
+``misses * states + end`` by start state.
 """
 
 from __future__ import annotations
@@ -11,7 +12,9 @@ from __future__ import annotations
 from collections.abc import Iterator
 from dataclasses import dataclass
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
@@ -117,10 +120,19 @@ def _step_column(code: Column, taken: Column, spec: PredictorSpec) -> Column:
     return F.when(taken, up).otherwise(down).cast("bigint")
 
 
+def start_codes(spec: PredictorSpec) -> Column:
+    """The function of an empty stretch."""
+    return F.array(*(F.lit(s).cast("bigint") for s in range(spec.states)))
+
+
+def step_codes(codes: Column, taken: Column, spec: PredictorSpec) -> Column:
+    """A function followed by one outcome."""
+    return F.transform(codes, lambda c: _step_column(c, taken, spec))
+
+
 def fold_outcomes(outcomes: Column, spec: PredictorSpec) -> Column:
     """Function of an array of outcomes, as an array of codes."""
-    start = F.array(*(F.lit(s).cast("bigint") for s in range(spec.states)))
-    return F.aggregate(outcomes, start, lambda acc, x: F.transform(acc, lambda c: _step_column(c, x, spec)))
+    return F.aggregate(outcomes, start_codes(spec), lambda acc, x: step_codes(acc, x, spec))
 
 
 def loop_transfer(trips: Column, spec: PredictorSpec) -> Column:
@@ -133,27 +145,63 @@ def loop_transfer(trips: Column, spec: PredictorSpec) -> Column:
     return F.element_at(rows, at + 1)
 
 
+def compose_runs(codes: np.ndarray, group: np.ndarray, states: int) -> tuple[np.ndarray, np.ndarray]:
+    """Functions ``codes`` (rows, states) of neighbouring rows of one group made one: a row a run of equal ``group``.
+
+    Rows meet in pairs, so a run of n is done after log2(n) vectorised steps.
+    """
+    while len(group):
+        first = np.ones(len(group), bool)
+        first[1:] = group[1:] != group[:-1]
+        begin = np.flatnonzero(first)
+        place = np.arange(len(group)) - np.repeat(begin, np.diff(np.append(begin, len(group))))
+        left = np.flatnonzero((place % 2 == 0) & np.append(~first[1:], False))  # rows with a partner after them
+        if not len(left):
+            break
+        a, b = codes[left], codes[left + 1]
+        end = np.take_along_axis(b, a % states, axis=1)
+        codes = codes.copy()
+        codes[left] = (a // states + end // states) * states + end % states
+        keep = np.ones(len(group), bool)
+        keep[left + 1] = False
+        codes, group = codes[keep], group[keep]
+    return codes, group
+
+
 def compose_ordered(stretches: DataFrame, groups: list[str], order: list[str], spec: PredictorSpec, function: str = "f") -> dict[tuple, list[int]]:
     """Function of each group's stretches in their order. ``order`` ends a total order within a group.
 
     Ranges of (groups, order) are folded by one task each; a row a range and group comes back.
     """
-    keys = [*groups, *order]
+    keys, n = [*groups, *order], spec.states
     laid = stretches.select(*keys, function).repartitionByRange(*(F.col(k) for k in keys)).sortWithinPartitions(*keys)
 
-    def fold(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, held = TaskContext.get().partitionId(), {}
-        for t in batches:
-            for row in t[[*groups, function]].itertuples(index=False, name=None):
-                key = row[:-1]
-                f = [int(x) for x in row[-1]]
-                held[key] = then(held[key], f, spec) if key in held else f
-        yield pd.DataFrame([(part, *key, f) for key, f in held.items()], columns=["__part", *groups, function])
-
-    kinds = {f.name: f.dataType.simpleString() for f in stretches.schema}
-    folded = laid.mapInPandas(fold, ", ".join(["__part int", *(f"{g} {kinds[g]}" for g in groups), f"{function} array<bigint>"]))
+        names, held = [], (np.zeros((0, n), np.int64), np.zeros(0, np.int64))  # each distinct group of the range, and its place in the names
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            new = np.zeros(batch.num_rows, bool)
+            for g in groups:
+                column = batch.column(batch.schema.get_field_index(g))
+                new[1:] |= pc.not_equal(column.slice(1), column.slice(0, len(column) - 1)).to_numpy(zero_copy_only=False)
+            heads = [tuple(batch.column(batch.schema.get_field_index(g))[i].as_py() for g in groups) for i in np.flatnonzero(np.append(True, new[1:])).tolist()]
+            joined = bool(names) and names[-1] == heads[0]
+            place = np.cumsum(new) + len(names) - joined
+            names += heads[joined:]
+            codes = batch.column(batch.schema.get_field_index(function)).flatten().to_numpy().reshape(-1, n)
+            held = compose_runs(np.concatenate([held[0], codes]), np.concatenate([held[1], place]), n)
+        part = TaskContext.get().partitionId()
+        columns = [pa.array([part] * len(names), pa.int32()), *(pa.array([k[i] for k in names], types[i]) for i in range(len(groups))), pa.array(held[0].tolist(), pa.list_(pa.int64()))]
+        yield pa.RecordBatch.from_arrays(columns, names=["__part", *groups, function])
+
+    from pyspark.sql.pandas.types import to_arrow_type
+
+    kinds = {f.name: f.dataType for f in stretches.schema}
+    types = [to_arrow_type(kinds[g]) for g in groups]
+    folded = laid.mapInArrow(fold, ", ".join(["__part int", *(f"{g} {kinds[g].simpleString()}" for g in groups), f"{function} array<bigint>"]))
     out: dict[tuple, list[int]] = {}
     for row in sorted(folded.collect(), key=lambda r: r["__part"]):
         key = tuple(row[g] for g in groups)
@@ -162,17 +210,10 @@ def compose_ordered(stretches: DataFrame, groups: list[str], order: list[str], s
     return out
 
 
-def simulate(trace: DataFrame, spec: PredictorSpec, groups: list[str], order: list[str], chunk: int = 65_536) -> dict[tuple, list[int]]:
-    """Function of each group of ``trace(.., taken)``: stretches of ``chunk`` outcomes along ``order[0]`` are folded first."""
-    keys = [*groups, *order]
-    if len(order) == 1:
-        cut = trace.withColumn("__chunk", F.floor(F.col(order[0]) / chunk).cast("bigint"))
-    else:
-        cut = trace.withColumn("__chunk", F.col(order[0]))
-    lists = cut.groupBy(*groups, "__chunk").agg(F.sort_array(F.collect_list(F.struct(*order, "taken"))).alias("o"))
-    folded = lists.select(*groups, "__chunk", fold_outcomes(F.col("o.taken"), spec).alias("f"))
-    _ = keys
-    return compose_ordered(folded, groups, ["__chunk"], spec)
+def simulate(trace: DataFrame, spec: PredictorSpec, groups: list[str], order: list[str]) -> dict[tuple, list[int]]:
+    """Function of each group of ``trace(.., taken)`` in the order of ``order``: every outcome is a stretch of its own."""
+    one = F.array(*(_step_column(F.lit(s).cast("bigint"), F.col("taken"), spec) for s in range(spec.states)))
+    return compose_ordered(trace.select(*groups, *order, one.alias("f")), groups, order, spec)
 
 
 def one_bit_misses(trace: DataFrame, groups: list[str], order: list[str], start: bool = False) -> DataFrame:

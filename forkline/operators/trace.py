@@ -1,24 +1,58 @@
 """Branch sites of the sequential kernels and their exact outcomes, as relations.
 
-Synchronous order: the kernel reads the labels of the sweep before; vertices and neighbours
-by ascending id. Searches: vertices by place in the queue, neighbours by ascending id.
-Traces are derived from labels or places when they are folded, never stored.
+Orders of the component kernel: ``sync`` reads the labels of the sweep before; ``inplace``
+sees those of smaller neighbours as this sweep left them. Vertices and neighbours go by
+ascending id. Searches: vertices by place in the queue, neighbours by ascending id.
+
+Traces are derived from labels or places and folded at once, never stored. The neighbours of
+a hub are cut at ids that split the edges of hubs evenly, so that no group of rows, and no
+window, holds more of them than ``HUB_CHUNK`` or so; the running minimum crosses cuts as the
+minimum of the pieces before, one row each.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from forkline.graph import Graph, degrees
-from forkline.operators.predictor import PredictorSpec, fold_outcomes, loop_transfer
+from forkline.operators.predictor import PredictorSpec, fold_outcomes, loop_transfer, start_codes, step_codes
 
 HUB_CHUNK = 65_536
+#: Cuts at most; more would only make the pieces of the largest hubs smaller.
+MOST_CUTS = 10_000
+
+
+def hub_cuts(edges: DataFrame, chunk: int = HUB_CHUNK) -> list[int]:
+    """Ids that part the neighbours of hubs into pieces of about ``chunk``; none if no vertex has so many."""
+    hubs = edges.groupBy("src").agg(F.count("*").alias("n")).where(F.col("n") > chunk)
+    most = hubs.agg(F.max("n").alias("n")).first()["n"]
+    if not most:
+        return []
+    pieces = min(MOST_CUTS, -(-most // chunk))
+    at = [i / pieces for i in range(1, pieces)]
+    found = edges.join(hubs.select("src"), "src", "left_semi").agg(F.percentile_approx("dst", at, 100 * pieces).alias("q")).first()["q"]
+    return sorted(set(found))
+
+
+def piece_of(dst: Column, cuts: list[int]) -> Column:
+    """Number of the piece that a neighbour falls into."""
+    if not cuts:
+        return F.lit(0)
+    return F.aggregate(F.array(*(F.lit(c).cast("bigint") for c in cuts)), F.lit(0), lambda n, c: n + (dst > c).cast("int"))
+
+
+def _heard(edges: DataFrame, history: DataFrame, order: str) -> DataFrame:
+    """``(iteration, src, dst, heard)``: the label that the kernel reads at each neighbour; ``history(iteration, id, before, after)``."""
+    far = history.select("iteration", F.col("id").alias("dst"), "before", "after")
+    met = edges.select("src", "dst").join(far, "dst")
+    label = F.col("before") if order == "sync" else F.when(F.col("dst") < F.col("src"), F.col("after")).otherwise(F.col("before"))
+    return met.select("iteration", "src", "dst", label.alias("heard"))
 
 
 def cc_test_trace(edges: DataFrame, labels: DataFrame) -> DataFrame:
-    """``(seq_hi, seq_lo, taken)``: is the neighbour's label below the minimum so far of the vertex and the neighbours before?"""
+    """``(seq_hi, seq_lo, taken)`` of one synchronous sweep over ``labels``, row by row: is the neighbour's label below the least so far?"""
     far = labels.select(F.col("id").alias("dst"), F.col("component").alias("heard"))
     own = labels.select(F.col("id").alias("src"), F.col("component").alias("own"))
     before = W.partitionBy("src").orderBy("dst").rowsBetween(W.unboundedPreceding, -1)
@@ -27,21 +61,49 @@ def cc_test_trace(edges: DataFrame, labels: DataFrame) -> DataFrame:
     return met.select(F.col("src").alias("seq_hi"), F.col("dst").alias("seq_lo"), (F.col("heard") < low).alias("taken"))
 
 
+def cc_test_fold(edges: DataFrame, history: DataFrame, spec: PredictorSpec, order: str = "sync", chunk: int = HUB_CHUNK) -> DataFrame:
+    """``(iteration, seq_hi, chunk, f, evaluations, taken)``: the function of the improvement tests of each vertex, or piece of a hub.
+
+    One exchange of messages for all iterations of ``history``; the own label comes along as a
+    message without sender.
+    """
+    cuts = hub_cuts(edges, chunk)
+    heard = _heard(edges, history, order).withColumn("chunk", piece_of(F.col("dst"), cuts))
+    keys = ["iteration", "src", "chunk"]
+    if not cuts:
+        own = history.select("iteration", F.col("id").alias("src"), F.lit(0).alias("chunk"), F.col("before").alias("own"))
+        met = heard.withColumn("own", F.lit(None).cast("bigint")).unionByName(own.withColumn("dst", F.lit(None).cast("bigint")).withColumn("heard", F.lit(None).cast("bigint")))
+        lists = met.groupBy(*keys).agg(F.sort_array(F.collect_list(F.when(F.col("dst").isNotNull(), F.struct("dst", "heard")))).alias("o"), F.max("own").alias("low")).where(F.size("o") > 0)
+    else:
+        own = history.select("iteration", F.col("id").alias("src"), F.lit(-1).alias("chunk"), F.col("before").alias("least"))
+        least = heard.groupBy(*keys).agg(F.min("heard").alias("least")).unionByName(own)
+        before = W.partitionBy("iteration", "src").orderBy("chunk").rowsBetween(W.unboundedPreceding, -1)
+        low = least.withColumn("low", F.min("least").over(before)).where("chunk >= 0").drop("least")  # a row a piece
+        lists = heard.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("dst", "heard"))).alias("o")).join(low, keys)
+    start = F.struct(F.col("low").alias("low"), start_codes(spec).alias("f"), F.lit(0).cast("bigint").alias("taken"))
+
+    def test(acc: Column, x: Column) -> Column:
+        taken = x["heard"] < acc["low"]
+        return F.struct(F.least(acc["low"], x["heard"]).alias("low"), step_codes(acc["f"], taken, spec).alias("f"), (acc["taken"] + taken.cast("bigint")).alias("taken"))
+
+    folded = lists.withColumn("done", F.aggregate("o", start, test))
+    return folded.select("iteration", F.col("src").alias("seq_hi"), "chunk", F.col("done.f").alias("f"), F.size("o").cast("bigint").alias("evaluations"), F.col("done.taken").alias("taken"))
+
+
 def bfs_test_trace(queue: DataFrame, edges: DataFrame) -> DataFrame:
-    """``(seq_hi, seq_lo, taken)``: does this adjacency, in queue order, discover its far end?"""
-    near = queue.select(F.col("id").alias("src"), F.col("rank").alias("seq_hi"))
+    """``(seq_hi, seq_lo, taken, dist)``: does this adjacency, in queue order, discover its far end?"""
+    near = queue.select(F.col("id").alias("src"), F.col("rank").alias("seq_hi"), "dist")
     far = queue.select(F.col("id").alias("dst"), F.col("parent").alias("by"))
     met = edges.join(near, "src").join(far, "dst", "left")
-    return met.select("seq_hi", F.col("dst").alias("seq_lo"), (F.coalesce(F.col("by") == F.col("src"), F.lit(False))).alias("taken"))
+    return met.select("seq_hi", F.col("dst").alias("seq_lo"), (F.coalesce(F.col("by") == F.col("src"), F.lit(False))).alias("taken"), "dist")
 
 
-def fold_by_vertex(trace: DataFrame, spec: PredictorSpec, groups: list[str]) -> DataFrame:
-    """``(groups, seq_hi, chunk, f, evaluations, taken)``: the function of each vertex's outcomes, a hub's in chunks."""
-    own = W.partitionBy(*groups, "seq_hi").orderBy("seq_lo")
-    cut = trace.withColumn("chunk", F.floor((F.row_number().over(own) - 1) / HUB_CHUNK).cast("int"))
-    lists = cut.groupBy(*groups, "seq_hi", "chunk").agg(F.sort_array(F.collect_list(F.struct("seq_lo", "taken"))).alias("o"))
+def bfs_test_fold(queue: DataFrame, edges: DataFrame, spec: PredictorSpec, chunk: int = HUB_CHUNK) -> DataFrame:
+    """``(dist, seq_hi, chunk, f, evaluations, taken)``: the function of the discovery tests of each vertex, or piece of a hub."""
+    trace = bfs_test_trace(queue, edges).withColumn("chunk", piece_of(F.col("seq_lo"), hub_cuts(edges, chunk)))
+    lists = trace.groupBy("dist", "seq_hi", "chunk").agg(F.sort_array(F.collect_list(F.struct("seq_lo", "taken"))).alias("o"))
     outcomes = F.col("o.taken")
-    return lists.select(*groups, "seq_hi", "chunk", fold_outcomes(outcomes, spec).alias("f"), F.size(outcomes).cast("bigint").alias("evaluations"), F.size(F.filter(outcomes, lambda x: x)).cast("bigint").alias("taken"))
+    return lists.select("dist", "seq_hi", "chunk", fold_outcomes(outcomes, spec).alias("f"), F.size(outcomes).cast("bigint").alias("evaluations"), F.size(F.filter(outcomes, lambda x: x)).cast("bigint").alias("taken"))
 
 
 def cc_loop_trace(g: Graph, spec: PredictorSpec) -> DataFrame:

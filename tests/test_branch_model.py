@@ -36,7 +36,7 @@ def test_parallel_simulation(spark):
     outcomes = [rnd.random() < 0.4 for _ in range(3000)]
     trace = spark.createDataFrame([(0, i, t) for i, t in enumerate(outcomes)], "site int, seq bigint, taken boolean").repartition(5)
     for spec in (two_bit(), one_bit(), static(True)):
-        f = predictor.simulate(trace, spec, ["site"], ["seq"], chunk=100)[0,]
+        f = predictor.simulate(trace, spec, ["site"], ["seq"])[0,]
         assert f[spec.start] // spec.states == naive(outcomes, spec)[1]
     row = predictor.one_bit_misses(trace, ["site"], ["seq"]).first()
     assert row["mispredictions"] == naive(outcomes, one_bit())[1] and row["taken"] == sum(outcomes)
@@ -74,6 +74,60 @@ def test_counters_of_the_hand_fixture(fx):
     assert styles["mask"] > styles["least"]
 
 
+def walked(g, order, labels_of):
+    """Improvement tests of the sequential kernel, vertex by vertex: evaluations, taken and misses."""
+    near = {r["id"]: [] for r in g.vertices.collect()}
+    for r in g.edges.orderBy("src", "dst").collect():
+        near[r["src"]].append(r["dst"])
+    label, moved, state, missed, taken, n = {v: v for v in near}, True, 0, 0, 0, 0
+    while moved:
+        read = dict(label) if order == "sync" else label
+        moved = False
+        for v in sorted(near):
+            now = label[v]
+            for u in near[v]:
+                hit = read[u] < now
+                state, miss = two_bit().step(state, hit)
+                missed, taken, n = missed + miss, taken + hit, n + 1
+                now = read[u] if hit else now
+            moved |= now != label[v]
+            label[v] = now
+    assert label == labels_of
+    return n, taken, missed
+
+
+@pytest.mark.parametrize("order", ["sync", "inplace"])
+def test_counters_follow_the_kernel_in_either_order(spark, order, monkeypatch):
+    from forkline.graph import graph_of
+    from forkline.operators import trace
+    from forkline.operators.components import components_unconditional
+
+    rnd = random.Random(6)
+    pairs = [(0, i) for i in range(1, 40)] + [(rnd.randrange(80), rnd.randrange(80)) for _ in range(110)]
+    g = graph_of(spark.createDataFrame(pairs, "a bigint, b bigint"), "hub")
+    labels = {r["id"]: r["component"] for r in components_unconditional(g).labels.collect()}
+    want = walked(g, order, labels)
+    assert totals(counters.cc_site_stats(g, order=order))["cc.test"] == want
+    monkeypatch.setattr(counters, "JOB_MESSAGES", 1)  # a job a sweep
+    for fold in ("cc_test_fold", "bfs_test_fold"):
+        monkeypatch.setattr(counters, fold, lambda *a, f=getattr(trace, fold): f(*a, chunk=7))  # hubs cut in pieces
+    assert totals(counters.cc_site_stats(g, order=order))["cc.test"] == want
+    if order == "sync":
+        search = totals(counters.bfs_site_stats(g))["bfs.test"]
+        monkeypatch.undo()
+        assert totals(counters.bfs_site_stats(g))["bfs.test"] == search
+
+
+def test_cuts_part_the_neighbours_of_hubs_evenly(spark):
+    from forkline.operators import trace
+
+    edges = spark.createDataFrame([(0, i) for i in range(1, 1001)] + [(i, 0) for i in range(1, 1001)], "src bigint, dst bigint")
+    assert trace.hub_cuts(edges) == []
+    cuts = trace.hub_cuts(edges, 100)
+    sizes = [r["count"] for r in edges.where("src = 0").groupBy(trace.piece_of(F.col("dst"), cuts).alias("p")).count().collect()]
+    assert len(sizes) == 10 and max(sizes) <= 110
+
+
 def test_measures_on_made_samples(spark):
     rows = [("g", "cc", v, i, 10, float(x)) for v, xs in (("conditional", (9, 7, 3, 1)), ("unconditional", (5, 5, 5, 5))) for i, x in enumerate(xs)]
     samples = spark.createDataFrame(rows, "graph string, method string, variant string, iteration int, edges_traversed bigint, time double")

@@ -147,3 +147,34 @@ def test_sql_surface(spark, fx):
     trace = spark.createDataFrame([(v, k, True) for v in range(50) for k in range(3)], "seq_hi bigint, seq_lo bigint, taken boolean")
     kept = sqlapi.sample_trace(trace, 0.5).groupBy("seq_hi").count()
     assert 0 < kept.count() < 50 and kept.where("count <> 3").count() == 0
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_in_place_sweeps_equal_the_sequential_walk(spark, seed):
+    rnd = random.Random(seed)
+    pairs = [(rnd.randrange(60), rnd.randrange(60)) for _ in range(70)]
+    g = gr.prepare(gr.graph_of(spark.createDataFrame(pairs, "a bigint, b bigint"), "random", vertices=spark.range(55, 62)))
+    run = components.components_in_place(g)
+    walked = components.sequential_reference(g).collect()
+    assert as_dict(run.labels) == {r["id"]: r["component"] for r in walked}
+    assert {len(run.sweeps)} == {r["sweeps"] for r in walked}
+    assert run.before_and_after(spark).where("iteration = 1 AND before <> id").count() == 0
+    left = {r["iteration"]: r["labels"] for r in components.distinct_labels(run, spark).collect()}
+    assert left[len(run.sweeps)] == len({r["component"] for r in walked})
+
+
+def test_unrolled_sweeps_are_told_one_by_one(spark):
+    path = gr.prepare(gr.graph_of(spark.createDataFrame([(i, i + 1) for i in range(20)], "a bigint, b bigint"), "path"))
+    whole, kept = components.components_unconditional(path), components.components_unconditional(path, keep_history=True)
+    assert [(s.changed, s.written) for s in whole.sweeps] == [(s.changed, s.written) for s in kept.sweeps]
+    assert len(whole.sweeps) == 21 and as_dict(whole.labels) == as_dict(kept.labels)
+    for k in (0, 1, 5, 9):
+        assert as_dict(components.labels_after(path, k)) == {i: max(0, i - k) for i in range(21)}
+
+
+def test_blocks_follow_the_number_of_edges(spark, monkeypatch):
+    monkeypatch.setattr(components, "BLOCK_EDGES", 3)
+    path = gr.graph_of(spark.createDataFrame([(i, i + 1) for i in range(30)], "a bigint, b bigint"), "path", vertices=spark.range(40, 42))
+    run = components.components_blocked(path)
+    assert as_dict(run.labels) == {i: 0 for i in range(31)} | {40: 40, 41: 41}
+    assert len(run.sweeps) < 31
