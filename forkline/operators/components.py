@@ -13,7 +13,7 @@ metrics of its own. Plans stay short and a lost executor costs one action.
 
 ``components_in_place`` follows the sequential order, in which a sweep sees its own changes:
 a vertex takes the new labels of its neighbours of smaller id and the old ones of the others.
-That is a fixed point over edges that lead upwards, reached by rounds over what still changes.
+That is a fixed point over edges that lead upwards.
 """
 
 from __future__ import annotations
@@ -280,28 +280,31 @@ def approx_components(labels: DataFrame, rsd: float = 0.02) -> DataFrame:
     return labels.agg(F.approx_count_distinct("component", rsd).alias("components"))
 
 
-def _upwards(edges: DataFrame, epochs: Epochs, sweep: int, labels: DataFrame) -> tuple[DataFrame, int]:
+def _climb(edges: DataFrame, labels: DataFrame) -> DataFrame:
+    """``(id, component, old, origin)`` after every vertex took the least label over ``edges``, which have a loop at each."""
+    heard = edges.join(labels.select(F.col("id").alias("dst"), "component", "origin"), "dst")
+    own = F.col("src") == F.col("dst")
+    return heard.groupBy(F.col("src").alias("id")).agg(F.min("component").alias("component"), F.max(F.when(own, F.col("component"))).alias("old"), F.max(F.when(own, F.col("origin"))).alias("origin"))
+
+
+def _in_order(edges: DataFrame, epochs: Epochs, sweep: int, labels: DataFrame) -> tuple[DataFrame, int]:
     """``(id, component, old)`` after one sweep in sequential order over ``labels``, and how many labels changed.
 
-    What a vertex takes from larger neighbours is one aggregate; then labels that fell climb
-    to larger neighbours, round after round, until none improves.
+    First every vertex hears its larger neighbours, then labels climb from smaller to larger
+    ones, ``UNROLL`` steps an action, until a step changes nothing.
     """
-    above = edges.where("src < dst").join(labels.select(F.col("id").alias("dst"), "component"), "dst").groupBy(F.col("src").alias("id")).agg(F.min("component").alias("heard"))
-    start = labels.join(above, "id", "left").select("id", F.least("component", F.coalesce("heard", "component")).alias("component"), F.col("component").alias("old"))
-    now = epochs.put(f"start-{sweep}-0", start)
-    speaking, k = now.select("id", "component"), 0
+    now, up, part = labels.select("id", "component", F.col("component").alias("origin")), edges.where("dst <= src"), 0
+    now = _climb(edges.where("dst >= src"), now)
     while True:
-        k, seen = k + 1, Observation()
-        heard = edges.where("dst < src").join(speaking.select(F.col("id").alias("dst"), "component"), "dst").groupBy(F.col("src").alias("id")).agg(F.min("component").alias("heard"))
-        lower = now.join(heard, "id").where("heard < component").select("id", F.col("heard").alias("component"))
-        speaking = epochs.put(f"climb-{sweep}-{k}", lower.observe(seen, F.count("*").alias("n")))
-        if not int(seen.get["n"]):
+        for _ in range(UNROLL):
+            now = _climb(up, now.select("id", "component", "origin"))
+        seen, part = Observation(), part + 1
+        told = now.observe(seen, F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("last"), F.sum((F.col("component") != F.col("origin")).cast("bigint")).alias("changed"))
+        now = epochs.put(f"part-{sweep}-{part}", told)
+        if not int(seen.get["last"] or 0):
             break
-        merged = now.unionByName(speaking.withColumn("old", F.lit(None).cast("bigint"))).groupBy("id").agg(F.min("component").alias("component"), F.max("old").alias("old"))
-        now = epochs.put(f"start-{sweep}-{k}", merged)
-    seen = Observation()
-    done = epochs.put(f"labels/sweep={sweep}", now.observe(seen, F.sum((F.col("component") != F.col("old")).cast("bigint")).alias("changed")))
-    epochs.drop(*(f"start-{sweep}-{i}" for i in range(k)), *(f"climb-{sweep}-{i}" for i in range(1, k + 1)))
+    done = epochs.put(f"labels/sweep={sweep}", now.select("id", "component", F.col("origin").alias("old")))
+    epochs.drop(*(f"part-{sweep}-{i}" for i in range(1, part + 1)))
     return done, int(seen.get["changed"] or 0)
 
 
@@ -311,10 +314,10 @@ def components_in_place(g: Graph, max_sweeps: int | None = None) -> CCRun:
     Labels after each sweep, and the number of sweeps, are those of a sequential kernel.
     """
     epochs, more, sweeps = Epochs(g.edges.sparkSession, "in-place"), _bounded(max_sweeps), []
-    edges, labels, changed = g.edges.select("src", "dst"), init_labels(g), 1
+    edges, labels, changed = closed(g), init_labels(g), 1
     while changed and more(len(sweeps)):
         began = time.perf_counter_ns()
-        written, changed = _upwards(edges, epochs, len(sweeps) + 1, labels)
+        written, changed = _in_order(edges, epochs, len(sweeps) + 1, labels)
         labels = written.select("id", "component")
         sweeps.append(Sweep(len(sweeps) + 1, "in-place", changed, changed, time.perf_counter_ns() - began))
     return CCRun(labels, sweeps, [], f"{epochs.root}/labels")

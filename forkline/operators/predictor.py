@@ -17,7 +17,6 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 
 @dataclass(frozen=True)
@@ -216,11 +215,19 @@ def simulate(trace: DataFrame, spec: PredictorSpec, groups: list[str], order: li
     return compose_ordered(trace.select(*groups, *order, one.alias("f")), groups, order, spec)
 
 
+def _per_group(trace: DataFrame, groups: list[str], order: list[str]) -> DataFrame:
+    """``(groups, evaluations, taken, from_0, from_1)``: misses of the last-outcome predictor from either start state."""
+    kinds = {f.name: f.dataType.simpleString() for f in trace.schema}
+    f = simulate(trace, one_bit(), groups, order)
+    rows = [(*key, codes[0] // 2, codes[1] // 2) for key, codes in f.items()]  # a row a group
+    misses = trace.sparkSession.createDataFrame(rows, ", ".join([*(f"{g} {kinds[g]}" for g in groups), "from_0 bigint", "from_1 bigint"]))
+    counts = trace.groupBy(*groups).agg(F.count("*").alias("evaluations"), F.sum(F.col("taken").cast("bigint")).alias("taken"))
+    return counts.join(misses, groups)
+
+
 def one_bit_misses(trace: DataFrame, groups: list[str], order: list[str], start: bool = False) -> DataFrame:
-    """``(groups, evaluations, taken, mispredictions)`` of the last-outcome predictor by ``lag`` within each group."""
-    own = W.partitionBy(*groups).orderBy(*order)
-    said = trace.withColumn("said", F.coalesce(F.lag("taken").over(own), F.lit(start)))
-    return said.groupBy(*groups).agg(F.count("*").alias("evaluations"), F.sum(F.col("taken").cast("bigint")).alias("taken"), F.sum((F.col("taken") != F.col("said")).cast("bigint")).alias("mispredictions"))
+    """``(groups, evaluations, taken, mispredictions)`` of the last-outcome predictor; no window over a group."""
+    return _per_group(trace, groups, order).select(*groups, "evaluations", "taken", F.col(f"from_{int(start)}").alias("mispredictions"))
 
 
 def nested_loop_misses(degrees: DataFrame, order: str, spec: PredictorSpec | None = None, trips: str = "degree") -> int:
@@ -291,10 +298,12 @@ def check_loop_lemmas(spark: SparkSession, most_trips: int = 8, repeats: int = 6
 
 
 def site_predictability(trace: DataFrame, groups: list[str], order: list[str]) -> DataFrame:
-    """Per group: evaluations, share taken, entropy in bits, number and mean length of runs of equal outcomes."""
-    own = W.partitionBy(*groups).orderBy(*order)
-    marked = trace.withColumn("new", (F.coalesce(F.lag("taken").over(own) != F.col("taken"), F.lit(True))).cast("bigint"))
-    p = F.avg(F.col("taken").cast("double"))
-    entropy = lambda x: -(x * F.log2(F.greatest(x, F.lit(1e-300))) + (1 - x) * F.log2(F.greatest(1 - x, F.lit(1e-300))))
-    found = marked.groupBy(*groups).agg(F.count("*").alias("evaluations"), p.alias("p"), F.sum("new").alias("runs"))
-    return found.select(*groups, "evaluations", F.round("p", 6).alias("taken_rate"), F.round(entropy(F.col("p")), 6).alias("entropy"), "runs", F.round(F.col("evaluations") / F.col("runs"), 6).alias("mean_run"))
+    """Per group: evaluations, share taken, entropy in bits, number and mean length of runs of equal outcomes.
+
+    Runs are the changes between neighbours and one: what the last-outcome predictor misses
+    from the better start.
+    """
+    x = F.col("taken") / F.col("evaluations")
+    entropy = -(x * F.log2(F.greatest(x, F.lit(1e-300))) + (1 - x) * F.log2(F.greatest(1 - x, F.lit(1e-300))))
+    found = _per_group(trace, groups, order).withColumn("runs", F.least("from_0", "from_1") + 1)
+    return found.select(*groups, "evaluations", F.round(x, 6).alias("taken_rate"), F.round(entropy, 6).alias("entropy"), "runs", F.round(F.col("evaluations") / F.col("runs"), 6).alias("mean_run"))

@@ -17,7 +17,7 @@ PAIRS = {
     "bulk_supplier_part": "SELECT l_suppkey * 2 AS a, l_partkey * 2 + 1 AS b FROM lineitem WHERE l_quantity >= 45 AND l_returnflag = 'R'",
     "bulk_order_chain": "SELECT l_orderkey AS a, lead(l_orderkey) OVER (PARTITION BY l_partkey ORDER BY l_shipdate, l_orderkey, l_linenumber) AS b FROM lineitem WHERE l_quantity >= 45",
     "embedding_neighbors": "SELECT x.vec_id AS a, y.vec_id AS b FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id WHERE list_cosine_similarity(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) >= 0.35",
-    "document_lines": "SELECT x.doc_id AS a, y.doc_id AS b FROM lines x JOIN lines y USING (line) JOIN (SELECT line FROM lines GROUP BY line HAVING count(*) BETWEEN 2 AND 20) USING (line)",
+    "document_lines": "SELECT x.doc_id AS a, y.doc_id AS b FROM lines x JOIN lines y USING (line) JOIN (SELECT line FROM lines GROUP BY line HAVING count(*) BETWEEN 2 AND 20) USING (line) UNION ALL SELECT doc_id, low FROM lines JOIN (SELECT line, min(doc_id) AS low FROM lines GROUP BY line HAVING count(*) > 20) USING (line)",
     "page_links": "SELECT page_id * 2 AS a, (dense_rank() OVER (ORDER BY encode(href)) - 1) * 2 + 1 AS b FROM hrefs JOIN (SELECT href FROM hrefs GROUP BY href HAVING count(*) >= 2) USING (href)",
     "page_domains": "SELECT page_id * 2 AS a, (dense_rank() OVER (ORDER BY encode(domain)) - 1) * 2 + 1 AS b FROM (SELECT page_id, regexp_extract(url, '^[a-z]+://(?:(?:www|m|blog)\\.)?([^/:?#]+)', 1) AS domain FROM pages) WHERE domain <> ''",
     "user_activity": "SELECT user_id * 2 AS a, (epoch_us(ts) // 3600000000) * 2 + 1 AS b FROM events",
@@ -55,6 +55,22 @@ def labels(name: str) -> str:
     WHERE l.changed > 0)), s AS (SELECT max(it) AS sweeps FROM lab), final AS (SELECT id, component FROM lab, s WHERE it = sweeps)"""
 
 
+def history(name: str, order: str = "sync") -> str:
+    """``edges``, ``hist(it, id, before, after)`` of every sweep, and ``s(sweeps)``."""
+    if order == "sync":
+        return f"{labels(name)}, hist AS (SELECT it, id, old AS before, component AS after FROM lab WHERE it > 0)"
+    # a step either lets labels climb to larger neighbours or, if none did, begins the next sweep with what larger ones say
+    return f"""{edges(name)}, run(step, it, id, prev, cur, climbing, moved) AS (
+  SELECT 0, 1, id, id, id, 1::BIGINT, 1::BIGINT FROM v
+  UNION ALL
+  SELECT step + 1, nit, id, nprev, ncur, sum((ncur <> cur)::BIGINT) OVER () + (climbing = 0)::BIGINT, sum((ncur <> nprev)::BIGINT) OVER () + (climbing = 0)::BIGINT FROM (
+    SELECT l.step, l.id, l.cur, l.climbing, l.it + (l.climbing = 0)::INTEGER AS nit, CASE WHEN l.climbing = 0 THEN l.cur ELSE l.prev END AS nprev,
+           least(l.cur, coalesce(CASE WHEN l.climbing = 0 THEN m.above ELSE m.below END, l.cur)) AS ncur
+    FROM run l LEFT JOIN (SELECT e.src, min(x.cur) FILTER (x.id > e.src) AS above, min(x.cur) FILTER (x.id < e.src) AS below FROM e JOIN run x ON x.id = e.dst GROUP BY e.src) m ON m.src = l.id
+    WHERE l.climbing > 0 OR l.moved > 0)),
+hist AS (SELECT it, id, any_value(prev) AS before, arg_max(cur, step) AS after FROM run GROUP BY it, id), s AS (SELECT max(it) AS sweeps FROM hist)"""
+
+
 def queue(name: str) -> str:
     """``edges`` and ``q(id, parent, dist, rank)`` from the smallest id."""
     return f"""{edges(name)}, q(id, parent, dist, rank) USING KEY (id) AS (
@@ -65,63 +81,83 @@ def queue(name: str) -> str:
     WHERE NOT EXISTS (SELECT 1 FROM recurring.q x WHERE x.id = e.dst) GROUP BY e.dst), (SELECT count(*) AS n FROM recurring.q))"""
 
 
-def fold(outcomes: str, bits: int) -> str:
-    """``misses * states + end`` of a list of 0 and 1, from state 0."""
+STATIC = {"static-taken": 1, "static-not-taken": 0}
+
+
+def fold(outcomes: str, bits: int, start: str = "0::BIGINT") -> str:
+    """``misses * states + end`` of a list of 0 and 1, from a start state."""
     n = 1 << bits
     half, top = n // 2, n - 1
     return (
-        f"list_reduce(list_prepend(0::BIGINT, {outcomes}), lambda a, x: CASE WHEN x = 1 THEN (a // {n} + (a % {n} < {half})::BIGINT) * {n} + least({top}, a % {n} + 1)"
+        f"list_reduce(list_prepend({start}, {outcomes}), lambda a, x: CASE WHEN x = 1 THEN (a // {n} + (a % {n} < {half})::BIGINT) * {n} + least({top}, a % {n} + 1)"
         f" ELSE (a // {n} + (a % {n} >= {half})::BIGINT) * {n} + greatest(0, a % {n} - 1) END)"
     )
 
 
-def _by_iteration(table: str, site: str, bits: int) -> str:
-    """Misses of each iteration from folds over all iterations up to it. ``table(it, n, taken, o)``: outcomes in order."""
+def _sites(tables: dict[str, str], first: int, bits: int | str) -> str:
+    """``one(it, site, evaluations, taken, mispredictions)`` from tables ``(it, n, taken, o)`` by site; ``o`` lists outcomes in order.
+
+    Each iteration is folded from every state by itself, then iterations follow each other.
+    """
+    if bits in STATIC:
+        missed = "n - taken" if STATIC[bits] else "taken"
+        return "one AS (" + " UNION ALL ".join(f"SELECT it, '{site}' AS site, n AS evaluations, taken, {missed} AS mispredictions FROM {t}" for site, t in tables.items()) + ")"
     n = 1 << bits
-    return f"""SELECT it, '{site}' AS site, n AS evaluations, taken, done - coalesce(lag(done) OVER (ORDER BY it), 0) AS mispredictions FROM (
-  SELECT x.it, any_value(x.n) AS n, any_value(x.taken) AS taken, {fold("flatten(list(y.o ORDER BY y.it))", bits)} // {n} AS done FROM {table} x JOIN {table} y ON y.it <= x.it GROUP BY x.it)"""
+    told = " UNION ALL ".join(f"SELECT it, '{site}' AS site, n, taken, o FROM {t}" for site, t in tables.items())
+    return f"""told AS ({told}),
+fn AS (SELECT it, site, st, {fold('o', bits, 'st')} AS code FROM told, range({n}) r(st)),
+walk(site, it, state, missed) AS (
+  SELECT DISTINCT site, {first - 1}::BIGINT, 0::BIGINT, 0::BIGINT FROM told
+  UNION ALL SELECT f.site, f.it::BIGINT, f.code % {n}, f.code // {n} FROM walk w JOIN fn f ON f.site = w.site AND f.it = w.it + 1 AND f.st = w.state),
+one AS (SELECT t.it, t.site, n AS evaluations, taken, missed AS mispredictions FROM told t JOIN walk w ON w.site = t.site AND w.it = t.it)"""
+
 
+def _loops(d: str, bits: int | str) -> str:
+    """Outcomes of a loop of ``d`` trips; from as many trips as a counter has states on, a trip more changes neither state nor misses."""
+    most = 1 if bits in STATIC else 1 << bits
+    return f"list_append(list_transform(range(least({d}, {most})), lambda x: 1::BIGINT), 0)"
 
-def cc_sites(name: str, bits: int = 2) -> str:
-    """``labels`` and ``sites(variant, it, site, evaluations, taken, mispredictions)``."""
-    return f"""{labels(name)}, its AS (SELECT unnest(range(1, sweeps + 1)) AS it, sweeps FROM s),
+
+def cc_sites(name: str, bits: int | str = 2, order: str = "sync") -> str:
+    """``history`` and ``sites(variant, it, site, evaluations, taken, mispredictions)``."""
+    heard = "b.before" if order == "sync" else "CASE WHEN e.dst < e.src THEN b.after ELSE b.before END"
+    return f"""{history(name, order)}, its AS (SELECT unnest(range(1, sweeps + 1)) AS it, sweeps FROM s),
 deg AS (SELECT v.id, count(e.src) AS d FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id),
 t_sweep AS (SELECT it, (1 + (it = sweeps)::BIGINT) AS n, 1::BIGINT AS taken, CASE WHEN it = sweeps THEN [1, 0] ELSE [1] END::BIGINT[] AS o FROM its),
-t_vertex AS (SELECT it, (SELECT count(*) FROM v) + 1 AS n, (SELECT count(*) FROM v) AS taken, list_append(list_transform(range((SELECT count(*) FROM v)), lambda x: 1::BIGINT), 0) AS o FROM its),
-t_near AS (SELECT it, n, taken, o FROM its, (SELECT count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list(list_append(list_transform(range(d), lambda x: 1::BIGINT), 0) ORDER BY id)) AS o FROM deg)),
+t_vertex AS (SELECT it, (SELECT count(*) FROM v) + 1 AS n, (SELECT count(*) FROM v) AS taken, {_loops('(SELECT count(*) FROM v)', bits)} AS o FROM its),
+t_near AS (SELECT it, n, taken, o FROM its, (SELECT count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY id)) AS o FROM deg)),
 outcome AS (
   SELECT it, src, dst, (heard < least(own, coalesce(min(heard) OVER (PARTITION BY it, src ORDER BY dst ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), own)))::BIGINT AS t
-  FROM (SELECT a.it + 1 AS it, e.src, e.dst, b.component AS heard, a.component AS own FROM e JOIN lab a ON a.id = e.src JOIN lab b ON b.id = e.dst AND b.it = a.it, s WHERE a.it < sweeps)),
+  FROM (SELECT a.it, e.src, e.dst, {heard} AS heard, a.before AS own FROM e JOIN hist a ON a.id = e.src JOIN hist b ON b.id = e.dst AND b.it = a.it)),
 t_test AS (SELECT it, count(*) AS n, sum(t)::BIGINT AS taken, list(t ORDER BY src, dst) AS o FROM outcome GROUP BY it),
-one AS ({_by_iteration('t_sweep', 'cc.sweep', bits)} UNION ALL {_by_iteration('t_vertex', 'cc.vertex', bits)} UNION ALL {_by_iteration('t_near', 'cc.neighbor', bits)} UNION ALL {_by_iteration('t_test', 'cc.test', bits)}),
+{_sites({'cc.sweep': 't_sweep', 'cc.vertex': 't_vertex', 'cc.neighbor': 't_near', 'cc.test': 't_test'}, 1, bits)},
 sites AS (SELECT 'conditional' AS variant, * FROM one UNION ALL SELECT 'unconditional', * FROM one WHERE site <> 'cc.test')"""
 
 
-def bfs_sites(name: str, bits: int = 2) -> str:
+def bfs_sites(name: str, bits: int | str = 2) -> str:
     """``queue`` and ``sites`` of the search; an iteration is a level."""
     return f"""{queue(name)}, top AS (SELECT max(dist) AS d FROM q),
 deg AS (SELECT q.id, q.dist, q.rank, count(e.src) AS d FROM q LEFT JOIN e ON e.src = q.id GROUP BY q.id, q.dist, q.rank),
 t_queue AS (SELECT dist AS it, count(*) + (dist = any_value(top.d))::BIGINT AS n, count(*) AS taken, CASE WHEN dist = any_value(top.d) THEN list_append(list(1::BIGINT), 0) ELSE list(1::BIGINT) END AS o FROM q, top GROUP BY dist),
-t_near AS (SELECT dist AS it, count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list(list_append(list_transform(range(d), lambda x: 1::BIGINT), 0) ORDER BY rank)) AS o FROM deg GROUP BY dist),
+t_near AS (SELECT dist AS it, count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY rank)) AS o FROM deg GROUP BY dist),
 t_test AS (SELECT a.dist AS it, count(*) AS n, sum((b.parent = a.id)::BIGINT)::BIGINT AS taken, list(coalesce((b.parent = a.id)::BIGINT, 0) ORDER BY a.rank, e.dst) AS o FROM e JOIN q a ON a.id = e.src JOIN q b ON b.id = e.dst GROUP BY a.dist),
-one AS ({_by_iteration('t_queue', 'bfs.queue', bits)} UNION ALL {_by_iteration('t_near', 'bfs.neighbor', bits)} UNION ALL {_by_iteration('t_test', 'bfs.test', bits)}),
+{_sites({'bfs.queue': 't_queue', 'bfs.neighbor': 't_near', 'bfs.test': 't_test'}, 0, bits)},
 sites AS (SELECT 'conditional' AS variant, * FROM one UNION ALL SELECT 'unconditional', * FROM one WHERE site <> 'bfs.test')"""
 
 
-def samples(name: str, method: str, bits: int = 2) -> str:
+def samples(name: str, method: str, bits: int = 2, order: str = "sync") -> str:
     """``sites`` and ``samples(graph, method, variant, iteration, ..)`` of one graph."""
     stores = "CASE WHEN variant = 'conditional' THEN changed ELSE v END" if method == "cc" else "CASE WHEN variant = 'conditional' THEN 2 * changed ELSE 2 * edges END"
-    return f"""{cc_sites(name, bits) if method == 'cc' else bfs_sites(name, bits)},
+    return f"""{cc_sites(name, bits, order) if method == 'cc' else bfs_sites(name, bits)},
 flat AS (SELECT variant, it, sum(evaluations)::BIGINT AS branches, coalesce(sum(mispredictions), 0)::BIGINT AS mispredictions,
   coalesce(sum(taken) FILTER (site LIKE '%.neighbor'), 0)::BIGINT AS edges, coalesce(sum(taken) FILTER (site IN ('cc.vertex', 'bfs.queue')), 0)::BIGINT AS v, coalesce(sum(taken) FILTER (site LIKE '%.test'), 0)::BIGINT AS changed FROM sites GROUP BY variant, it),
 samples AS (SELECT '{name}' AS graph, '{method}' AS method, variant, it::INTEGER AS iteration, v AS vertices_active, edges AS edges_traversed, changed, branches, mispredictions, v + edges AS loads, {stores} AS stores,
   2 * branches + v + edges + ({stores}) + CASE WHEN variant = 'conditional' THEN 0 ELSE edges END AS instructions FROM flat)"""
 
 
-
-def all_samples(names: tuple[str, ...], methods: tuple[str, ...], bits: int = 2) -> str:
+def all_samples(names: tuple[str, ...], methods: tuple[str, ...], bits: int = 2, order: str = "sync") -> str:
     """One relation of samples over graphs and methods, each from its own nested WITH."""
-    parts = [f"(WITH RECURSIVE {samples(n, m, bits)} SELECT * FROM samples)" for n in names for m in methods]
+    parts = [f"(WITH RECURSIVE {samples(n, m, bits, order)} SELECT * FROM samples)" for n in names for m in methods]
     return "samples AS (" + " UNION ALL ".join(f"SELECT * FROM {p}" for p in parts) + ")"
 
 

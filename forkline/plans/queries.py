@@ -13,13 +13,13 @@ from forkline import sqlapi
 from forkline.functions.selection import ratio
 from forkline.operators import bfs, components, measures
 from forkline.operators.counters import bfs_site_stats, cc_site_stats, modelled_time
-from forkline.operators.predictor import check_loop_lemmas, loop_table, nested_loop_misses, one_bit, steady_state_rates, two_bit
+from forkline.operators.predictor import check_loop_lemmas, loop_table, nested_loop_misses, one_bit, site_predictability, steady_state_rates, two_bit
 from forkline.operators.trace import cc_test_trace
 from forkline.plans import experiments as x
 from forkline.plans import oracles as o
 from forkline.plans.workloads import WORKLOADS, build
 from forkline.sources.tables import load
-from forkline.streaming.edges import event_pairs, windowed_components
+from forkline.streaming.edges import event_pairs, previous_event, windowed_components
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -50,7 +50,33 @@ _add("cc_hybrid", _labels(components.components_hybrid, FLAGSHIP), _final(FLAGSH
 _add("cc_mask_select", _labels(partial(components.components_unconditional, select_style="mask"), SMALL), _final(SMALL))
 _add("cc_case_select", _labels(partial(components.components_unconditional, select_style="case"), SMALL), _final(SMALL))
 _add("cc_blocked", _labels(components.components_blocked, SMALL), _final(SMALL))
-_add("cc_sequential", lambda spark, sf_dir: components.sequential_reference(build(SMALL, spark, sf_dir)).select("id", "component"), _final(SMALL))
+_add("cc_in_place", _labels(components.components_in_place, SMALL), _final(SMALL))
+_add(
+    "cc_in_place_sweeps",
+    lambda spark, sf_dir: x.run_of(spark, sf_dir, SMALL, "inplace").sweep_frame(spark).select("iteration", "changed"),
+    f"WITH RECURSIVE {o.history(SMALL, 'inplace')} SELECT it AS iteration, sum((before <> after)::BIGINT)::BIGINT AS changed FROM hist GROUP BY it",
+)
+for _order in ("sync", "inplace"):
+    _add(
+        f"cc_distinct_labels_{_order}",
+        lambda spark, sf_dir, order=_order: components.distinct_labels(x.run_of(spark, sf_dir, SMALL, order), spark),
+        f"WITH RECURSIVE {o.history(SMALL, _order)} SELECT it AS iteration, count(DISTINCT after) AS labels FROM hist GROUP BY it",
+    )
+_add(
+    "cc_in_place_totals",
+    x.totals_in_place,
+    f"WITH {o.all_samples(('bulk_order_part', 'part_supplier_matrix', 'supplier_co_order'), ('cc',), order='inplace')} SELECT graph, variant, max(iteration) AS sweeps, sum(branches)::BIGINT AS branches, sum(mispredictions)::BIGINT AS mispredictions, sum(stores)::BIGINT AS stores, sum(vertices_active)::BIGINT AS lower, {o.r('sum(mispredictions)', 'sum(vertices_active)')} AS ratio_lower FROM samples GROUP BY graph, variant",
+)
+_add("cc_approx_count", lambda spark, sf_dir: _approx(spark, sf_dir), f"WITH RECURSIVE {o.labels(SMALL)} SELECT count(DISTINCT component) AS components, true AS near FROM final")
+
+
+def _approx(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The exact number of components, and whether the approximate one lies within three of its standard errors."""
+    labels = components.components_unconditional(build(SMALL, spark, sf_dir)).labels
+    exact, near = components.count_components(labels), components.approx_components(labels, 0.02).withColumnRenamed("components", "about")
+    return exact.crossJoin(near).select("components", (F.abs(F.col("about") - F.col("components")) <= 0.06 * F.col("components") + 1).alias("near"))  # one row each
+
+
 _add("cc_recursive_sql", lambda spark, sf_dir: sqlapi.components_recursive(build("supplier_geo_tree", spark, sf_dir), 4), _final("supplier_geo_tree"))
 _add("cc_sizes", lambda spark, sf_dir: components.component_sizes(components.components_unconditional(build(SMALL, spark, sf_dir)).labels), f"WITH RECURSIVE {o.labels(SMALL)} SELECT component, count(*) AS size FROM final GROUP BY component")
 _add(
@@ -84,7 +110,29 @@ _add(
     f"WITH RECURSIVE {o.edges('supplier_geo_tree')}, m(root, id, dist) USING KEY (root, id) AS (SELECT k, k, 0 FROM (VALUES (0::BIGINT), (4::BIGINT), (8::BIGINT)) t(k) UNION SELECT m.root, e.dst, min(m.dist) + 1 FROM m JOIN e ON e.src = m.id WHERE NOT EXISTS (SELECT 1 FROM recurring.m x WHERE x.id = e.dst AND x.root = m.root) GROUP BY m.root, e.dst) SELECT root, id, dist FROM m",
 )
 _add("bfs_directed", lambda spark, sf_dir: bfs.bfs_conditional(build("directed_order_chain", spark, sf_dir)).distances, _dist("directed_order_chain"))
-_add("betweenness_sampled", lambda spark, sf_dir: bfs.betweenness_sampled(build("supplier_geo_tree", spark, sf_dir), [0, 4, 8]).select("id", F.round("betweenness", 6).alias("betweenness")))
+_add(
+    "betweenness_sampled",
+    lambda spark, sf_dir: bfs.betweenness_sampled(build("supplier_geo_tree", spark, sf_dir), [0, 4, 8]).select("id", F.round("betweenness", 6).alias("betweenness")),
+    f"""WITH RECURSIVE {o.edges('supplier_geo_tree')}, p(r, id, dist, n) USING KEY (r, id) AS (
+  SELECT id, id, 0, 1.0::DOUBLE FROM v
+  UNION SELECT p.r, e.dst, max(p.dist) + 1, sum(p.n) FROM p JOIN e ON e.src = p.id WHERE NOT EXISTS (SELECT 1 FROM recurring.p x WHERE x.r = p.r AND x.id = e.dst) GROUP BY p.r, e.dst)
+SELECT a.id, round(coalesce(sum(a.n * b.n / c.n), 0), 6) AS betweenness FROM p a LEFT JOIN (p b JOIN p c ON c.id = b.id) ON b.r = a.id AND c.r = a.r AND b.id <> a.id AND a.dist + b.dist = c.dist
+WHERE a.r IN (0, 4, 8) AND a.id <> a.r GROUP BY a.id""",
+)
+_add(
+    "depth_bounds",
+    x.depth_bounds,
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH RECURSIVE {o.queue(n)}, far AS (SELECT id FROM q ORDER BY dist DESC, id LIMIT 1), w(id, dist) USING KEY (id) AS (SELECT id, 0 FROM far UNION SELECT e.dst, max(w.dist) + 1 FROM w JOIN e ON e.src = w.id WHERE NOT EXISTS (SELECT 1 FROM recurring.w y WHERE y.id = e.dst) GROUP BY e.dst) SELECT '{n}' AS graph, (SELECT id FROM q WHERE dist = 0) AS root, (SELECT max(dist) FROM q) AS eccentricity, (SELECT max(dist) FROM w) AS diameter_least)"
+        for n in ("bulk_supplier_part", "order_mesh")
+    ),
+)
+_add(
+    "root_choice",
+    x.root_choice,
+    " UNION ALL ".join(f"SELECT * FROM (WITH {o.edges(n)} SELECT '{n}' AS graph, 'min_id' AS how, min(id) AS root FROM v UNION ALL SELECT '{n}', 'max_degree', (SELECT src FROM e GROUP BY src ORDER BY count(*) DESC, src LIMIT 1))" for n in x.TRACED),
+)
+_add("bfs_case_select", lambda spark, sf_dir: bfs.bfs_unconditional(build(SMALL, spark, sf_dir), select_style="case").distances, _dist(SMALL))
 
 
 def _reach(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -108,15 +156,49 @@ _add("cc_site_stats_two_bit", lambda spark, sf_dir: cc_site_stats(build(SMALL, s
 _add("cc_site_stats_one_bit", lambda spark, sf_dir: cc_site_stats(build(SMALL, spark, sf_dir), "conditional", one_bit()), _sites_sql(o.cc_sites(SMALL, 1), "cc", 1))
 _add("bfs_site_stats_two_bit", lambda spark, sf_dir: bfs_site_stats(build(SMALL, spark, sf_dir), "conditional", two_bit()), _sites_sql(o.bfs_sites(SMALL, 2), "bfs", 2))
 _add("bfs_site_stats_one_bit", lambda spark, sf_dir: bfs_site_stats(build(SMALL, spark, sf_dir), "conditional", one_bit()), _sites_sql(o.bfs_sites(SMALL, 1), "bfs", 1))
-_add("x14_predictors", x.x14_predictors)
+_PREDICTORS = {"1-bit": 1, "2-bit": 2, "3-bit": 3} | {k: k for k in o.STATIC}
+_add(
+    "x14_predictors",
+    x.x14_predictors,
+    " UNION ALL ".join(
+        f"SELECT * FROM (WITH RECURSIVE {body(n, bits)} SELECT '{n}' AS graph, '{method}' AS method, '{predictor}' AS predictor, site, sum(evaluations)::BIGINT AS evaluations, sum(mispredictions)::BIGINT AS mispredictions FROM sites WHERE variant = 'conditional' GROUP BY site)"
+        for n in ("bulk_supplier_part", "supplier_co_order")
+        for method, body in (("cc", o.cc_sites), ("bfs", o.bfs_sites))
+        for predictor, bits in _PREDICTORS.items()
+    ),
+)
+_add("cc_site_stats_in_place", lambda spark, sf_dir: x.sites(spark, sf_dir, SMALL, "cc", order="inplace"), _sites_sql(o.cc_sites(SMALL, 2, "inplace"), "cc", 2).replace("'sync'", "'inplace'"))
+_add(
+    "site_predictability",
+    lambda spark, sf_dir: (lambda g: site_predictability(cc_test_trace(g.edges, components.init_labels(g)).withColumn("site", F.lit("cc.test")), ["site"], ["seq_hi", "seq_lo"]))(build(SMALL, spark, sf_dir)),
+    f"WITH RECURSIVE {o.cc_sites(SMALL)}, marked AS (SELECT t, coalesce(lag(t) OVER (ORDER BY src, dst) <> t, true) AS fresh FROM outcome WHERE it = 1), total AS (SELECT count(*) AS n, avg(t) AS p, sum(fresh::BIGINT)::BIGINT AS runs FROM marked) SELECT 'cc.test' AS site, n AS evaluations, round(p, 6) AS taken_rate, round(-(p * log2(p) + (1 - p) * log2(1 - p)), 6) AS entropy, runs, round(n / runs, 6) AS mean_run FROM total",
+)
 _add("cc_test_trace_first", lambda spark, sf_dir: (lambda g: cc_test_trace(g.edges, components.init_labels(g)))(build(SMALL, spark, sf_dir)), f"WITH RECURSIVE {o.cc_sites(SMALL)} SELECT src AS seq_hi, dst AS seq_lo, t = 1 AS taken FROM outcome WHERE it = 1")
-_add("loop_lemmas", lambda spark, _: check_loop_lemmas(spark))
 _LOOP_LIST = "flatten(list_transform(range(k), lambda y: list_append(list_transform(range(n), lambda z: 1::BIGINT), 0)))"
 _add(
     "loop_table",
     lambda spark, _: loop_table(spark),
     f"SELECT n AS trips, b AS start, k AS repeats, (c % 4)::BIGINT AS end_state, (c // 4)::BIGINT AS mispredictions FROM (SELECT n, b, k, {o.fold(_LOOP_LIST, 2).replace('list_prepend(0::BIGINT,', 'list_prepend(b,')} AS c FROM range(9) t1(n), range(4) t2(b), range(1, 7) t3(k))",
 )
+_LOOPS = ORACLES["loop_table"]
+_CLAIMS = [
+    ("three or more trips end weakly taken", "k = 1 AND n >= 3", "f = 2"),
+    ("three or more trips miss 1 to 3", "k = 1 AND n >= 3", "m BETWEEN 1 AND 3"),
+    ("k repeats of three or more trips miss at most k + 2", "k >= 2 AND n >= 3", "m <= k + 2"),
+    ("k repeats of three or more trips miss at least k", "k >= 2 AND n >= 3", "m >= k"),
+    ("no trip misses at most once", "k = 1 AND n = 0", "m <= 1"),
+    ("no trip moves one state down", "k = 1 AND n = 0", "f = greatest(0, b - 1)"),
+    ("one trip misses once or twice", "k = 1 AND n = 1", "m BETWEEN 1 AND 2"),
+    ("one trip returns to a state that a loop can leave", "k = 1 AND n = 1 AND b < 3", "f = b"),
+    ("one trip from strongly taken ends weakly taken", "k = 1 AND n = 1 AND b = 3", "f = 2"),
+    ("two trips end weakly taken or weakly not taken", "k = 1 AND n = 2", "f IN (1, 2)"),
+    ("two trips miss 1 to 3", "k = 1 AND n = 2", "m BETWEEN 1 AND 3"),
+]
+_add(
+    "loop_lemmas",
+    lambda spark, _: check_loop_lemmas(spark),
+    f"WITH t AS (SELECT trips AS n, start AS b, repeats AS k, end_state AS f, mispredictions AS m FROM ({_LOOPS})) " + " UNION ALL ".join(f"SELECT '{claim}' AS lemma, count(*) AS cases, sum((NOT ({holds}))::BIGINT)::BIGINT AS violations FROM t WHERE {which}" for claim, which, holds in _CLAIMS),
+)
 _add(
     "nested_loop_misses",
     lambda spark, sf_dir: spark.createDataFrame([(nested_loop_misses(gr.degrees(build(FLAGSHIP, spark, sf_dir)), "id"),)], "mispredictions bigint"),
@@ -164,7 +246,17 @@ _add(
 rest AS (SELECT *, min(gain) OVER (PARTITION BY graph, method ORDER BY iteration ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS low, lag(sign(gain)) OVER (PARTITION BY graph, method ORDER BY iteration) AS before FROM sides)
 SELECT graph, method, profile, min(iteration) FILTER (low >= 0) AS crossover, sum((coalesce(before, sign(gain)) <> sign(gain))::BIGINT)::BIGINT AS turns, count(*) AS iterations FROM rest GROUP BY graph, method, profile""",
 )
-_add("modelled_speedup", x.modelled_speedup)
+_BY_PROFILE = ", ".join(f"('{p.name}', {p.per_instruction}, {p.per_miss}, {p.per_load}, {p.per_store})" for p in x.PROFILES)
+_COSTS = f"costs AS (SELECT s.*, profile, round(a::DOUBLE * instructions + b::DOUBLE * mispredictions + c::DOUBLE * loads + d::DOUBLE * stores, 6) AS cost FROM samples s, (VALUES {_BY_PROFILE}) t(profile, a, b, c, d))"
+_C, _U = "sum(cost) FILTER (variant = 'conditional')", "sum(cost) FILTER (variant = 'unconditional')"
+_add("modelled_speedup", x.modelled_speedup, f"WITH {_ALL}, {_COSTS} SELECT graph, method, profile, {_C} AS conditional, {_U} AS unconditional, {o.r(_C, _U)} AS speedup FROM costs GROUP BY graph, method, profile")
+_SC, _SU = "sum(stores) FILTER (variant = 'conditional')", "sum(stores) FILTER (variant = 'unconditional')"
+_add(
+    "search_slowdown",
+    x.slowdown_and_growth,
+    f"WITH {_ONLY['bfs']}, {_COSTS} SELECT graph, profile, {o.r(_U, _C)} AS slowdown, {o.r(_SU, _SC)} AS growth, {o.r(_U, _C)} <= 2 AS within_cap FROM costs GROUP BY graph, profile",
+)
+_add("work_constancy", x.work_constancy, f"WITH {_ONLY['cc']} SELECT graph, variant, count(*) AS sweeps, min(edges_traversed)::BIGINT AS least, max(edges_traversed)::BIGINT AS most, min(edges_traversed) = max(edges_traversed) AS constant FROM samples GROUP BY graph, variant")
 
 
 def _correlation_sql(method: str) -> str:
@@ -180,7 +272,8 @@ def _correlation_sql(method: str) -> str:
 
 _add("correlation_cc", x.x9_cc_correlation, f"WITH {_correlation_sql('cc')} SELECT * FROM corr")
 _add("correlation_bfs", x.x10_bfs_correlation, f"WITH {_correlation_sql('bfs')} SELECT * FROM corr")
-_add("time_predictor_rank", lambda spark, sf_dir: measures.rank_time_predictors(x.x9_cc_correlation(spark, sf_dir)), f"WITH {_correlation_sql('cc')} SELECT method, col_metric AS metric, r, (rank() OVER (ORDER BY abs(r) DESC NULLS LAST))::INTEGER AS rank FROM corr WHERE row_metric = 'time'")
+for _m, _name, _correlation in (("cc", "time_predictor_rank", x.x9_cc_correlation), ("bfs", "time_predictor_rank_bfs", x.x10_bfs_correlation)):
+    _add(_name, lambda spark, sf_dir, c=_correlation: measures.rank_time_predictors(c(spark, sf_dir)), f"WITH {_correlation_sql(_m)} SELECT method, col_metric AS metric, r, (rank() OVER (ORDER BY abs(r) DESC NULLS LAST))::INTEGER AS rank FROM corr WHERE row_metric = 'time'")
 _add(
     "per_edge_rates",
     lambda spark, sf_dir: measures.per_edge(x.samples(spark, sf_dir), ["branches", "mispredictions", "stores"]),
@@ -191,15 +284,43 @@ _add("iteration_variation", lambda spark, sf_dir: measures.iteration_variation(x
 _add("counter_cube", lambda spark, sf_dir: measures.counter_cube(x.samples(spark, sf_dir)), f"WITH {_ALL} SELECT graph, method, variant, grouping(graph, method, variant)::BIGINT AS level, sum(branches)::BIGINT AS branches, sum(mispredictions)::BIGINT AS mispredictions, sum(stores)::BIGINT AS stores FROM samples GROUP BY CUBE (graph, method, variant)")
 _add("counter_rollup", lambda spark, sf_dir: measures.counter_rollup(x.samples(spark, sf_dir)), f"WITH {_ALL} SELECT graph, method, variant, grouping(graph, method, variant)::BIGINT AS level, sum(branches)::BIGINT AS branches, sum(mispredictions)::BIGINT AS mispredictions FROM samples GROUP BY ROLLUP (graph, method, variant)")
 _add("counter_grouping_sets", lambda spark, sf_dir: measures.counter_grouping_sets(x.samples(spark, sf_dir)), f"WITH {_ALL} SELECT graph, method, variant, sum(branches)::BIGINT AS branches, sum(mispredictions)::BIGINT AS mispredictions FROM samples GROUP BY GROUPING SETS ((graph), (method, variant))")
-_add("miss_ratio_spread", x.predictor_band)
-_add("select_styles", x.select_styles)
-_add("x12_hybrid", x.x12_hybrid)
+_BANDS = " UNION ALL ".join(f"SELECT * FROM (WITH {o.all_samples(x.TRACED, ('cc',), b)} SELECT graph, method, sum(mispredictions) FILTER (variant = 'conditional')::DOUBLE / sum(mispredictions) FILTER (variant = 'unconditional') AS r FROM samples GROUP BY graph, method)" for b in (1, 2, 3))
+_add("miss_ratio_spread", x.predictor_band, f"SELECT graph, method, round(min(r), 6) AS least, round(max(r), 6) AS most, round(max(r) - min(r), 6) AS spread, round(stddev_samp(r), 6) AS deviation FROM ({_BANDS}) GROUP BY graph, method")
+_add(
+    "select_styles",
+    x.select_styles,
+    f"WITH {_ALL} SELECT graph, method, style, sum(instructions + edges_traversed * (w - 1))::BIGINT AS instructions FROM samples, (VALUES ('least', 1), ('mask', 9), ('case', 1)) t(style, w) WHERE variant = 'unconditional' GROUP BY graph, method, style",
+)
+# fmt: off
+_RATE = "(p * (1 - p) / (p * p + (1 - p) * (1 - p)))"
+_SWITCHES = {"at_iteration(2)": "it >= 2", "changed_fraction(0.1)": "changed <= 0.1 * n", "test_miss_rate(0.1)": f"{_RATE} <= 0.1", "modelled_cost(2.0,14.0)": f"14.0 * n * {_RATE} <= 2.0 * (n - changed)"}
+_add(
+    "x12_hybrid",
+    x.x12_hybrid,
+    f"WITH RECURSIVE {o.labels(SMALL)}, sweep AS (SELECT it, n, changed, changed / n AS p FROM (SELECT it, count(*)::DOUBLE AS n, sum((component <> old)::BIGINT)::BIGINT AS changed FROM lab WHERE it > 0 GROUP BY it)), "
+    + "switch AS (" + " UNION ALL ".join(f"SELECT '{name}' AS policy, coalesce(min(it) FILTER ({rule}), 1 << 30) AS upto FROM sweep" for name, rule in _SWITCHES.items()) + ") "
+    + "SELECT it AS iteration, CASE WHEN it <= upto THEN 'unconditional' ELSE 'conditional' END AS discipline, changed, CASE WHEN it <= upto THEN n::BIGINT ELSE changed END AS written, policy FROM sweep, switch",
+)
+# fmt: on
+_add("x12_hybrid_by_time", x.x12_hybrid_by_time)
 _add("cc_time_ratio", x.x1_cc_time)
 _add("bfs_time_ratio", x.x4_bfs_time)
 _add("speedup", lambda spark, sf_dir: measures.total_speedup(x.timed(spark, sf_dir, "cc", (SMALL,)).unionByName(x.timed(spark, sf_dir, "bfs", (SMALL,)))))
 
 # --- graphs
-_add("graph_inventory", x.x13_inventory, " UNION ALL ".join(f"SELECT '{n}' AS graph, false AS directed, (SELECT count(*) FROM (WITH {o.edges(n)} SELECT id FROM v)) AS vertices, ((SELECT count(*) FROM (WITH {o.edges(n)} SELECT src FROM e)) // 2)::BIGINT AS edges" for n in x.TRACED))
+_add(
+    "graph_inventory",
+    x.x13_inventory,
+    " UNION ALL ".join(f"SELECT '{n}' AS graph, {str(n == 'directed_order_chain').lower()} AS directed, (SELECT count(*) FROM (WITH {o.edges(n)} SELECT id FROM v)) AS vertices, ((SELECT count(*) FROM (WITH {o.edges(n)} SELECT src FROM e)) // {1 if n == 'directed_order_chain' else 2})::BIGINT AS edges" for n in WORKLOADS),
+)
+_add("profile_inventory", lambda spark, _: x.x13_profiles(spark), " UNION ALL ".join(f"SELECT '{p.name}' AS profile, '{p.predictor.name}' AS predictor, {p.per_instruction}::DOUBLE AS per_instruction, {p.per_miss}::DOUBLE AS per_miss, {p.per_load}::DOUBLE AS per_load, {p.per_store}::DOUBLE AS per_store, {p.wrong_path}::DOUBLE AS wrong_path" for p in x.PROFILES))
+_add("degree_quantiles", lambda spark, sf_dir: gr.degree_quantiles(build(SMALL, spark, sf_dir)), f"WITH {o.edges(SMALL)}, deg AS (SELECT v.id, count(e.src) AS d FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id) " + " UNION ALL ".join(f"SELECT {q}::DOUBLE AS quantile, quantile_disc(d, {q})::BIGINT AS degree FROM deg" for q in (0.5, 0.9, 0.99)))
+_add(
+    "strongest_parts",
+    lambda spark, sf_dir: sqlapi.knn_edges(load(spark, sf_dir, "lineitem", ["l_suppkey", "l_partkey", "l_quantity"]).groupBy(F.col("l_suppkey").alias("a"), F.col("l_partkey").alias("b")).agg(F.sum("l_quantity").alias("weight")), 3),
+    "SELECT a, b, weight FROM (SELECT *, row_number() OVER (PARTITION BY a ORDER BY weight DESC, b) AS place FROM (SELECT l_suppkey AS a, l_partkey AS b, sum(l_quantity) AS weight FROM lineitem GROUP BY ALL)) WHERE place <= 3",
+)
+_add("previous_event", lambda spark, sf_dir: previous_event(load(spark, sf_dir, "events", ["event_id", "user_id", "ts"])).select("event_id", "user_id", "previous_id"), "SELECT event_id, user_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS previous_id FROM events")
 _add("degree_histogram", lambda spark, sf_dir: gr.degree_histogram(build("with_isolated", spark, sf_dir)), f"WITH {o.edges('with_isolated')} SELECT d AS degree, count(*) AS vertices FROM (SELECT v.id, count(e.src) AS d FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id) GROUP BY d")
 _add("top_degree", lambda spark, sf_dir: gr.top_degree(build(FLAGSHIP, spark, sf_dir), 10), f"WITH {o.edges(FLAGSHIP)} SELECT src AS id, count(*) AS degree FROM e GROUP BY src ORDER BY degree DESC, id LIMIT 10")
 _add("adjacency", lambda spark, sf_dir: gr.adjacency(build(SMALL, spark, sf_dir)).select("src", "chunk", "degree", F.array_join(F.col("nbrs").cast("array<string>"), ",").alias("nbrs")), f"WITH {o.edges(SMALL)} SELECT src, 0 AS chunk, count(*) AS degree, string_agg(dst::VARCHAR, ',' ORDER BY dst) AS nbrs FROM e GROUP BY src")

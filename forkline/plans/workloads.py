@@ -105,9 +105,12 @@ def embedding_neighbors(spark: SparkSession, sf_dir: str, min_cosine: float = 0.
 
 
 def document_lines(spark: SparkSession, sf_dir: str, min_line_chars: int = 60, max_doc_freq: int = 20) -> Graph:
+    """Documents that share a long line: all pairs of those that share one with few, else each with the smallest id that has it."""
     lines = load(spark, sf_dir, "documents", ["doc_id", "text"]).select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") >= min_line_chars).distinct()
-    shared = lines.groupBy("line").agg(F.count("*").alias("n")).where(F.col("n").between(2, max_doc_freq))
-    return graph_of(_pairs_within(lines.join(shared.select("line"), "line", "left_semi"), "doc_id", "line"), "document_lines")
+    shared = lines.groupBy("line").agg(F.count("*").alias("n"), F.min("doc_id").alias("b")).where("n >= 2")
+    few = lines.join(shared.where(F.col("n") <= max_doc_freq).select("line"), "line", "left_semi")
+    star = lines.join(shared.where(F.col("n") > max_doc_freq), "line").select(F.col("doc_id").alias("a"), "b")
+    return graph_of(_pairs_within(few, "doc_id", "line").unionByName(star), "document_lines")
 
 
 def page_links(spark: SparkSession, sf_dir: str) -> Graph:

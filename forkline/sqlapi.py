@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from forkline.graph import Graph
+from forkline.operators.verify import verify_components
+from forkline.sources.tables import stored
 
 
 def register_views(g: Graph, prefix: str = "") -> None:
@@ -24,7 +26,8 @@ def components_recursive(g: Graph, depth: int) -> DataFrame:
     """Components by a recursive query: every label walks ``depth`` edges along vertices above it.
 
     Recursion may neither aggregate nor drop repeats, so walks are enumerated: a baseline for
-    small, shallow graphs. ``depth`` has to reach the eccentricity of each component's least id.
+    small, shallow graphs. ``depth`` has to reach the eccentricity of each component's least
+    id; labels that still differ over an edge raise an error.
     """
     register_views(g, "__recursive_")
     walks = g.edges.sparkSession.sql(
@@ -34,7 +37,10 @@ def components_recursive(g: Graph, depth: int) -> DataFrame:
             SELECT e.dst, w.label, w.steps + 1 FROM walk w JOIN __recursive_edges e ON e.src = w.id WHERE w.steps < {int(depth)} AND e.dst > w.label)
             SELECT id, label FROM walk"""
     )
-    return walks.groupBy("id").agg(F.min("label").alias("component"))
+    labels = stored(walks.groupBy("id").agg(F.min("label").alias("component")), "recursive")
+    if verify_components(g, labels).limit(1).count():
+        raise ValueError(f"depth {depth} does not reach every vertex")
+    return labels
 
 
 def sample_trace(trace: DataFrame, fraction: float, seed: int = 7) -> DataFrame:

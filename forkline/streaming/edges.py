@@ -40,22 +40,35 @@ def session_counts(edges: DataFrame, gap: str = "30 minutes", late: str = "1 hou
 class ComponentState:
     """Labels kept over micro-batches: ``labels/batch=N`` below ``folder`` holds the state after batch N.
 
-    Labels only fall, so a batch that runs again after a failure gives the same state.
+    The folder alone is the state: a batch starts from the last complete batch before it, also
+    after a restart, and writes a folder that only later batches read. So a batch that runs
+    again after a failure replaces what it wrote and gives the same state.
     """
 
     def __init__(self, spark: SparkSession, folder: str):
         self.spark, self.folder = spark, folder.rstrip("/")
-        self.last: int | None = None
 
-    def labels(self) -> DataFrame:
-        if self.last is None:
+    def last(self, below: int | None = None) -> int | None:
+        """The greatest batch that was written to its end, of those below ``below``."""
+        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        path = jvm.org.apache.hadoop.fs.Path(f"{self.folder}/labels")
+        files = path.getFileSystem(conf)
+        if not files.exists(path):
+            return None
+        folders = [s.getPath() for s in files.listStatus(path) if s.getPath().getName().startswith("batch=")]
+        done = [int(f.getName().removeprefix("batch=")) for f in folders if files.exists(jvm.org.apache.hadoop.fs.Path(f, "_SUCCESS"))]
+        return max((n for n in done if below is None or n < below), default=None)
+
+    def labels(self, below: int | None = None) -> DataFrame:
+        last = self.last(below)
+        if last is None:
             return self.spark.createDataFrame([], "id bigint, component bigint")
-        return self.spark.read.parquet(f"{self.folder}/labels/batch={self.last}")
+        return self.spark.read.schema("id bigint, component bigint").parquet(f"{self.folder}/labels/batch={last}")
 
     def update(self, batch: DataFrame, batch_id: int) -> None:
         """New edges join the old components: their graph is that of labels, which is small, and its labels are relabelled."""
         edges = stored(graph_of(batch.select("src", "dst"), "batch").edges, "batch")
-        old = self.labels()
+        old = self.labels(batch_id)
         ends = edges.select(F.col("src").alias("id")).distinct()
         known = ends.join(old, "id", "left").select("id", F.coalesce("component", "id").alias("component"))
         a = known.select(F.col("id").alias("src"), F.col("component").alias("a"))
@@ -67,7 +80,6 @@ class ComponentState:
         every = old.unionByName(known).groupBy("id").agg(F.min("component").alias("component"))
         new = every.join(moved, "component", "left").select("id", F.least("component", F.coalesce("lower", "component")).alias("component"))
         new.write.mode("overwrite").parquet(f"{self.folder}/labels/batch={batch_id}")
-        self.last = batch_id
 
 
 def stream_components(edges: DataFrame, folder: str, checkpoint: str) -> tuple[StreamingQuery, ComponentState]:

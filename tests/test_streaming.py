@@ -31,3 +31,19 @@ def test_windows_and_time_join(spark, tmp_path):
     query = counts.writeStream.format("memory").queryName("w").outputMode("append").option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start()
     query.awaitTermination()
     assert [r["edges"] for r in spark.sql("SELECT edges FROM w ORDER BY start").collect()][:1] == [4]
+
+
+def test_state_survives_a_restart_and_a_batch_that_runs_again(spark, tmp_path):
+    batch = lambda pairs: spark.createDataFrame(pairs, "src bigint, dst bigint")
+    as_dict = lambda s: {r["id"]: r["component"] for r in s.labels().collect()}
+    first = st.ComponentState(spark, f"file://{tmp_path}/state")
+    assert first.last() is None
+    first.update(batch([(1, 2), (2, 3)]), 0)
+    again = st.ComponentState(spark, f"file://{tmp_path}/state")  # after a restart
+    again.update(batch([(3, 4), (8, 9)]), 1)
+    assert as_dict(again) == {1: 1, 2: 1, 3: 1, 4: 1, 8: 8, 9: 8}
+    again.update(batch([(9, 4)]), 2)
+    again.update(batch([(3, 4), (8, 9)]), 1)  # a late rerun reads batch 0, and replaces batch 1 alone
+    assert set(as_dict(again).values()) == {1}
+    (tmp_path / "state/labels/batch=2/_SUCCESS").unlink()  # never finished
+    assert again.last() == 1 and as_dict(again)[9] == 8
