@@ -54,10 +54,37 @@ def save_bucketed(edges: DataFrame, table: str, buckets: int, mode: str = "overw
     return edges.sparkSession.table(table)
 
 
+#: Folders that this process has made, by application.
+_made: dict[str, list[str]] = {}
+
+
 def shared_folder(spark: SparkSession, kind: str) -> str:
-    """A new folder that driver and executors share; below ``spark.checkpoint.dir`` wherever that is set."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/forkline-shared"
-    return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    """A new folder that driver and executors share, below ``spark.checkpoint.dir``.
+
+    Only a session on one machine may leave that setting empty; on a cluster that is an error.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        base = f"file://{tempfile.gettempdir()}/forkline-shared"
+    folder = f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
+    _made.setdefault(spark.sparkContext.applicationId, []).append(folder)
+    return folder
+
+
+def drop(spark: SparkSession, *folders: str) -> None:
+    """Delete folders through Hadoop's file system, wherever they lie."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for folder in folders:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(conf).delete(path, True)
+
+
+def clean(spark: SparkSession) -> None:
+    """Delete all that runs have written on the way; DataFrames that they returned can't be read after it."""
+    drop(spark, *_made.pop(spark.sparkContext.applicationId, []))
 
 
 class Epochs:
@@ -72,11 +99,8 @@ class Epochs:
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, *names: str | int) -> None:
-        """Delete states that no plan reads any more, through Hadoop's file system, wherever the folder lies."""
-        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
-        for name in names:
-            path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
-            path.getFileSystem(conf).delete(path, True)
+        """Delete states that no plan reads any more."""
+        drop(self.spark, *(f"{self.root}/{name}" for name in names))
 
 
 def stored(df: DataFrame, kind: str) -> DataFrame:
