@@ -9,12 +9,12 @@ from __future__ import annotations
 import inspect
 import math
 import os
-import tempfile
-import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from forkline.sources.tables import clean, drop, shared_folder  # noqa: F401  (the operators' own name for it)
+
 
 def give_back() -> None:
     """Return this process's free memory to the system."""
@@ -77,18 +77,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession, kind: str) -> str:
-    """A new folder that the driver and all executors see: below ``spark.checkpoint.dir``.
-
-    Only where the session leaves that setting empty (tests on one machine) a folder of
-    this machine takes its place.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = f"file://{tempfile.gettempdir()}/forkline-shared"
-    return f"{base.rstrip('/')}/{kind}-{uuid.uuid4().hex}"
-
-
 def through_disk(df: DataFrame, kind: str) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it again: cuts lineage, survives executors."""
     spark = df.sparkSession

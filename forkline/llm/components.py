@@ -10,21 +10,31 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from forkline.llm.common import through_disk
+from forkline.llm.common import drop, shared_folder, through_disk
 
 
-def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """``(id, component)`` for each id in ``links(a, b)``; ``component`` is the smallest id that it reaches."""
+def components(links: DataFrame) -> DataFrame:
+    """``(id, component)`` for each id in ``links(a, b)``; ``component`` is the smallest id that it reaches.
+
+    Null ends and links of an id to itself are left out; no links give no rows.
+    """
+    spark, folder = links.sparkSession, shared_folder(links.sparkSession, "labels")
     both = links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b")
     edges = through_disk(both.distinct(), "links")
-    labels = through_disk(edges.groupBy(F.col("a").alias("id")).agg(F.least("a", F.min("b")).alias("component")), "labels")
-    for _ in range(most_rounds):
+
+    def put(k: int, df: DataFrame) -> DataFrame:
+        df.write.parquet(f"{folder}/{k}")
+        return spark.read.schema(df.schema).parquet(f"{folder}/{k}")
+
+    labels, k = put(0, edges.groupBy(F.col("a").alias("id")).agg(F.least("a", F.min("b")).alias("component"))), 0
+    while True:
         heard = edges.join(labels, edges.b == labels.id).groupBy("a").agg(F.min("component").alias("heard"))
         lower = labels.join(heard, labels.id == heard.a).select("id", "component", F.least("component", "heard").alias("lower"))
         target = labels.select(F.col("id").alias("lower"), F.col("component").alias("beyond"))
         step = lower.join(target, "lower", "left").select("id", F.least("lower", F.coalesce("beyond", "lower")).alias("component"), (F.col("component") > F.least("lower", F.coalesce("beyond", "lower"))).alias("changed"))
-        written = through_disk(step, "labels")
+        k += 1
+        written = put(k, step)
         labels = written.select("id", "component")
+        drop(spark, f"{folder}/{k - 1}")
         if not written.where("changed").limit(1).count():
             return labels
-    raise RuntimeError("components did not settle")
