@@ -52,14 +52,14 @@ def _merger(path: str, tokenizer) -> Callable[[str], np.ndarray] | None:
 
 
 class WordEndMerger:
-    """tiktoken for a byte-level file with word ends, over text of code points below U+0590.
+    """tiktoken for a byte-level file with word ends, over text of code points below U+0530 (beyond, the two libraries class some unassigned ones apart).
 
     The word end is a private-use character after each pre-token. Its bytes merge first, then
     with the byte before, which gives the file's letter with its word end; all other merges
     follow in the file's order, and ranks are turned into ids at the end.
     """
 
-    END, BELOW = "\U0010fffd", "\u0590"
+    END, BELOW = "\U0010fffd", "\u0530"
 
     def __init__(self, path: str, tokenizer):
         import regex
@@ -87,7 +87,7 @@ class WordEndMerger:
         self.normalize = tokenizer.normalizer.normalize_str
 
     def __call__(self, text: str) -> np.ndarray:
-        # below U+0590 Python lower-cases like the file's normaliser, but for the final sigma
+        # below U+0530 Python lower-cases like the file's normaliser, but for the final sigma
         plain = unicodedata.is_normalized("NFC", text) and "\u03a3" not in text
         cut = self.cut(text.lower() if plain else self.normalize(text))
         return self.to_id[self.merge(self.END.join([*cut, ""]))] if cut else np.zeros(0, np.int64)
@@ -135,7 +135,7 @@ class PieceEncoder(Encoder):
         try:
             fast = WordEndMerger(tokenizer_file(vocabulary), self.tokenizer)
             probe = "".join(c for c in _PROBE if c < fast.BELOW)
-            upper = " ".join(chr(c) for c in range(33, 0x590) if chr(c).isprintable())
+            upper = " ".join(chr(c) for c in range(33, 0x530) if chr(c).isprintable())
             agree = all(fast(x).tolist() == self.ids(x) for x in (probe, upper))
             self.fast = fast if agree else None
         except (ImportError, ValueError, KeyError):
