@@ -16,8 +16,8 @@ on the bytes, with two exchanges of packed hashes between them:
    occur elsewhere and are indexed (*live* anchors);
 2. chunks send the full windows around live anchors, once each with the earliest place in
    the chunk; a bucket answers with those that have an earlier place in another chunk. This
-   compares the whole window by more than 80 bits of two independent hashes, so an anchor
-   in common alone deletes nothing;
+   compares the whole window by 106 bits, 53 of each of two independent polynomials over the
+   64-bit hashes of its units, so an anchor in common alone deletes nothing;
 3. chunks mark what their own earlier places and the answers cover. Overlapping windows
    make the maximal extension of a match to both sides.
 
@@ -49,6 +49,13 @@ RESULT = pa.schema([("doc_id", pa.int64()), ("n_units", pa.int64()), ("n_removed
 NO_ID = (1 << 63) - 1
 
 
+def wide(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """One key of 106 bits of two hashes: whole numbers below 2**53 are exact as parts of a complex number, whose order is that of its parts."""
+    key = np.empty(len(a), np.complex128)
+    key.real, key.imag = a >> np.uint64(11), b >> np.uint64(11)
+    return key
+
+
 def ddl(schema: pa.Schema) -> str:
     names = {pa.int32(): "int", pa.int64(): "bigint", pa.binary(): "binary", pa.string(): "string", pa.list_(pa.int32()): "array<int>", pa.bool_(): "boolean", pa.float64(): "double"}
     return ", ".join(f"{f.name} {names[f.type]}" for f in schema)
@@ -87,7 +94,7 @@ class WordUnits:
         b, _ = windows(u["h"], u["owner"], self.width, second=True)
         at = np.flatnonzero(whole)
         a, b = a[at], b[at]
-        return (a << np.uint64(24)) | (b >> np.uint64(40)), a, at, np.full(len(at), self.width)
+        return wide(a, b), a, at, np.full(len(at), self.width)
 
     def position(self, u: dict[str, np.ndarray], at: np.ndarray) -> np.ndarray:
         return np.zeros(len(at), np.int64)  # only the document counts
@@ -153,7 +160,7 @@ class LineUnits:
             for out, second in ((a, False), (b, True)):
                 h, _ = windows(u["h"], u["owner"], int(n), second)
                 out[own] = h[at[own]]
-        return (a << np.uint64(24)) | (b >> np.uint64(40)), a, at, size
+        return wide(a, b), a, at, size
 
     def position(self, u: dict[str, np.ndarray], at: np.ndarray) -> np.ndarray:
         return at - np.searchsorted(u["owner"], u["owner"][at])
@@ -257,7 +264,7 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
 
     def find_earlier(t: pa.Table) -> pa.Table:
         chunks = t.column("chunk").to_numpy()
-        keys = [np.frombuffer(b, np.uint64) for b in t.column("keys").to_pylist()]
+        keys = [np.frombuffer(b, np.complex128) for b in t.column("keys").to_pylist()]
         places = [np.frombuffer(zlib.decompress(b), np.int64).reshape(2, -1) for b in t.column("places").to_pylist()]
         key, owner = np.concatenate(keys), np.repeat(np.arange(len(keys)), [len(k) for k in keys])
         doc, pos = np.concatenate([p[0] for p in places]), np.concatenate([p[1] for p in places])
@@ -285,7 +292,7 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
             new = np.concatenate([[True], s[1:] != s[:-1]])
             lead = order[np.flatnonzero(new)][np.cumsum(new) - 1]
             late[order] = (doc[lead] < doc[order]) | ((doc[lead] == doc[order]) & (pos[lead] < pos[order]))
-        told = np.sort(np.concatenate([np.zeros(0, np.uint64), *(np.frombuffer(b, np.uint64) for b in answers.column("found").to_pylist())]))
+        told = np.sort(np.concatenate([np.zeros(0, np.complex128), *(np.frombuffer(b, np.complex128) for b in answers.column("found").to_pylist())]))
         late |= contained(key, told)
         cover = np.zeros(len(u["h"]) + 1, np.int64)
         np.add.at(cover, first[late], 1)

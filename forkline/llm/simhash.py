@@ -19,7 +19,8 @@ clustered around pivots in one task at 8 bytes a word and member.
 
 Results: ``component_id`` is the smallest id reachable over links. Null text is empty; an
 empty text has fingerprint zero and is linked like any other; rows of equal ids share one
-class; a null id takes no part in minima unless it is alone; an empty table stays empty.
+class; a row of null id links others but is never the smallest: a group of such rows alone has
+a null ``component_id``; an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -295,12 +296,17 @@ def links(classes: DataFrame, words: int, radius: int, parts: range) -> DataFram
 
 
 def near_duplicate_groups(prints: DataFrame, words: int, radius: int, parts: range | None = None) -> DataFrame:
-    """``prints`` with ``component_id``. ``prints(doc_id, f0, ...)`` is read several times: write it first."""
+    """``prints`` with ``component_id``. ``prints(doc_id, f0, ...)`` is read several times: write it first.
+
+    Classes are named by their fingerprints, so a class without an id links others all the same.
+    """
     names = [f"f{k}" for k in range(words)]
-    classes = through_disk(prints.groupBy(*names).agg(F.min("doc_id").alias("id")), "fingerprints")
-    known = classes.where("id IS NOT NULL")
-    reached = components(links(known, words, radius, parts or range(1, radius + 2)))
-    named = classes.join(reached, "id", "left").select(*names, F.coalesce("component", "id").alias("component_id"))
+    name = F.col("f0") if words == 1 else F.xxhash64(*names)
+    classes = through_disk(prints.groupBy(*names).agg(F.min("doc_id").alias("least")).withColumn("id", name), "fingerprints")
+    reached = components(links(classes, words, radius, parts or range(1, radius + 2)))
+    grouped = classes.join(reached, "id", "left").select(*names, "least", F.coalesce("component", "id").alias("group"))
+    grouped = through_disk(grouped, "groups")
+    named = grouped.join(grouped.groupBy("group").agg(F.min("least").alias("component_id")), "group").drop("group", "least")
     return prints.join(named, names)
 
 
