@@ -12,7 +12,8 @@ shared is one: the rarest. The plan:
 3. candidates fetch their document's words and are compared word by word;
 4. overlapping hits become covered words by one sort within each document.
 
-The benchmark's shingles, and the keys of the documents with candidates, are broadcast if
+The windows with their rarest shingles are broadcast if there are at most
+``BROADCAST_WINDOWS`` of them. The benchmark's shingles, and the keys of the documents with candidates, are broadcast if
 there are at most ``BROADCAST_ROWS`` of them (8 and 16 bytes each), else they are shuffled
 like the rest.
 
@@ -29,6 +30,8 @@ from pyspark.sql import functions as F
 from forkline.llm.common import BROADCAST_ROWS, through_disk
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+#: Windows of at most ``width`` words that are broadcast at most.
+BROADCAST_WINDOWS = 200_000
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 
@@ -83,7 +86,9 @@ def decontaminate(docs: DataFrame, items: DataFrame, width: int = 10, id_col: st
     ranked = tokens.join(seen, "token", "left").groupBy("item_id", "window", "len").agg(
         F.min(F.coalesce("often", F.lit(0))).alias("least"), F.min_by(F.struct("token", "offset"), F.struct(F.coalesce("often", F.lit(0)), "offset")).alias("rarest")
     )
-    prefix = ranked.where("least > 0").select("item_id", "window", "len", F.col("rarest.token").alias("token"), F.col("rarest.offset").alias("offset"))
+    prefix = through_disk(ranked.where("least > 0").select("item_id", "window", "len", F.col("rarest.token").alias("token"), F.col("rarest.offset").alias("offset")), "prefixes")
+    if prefix.count() <= BROADCAST_WINDOWS:  # so places of a common token need not meet in one task
+        prefix = F.broadcast(prefix)
     candidates = (
         found.join(prefix, "token")
         .select("rid", "tid", "item_id", "window", "len", (F.col("pos") - F.col("offset")).alias("start"), "n_words")

@@ -1,8 +1,9 @@
 """Supervised subword embeddings: hashed word and character n-gram vectors, averaged, softmax on top.
 
 Training: numpy stochastic gradient descent on a bounded sample of labelled rows, picked by
-the smallest hash of the id (``sample``, a documented parameter: at most so many whole
-texts reach the driver, none of more than ``longest`` characters). Scoring: every text whole, on the executors.
+the smallest hash of the id (``sample``, a documented parameter), whole texts of any length.
+Executors count a text's hashed features; of a sampled text only these counts reach the
+driver, at most ``2 ** bits`` of them. Scoring: every text whole, on the executors.
 With a softmax over the average of vectors, a feature acts through its vector's product with
 the output layer alone; scoring sums that one number per hashed feature, vectorised.
 
@@ -18,6 +19,7 @@ the sample the score is the share of label 1 (0.5 if there is none).
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -41,7 +43,6 @@ class Settings:
     least_steps: int = 25_000
     rate: float = 0.5
     sample: int = 4000
-    longest: int = 200_000
     seed: int = 7
 
 
@@ -94,7 +95,12 @@ def features(texts: list[str], s: Settings) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(ids)[order_all].astype(np.int64), np.bincount(owner_all, minlength=len(texts))
 
 
-def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> Model:
+def bag(text: str, s: Settings) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct features of a text and how often they occur."""
+    return np.unique(features([text], s)[0], return_counts=True)
+
+
+def train(bags: list[tuple[np.ndarray, np.ndarray]], labels: list[int], s: Settings = Settings()) -> Model:
     y = np.array(labels)
     rows = 1 << s.bits
     if len(set(labels)) < 2:
@@ -104,14 +110,10 @@ def train(texts: list[str], labels: list[int], s: Settings = Settings()) -> Mode
     rng = np.random.default_rng(s.seed)
     table = ((rng.random((rows, s.dim)) - 0.5) / s.dim).astype(np.float32)
     out, bias = np.zeros((2, s.dim), np.float32), np.zeros(2, np.float32)
-    bags = []
-    for t in texts:
-        ids, _ = features([t], s)
-        bags.append(np.unique(ids, return_counts=True))
-    epochs = max(s.epochs, -(-s.least_steps // len(texts)))
-    steps, done = epochs * len(texts), 0
+    epochs = max(s.epochs, -(-s.least_steps // len(bags)))
+    steps, done = epochs * len(bags), 0
     for _ in range(epochs):
-        for i in rng.permutation(len(texts)).tolist():
+        for i in rng.permutation(len(bags)).tolist():
             rate = s.rate * (1 - done / steps)
             done += 1
             ids, count = bags[i]
@@ -151,15 +153,18 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), lab
     """Train on the bounded sample. ``labels(id, label)`` says which rows may be learnt from."""
     known = labels.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(label_col).cast("int").alias("label")).where("doc_id IS NOT NULL AND label IN (0, 1)")
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id", "label").limit(settings.sample)
-    texts = id_and_text(docs, id_col, text_col).where((F.col("text") != "") & (F.length("text") <= settings.longest))
-    rows = (
-        texts.join(F.broadcast(picked), "doc_id")  # at most ``sample`` ids
-        .select("doc_id", "label", "text")
-        .orderBy(F.xxhash64("doc_id"), "doc_id", "label", "text")
-        .limit(settings.sample)
-        .collect()
-    )
-    return train([r["text"] for r in rows], [r["label"] for r in rows], settings)
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            bags = [bag(t, settings) for t in batch.column(2).to_pylist()]
+            blobs = [[zlib.compress(np.diff(x[0], prepend=0).astype(np.uint32).tobytes(), 1) for x in bags], [zlib.compress(x[1].astype(np.uint32).tobytes(), 1) for x in bags]]
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in (0, 1, 3)), *(pa.array(x, pa.binary()) for x in blobs)], names=["doc_id", "label", "tie", "features", "counts"])
+
+    texts = id_and_text(docs, id_col, text_col).where("text <> ''").join(F.broadcast(picked), "doc_id").select("doc_id", "label", "text", F.xxhash64("text").alias("tie"))  # at most ``sample`` ids
+    counted = texts.mapInArrow(lean(task), "doc_id bigint, label int, tie bigint, features binary, counts binary")
+    rows = counted.orderBy(F.xxhash64("doc_id"), "doc_id", "label", "tie").limit(settings.sample).collect()
+    read = lambda blob: np.frombuffer(zlib.decompress(blob), np.uint32).astype(np.int64)
+    return train([(np.cumsum(read(r["features"])), read(r["counts"])) for r in rows], [r["label"] for r in rows], settings)
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -165,3 +165,21 @@ def test_contamination_against_brute_force(spark):
     assert (none["n_words"], none["n_hit"], none["contaminated"]) == (2, 0, False)
     twice = decontaminate(spark.createDataFrame([(None, "solo", "s", 1), (None, "solo", "s", 1), (None, "x", "s", 1)], SCHEMA), spark.createDataFrame(items, "item_id bigint, text string"))
     assert sorted(r["n_hit"] for r in twice.collect()) == [0, 1, 1]
+
+
+def test_classifier_on_the_given_labels_and_a_long_text(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
+    long = spark.createDataFrame([(10**9, "good prose here " * 60_000)], "doc_id bigint, text string")
+    model = qc.fit(docs.select("doc_id", "text").unionByName(long), labels.where(~held).select("doc_id", "quality").unionByName(spark.createDataFrame([(10**9, 1)], "doc_id bigint, quality int")))
+    tested = qc.score(docs, model).join(labels.where(held), "doc_id").collect()
+    assert len(tested) > 80 and np.mean([(r["score"] >= 0.5) == (r["quality"] == 1) for r in tested]) >= 0.9
+
+
+def test_contamination_of_a_common_word_and_a_long_text(spark):
+    docs = {i: "the " * (i % 7) + f"word{i}" for i in range(300)} | {500: "the quick " * 40_000, 501: None}
+    items = [(1, "The"), (2, "quick the quick the quick the quick the quick the"), (3, "no such words at all here")]
+    got = {r["doc_id"]: (r["n_words"], r["n_hit"], r["item_ids"]) for r in decontaminate(spark.createDataFrame([(k, v, "s", 1) for k, v in docs.items()], SCHEMA), spark.createDataFrame(items, "item_id bigint, text string")).collect()}
+    assert got == brute_contamination(docs, items, 10)
+    empty = decontaminate(spark.createDataFrame([], SCHEMA), spark.createDataFrame(items, "item_id bigint, text string"))
+    assert empty.count() == 0
