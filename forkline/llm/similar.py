@@ -10,8 +10,11 @@ the other rows nor on their number.
 Every two classes that share a key are compared or already connected:
 
 1. a key of up to ``RUN`` classes gives all its pairs, a fuller one a star around its smallest
-   class; the pairs, told once, fetch both sets and are linked if their similarity suffices;
-2. a full key whose classes are still in several components deals its classes to chunks, and
+   class; each pair is told once. Of the pairs of a class with smaller ones, that with the
+   smallest fetches both sets and is a link if their similarity suffices;
+2. so do the other pairs whose classes are still in different components, which in a group of
+   copies are few;
+3. a full key whose classes are still in several components deals its classes to chunks, and
    each pair of chunks compares all of its pairs of different components in a task of its own.
 
 Null text is empty; empty texts are one class.
@@ -115,6 +118,13 @@ def similar(shared: int | np.ndarray, x: int | np.ndarray, y: int | np.ndarray,
     return shared >= similarity * (x + y - shared) - 1e-9
 
 
+def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The ``pairs(a, b)`` of different components."""
+    x, y = (labels.select(F.col("id").alias(c), F.col("component").alias(f"of_{c}")) for c in "ab")
+    met = pairs.join(x, "a", "left").join(y, "b", "left")
+    return met.where(F.coalesce("of_a", "a") != F.coalesce("of_b", "b")).select("a", "b")
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """The links among ``pairs(a, b)``."""
 
@@ -185,8 +195,13 @@ def similar_rows(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_
     suspects = shared.select("class").distinct().join(classes.select("class", "text_hash"), "class")
     bodies = texts.join(suspects, "text_hash").select("class", "text").dropDuplicates(["class"])
     sets = through_disk(_sets(bodies, shingle), "shingle-sets")
-    links = through_disk(_verified(pairs, sets, similarity), "similar")
+    first = pairs.groupBy("b").agg(F.min("a").alias("a"))
+    links = through_disk(_verified(first, sets, similarity), "similar")
     labels = components(links)
+    apart = through_disk(_apart(pairs.join(first, ["a", "b"], "left_anti"), labels), "apart")
+    if apart.limit(1).count():
+        links = through_disk(links.union(_verified(apart, sets, similarity)), "similar")
+        labels = components(links)
     if full.limit(1).count():
         more = through_disk(_links_of_full_keys(full, labels, sets, similarity), "similar")
         if more.limit(1).count():
