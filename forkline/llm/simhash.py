@@ -36,7 +36,6 @@ from pyspark.sql import functions as F
 
 from forkline.llm.common import id_and_text, lean, through_disk
 from forkline.llm.components import components
-from forkline.llm.similar import similar_groups  # noqa: F401  (links by the shingles themselves)
 from forkline.llm.textblock import blocks, mix
 
 SEED = 42
@@ -44,17 +43,14 @@ SEED = 42
 PLAN_SAMPLE, RUN = 20_000, 512
 
 
-def _fingerprints(buffer: bytes, starts: list[int], ends: list[int], owner_edges: np.ndarray, words: int) -> np.ndarray:
-    """(texts, words) fingerprints of shingles given by their byte spans, grouped by text."""
-    from xxhash import xxh64_intdigest
-
+def majority_bits(base: np.ndarray, owner_edges: np.ndarray, words: int = 1) -> np.ndarray:
+    """(texts, words) fingerprints of 64-bit hashes grouped by text: a bit is one if set in over half of them."""
     n = len(owner_edges) - 1
     out = np.zeros((n, words), np.uint64)
     size = np.diff(owner_edges)
     some = np.flatnonzero(size)
     if not len(some):
         return out
-    base = np.fromiter((xxh64_intdigest(buffer[a:b], SEED) for a, b in zip(starts, ends, strict=True)), np.uint64, len(starts))
     for k in range(words):
         h = mix(base, k) if k else base
         i = 0
@@ -73,6 +69,13 @@ def _fingerprints(buffer: bytes, starts: list[int], ends: list[int], owner_edges
     return out
 
 
+def _shingle_hashes(buffer: bytes, starts: list[int], ends: list[int]) -> np.ndarray:
+    """XXH64 of byte spans."""
+    from xxhash import xxh64_intdigest
+
+    return np.fromiter((xxh64_intdigest(buffer[a:b], SEED) for a, b in zip(starts, ends, strict=True)), np.uint64, len(starts))
+
+
 def fingerprints(docs: DataFrame, shingle: int = 3, words: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, f0, f1, ...)``: SimHash over word shingles with A-Z lower-cased, repeats included, hashed by XXH64."""
     schema = pa.schema([("doc_id", pa.int64()), *((f"f{k}", pa.int64()) for k in range(words))])
@@ -98,7 +101,7 @@ def fingerprints(docs: DataFrame, shingle: int = 3, words: int = 1, id_col: str
                 word0 = np.concatenate([[0], np.cumsum(count)])[:-1]
                 w = np.arange(edges[-1]) - np.repeat(edges[:-1] - word0, shingles)
                 last = w + np.repeat(np.minimum(count, shingle), shingles) - 1
-                f = _fingerprints(flat.tobytes(), at[w].tolist(), (at[last + 1] - 1).tolist(), edges, words)
+                f = majority_bits(_shingle_hashes(flat.tobytes(), at[w].tolist(), (at[last + 1] - 1).tolist()), edges, words)
                 ids = batch.column(0).slice(first, block.n_docs)
                 yield pa.RecordBatch.from_arrays([ids, *(pa.array(f[:, k].view(np.int64)) for k in range(words))], schema=schema)
 

@@ -1,23 +1,32 @@
-"""Groups of similar texts: candidates by MinHash bands, links by the Jaccard similarity of the shingle sets themselves.
+"""SimHash groups of similar texts, made whole from a stated similarity on: links by the Jaccard similarity of the shingles themselves.
 
 A text is the set of its word shingles (A-Z lower-cased, 64-bit hashes; all its words, if it
-has fewer than a shingle). Texts of equal sets become one class. The minima of a class under
-``ROWS * BANDS`` fixed permutations give one key a band; two classes of similarity J share a
-key with probability ``1 - (1 - J ** ROWS) ** BANDS``: all but 3 in a million at 0.8, more
-above. Seeds are constants, so whether two texts are linked depends on them alone, neither on
-the other rows nor on their number.
+has fewer than a shingle). Texts of equal sets become one class. Candidates come from two
+sources, and are links only if the similarity of their sets suffices:
+
+* SimHash fingerprints of the sets within ``RADIUS`` bits, by the generalised pigeonhole
+  principle (``simhash.links``): found for sure, but only near-equal texts. At a similarity of
+  0.8 two 64-bit fingerprints differ by 9.7 bits on average, and a radius that holds nearly
+  all such pairs (20) would make a constant share of all pairs candidates;
+* so the rest comes from MinHash: the minima of a class under ``ROWS * BANDS`` fixed
+  permutations give one key a band; two classes of similarity J share a key with probability
+  ``1 - (1 - J ** ROWS) ** BANDS``: all but 3 in a million at 0.8, more above. Seeds are
+  constants, so whether two texts are linked depends on them alone, neither on the other rows
+  nor on their number.
 
 Every two classes that share a key are compared or already connected:
 
-1. a key of up to ``RUN`` classes gives all its pairs, a fuller one a star around its smallest
-   class; each pair is told once. Of the pairs of a class with smaller ones, that with the
-   smallest fetches both sets and is a link if their similarity suffices;
-2. so do the other pairs whose classes are still in different components, which in a group of
-   copies are few;
+1. SimHash candidates come as a spanning forest. A key of up to ``RUN`` classes gives all its
+   pairs, a fuller one a star around its smallest class; each pair is told once. Of the pairs
+   of a class with smaller ones, that with the smallest is compared with the candidates of
+   SimHash: both sets are fetched;
+2. so are the other pairs whose classes are still in different components, which in a group
+   of copies are few;
 3. a full key whose classes are still in several components deals its classes to chunks, and
    each pair of chunks compares all of its pairs of different components in a task of its own.
 
-Null text is empty; empty texts are one class.
+Null text is empty; empty texts are one class; a null id is larger than all others; rows of
+equal ids are told apart by their text's hash; an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -31,10 +40,14 @@ from pyspark.sql import functions as F
 
 from forkline.llm.common import id_and_text, lean, through_disk
 from forkline.llm.components import components
+from forkline.llm.simhash import links as simhash_links
+from forkline.llm.simhash import majority_bits
 from forkline.llm.textblock import TextBlock, blocks, mix, windows
 
 #: Minima in a key, keys of a class, classes of a key that are paired at once, and classes of a chunk.
 ROWS, BANDS, RUN, CHUNK = 5, 32, 16, 1000
+#: Bits in which SimHash candidates differ at most.
+RADIUS = 2
 _FACTORS = mix(np.arange(1, ROWS * BANDS + 1, dtype=np.uint64), 77) | np.uint64(1)
 _SHIFTS = mix(np.arange(1, ROWS * BANDS + 1, dtype=np.uint64), 78)
 
@@ -82,22 +95,22 @@ def _named(value: np.ndarray, edges: np.ndarray) -> np.ndarray:
 
 
 def _prints(texts: DataFrame, shingle: int) -> DataFrame:
-    """``(doc_id, text_hash, class, size, keys)`` of ``(doc_id, text, text_hash)``."""
-    schema = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("class", pa.int64()), ("size", pa.int64()), ("keys", pa.list_(pa.int64()))])
+    """``(doc_id, text_hash, class, f0, keys)`` of ``(doc_id, text, text_hash)``; ``f0`` is the SimHash fingerprint."""
+    schema = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("class", pa.int64()), ("f0", pa.int64()), ("keys", pa.list_(pa.int64()))])
 
     def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at, block in blocks(batch.column(1)):
                 value, edges = shingle_sets(block, shingle)
-                size = np.diff(edges)
-                some = size > 0
+                some = np.diff(edges) > 0
+                bits = majority_bits(mix(value, 7), edges)[:, 0]
                 keys = band_keys(value, np.concatenate([edges[:-1][some], edges[-1:]])) if some.any() else np.zeros((0, BANDS), np.uint64)
                 offsets = np.concatenate([[0], np.cumsum(some * BANDS)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(keys.reshape(-1).view(np.int64)))
                 own = [batch.column(k).slice(at, block.n_docs) for k in (0, 2)]
-                yield pa.RecordBatch.from_arrays([*own, pa.array(_named(value, edges).view(np.int64)), pa.array(size), lists], schema=schema)
+                yield pa.RecordBatch.from_arrays([*own, pa.array(_named(value, edges).view(np.int64)), pa.array(bits.view(np.int64)), lists], schema=schema)
 
-    return texts.select("doc_id", "text", "text_hash").mapInArrow(lean(task), "doc_id bigint, text_hash bigint, class bigint, size bigint, keys array<bigint>")
+    return texts.select("doc_id", "text", "text_hash").mapInArrow(lean(task), "doc_id bigint, text_hash bigint, class bigint, f0 bigint, keys array<bigint>")
 
 
 def _sets(texts: DataFrame, shingle: int) -> DataFrame:
@@ -118,6 +131,15 @@ def similar(shared: int | np.ndarray, x: int | np.ndarray, y: int | np.ndarray,
     return shared >= similarity * (x + y - shared) - 1e-9
 
 
+def _near_fingerprints(classes: DataFrame) -> DataFrame:
+    """``(a, b)``: classes whose fingerprints a forest of links within ``RADIUS`` bits connects; equal ones form a star."""
+    named = classes.select("f0", "class")
+    prints = through_disk(named.groupBy("f0").agg(F.min("class").alias("id")), "fingerprints")
+    near = simhash_links(prints, 1, RADIUS, range(1, RADIUS + 2))
+    star = named.join(prints, "f0").select(F.col("id").alias("a"), F.col("class").alias("b"))
+    return near.union(star).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct()
+
+
 def _apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     """The ``pairs(a, b)`` of different components."""
     x, y = (labels.select(F.col("id").alias(c), F.col("component").alias(f"of_{c}")) for c in "ab")
@@ -184,7 +206,8 @@ def similar_rows(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_
     """``(doc_id, text_hash, group)`` for each row; ``text_hash`` is the XXH64 of the text, a null one taken as empty."""
     texts = id_and_text(docs, id_col, text_col).withColumn("text_hash", F.xxhash64("text"))
     prints = through_disk(_prints(texts, shingle), "shingle-prints")
-    classes = through_disk(prints.dropDuplicates(["class"]).select("class", "text_hash", "keys"), "shingle-classes")
+    classes = through_disk(prints.dropDuplicates(["class"]).select("class", "text_hash", "f0", "keys"), "shingle-classes")
+    alike = through_disk(_near_fingerprints(classes), "near-fingerprints")
     keyed = classes.select("class", F.explode("keys").alias("key"))
     count = keyed.groupBy("key").agg(F.count("*").alias("n"), F.min("class").alias("pivot")).where("n > 1")
     shared = through_disk(keyed.join(count, "key").select("key", "class", "n", "pivot"), "shared-keys")
@@ -192,10 +215,10 @@ def similar_rows(docs: DataFrame, similarity: float = 0.8, shingle: int = 5, id_
     few = shared.where(F.col("n") <= RUN).groupBy("key").agg(F.collect_list("class").alias("own"))
     pairs = few.select(F.explode("own").alias("a"), "own").select("a", F.explode("own").alias("b")).where("a < b")
     pairs = through_disk(pairs.union(full.select(F.col("pivot").alias("a"), F.col("class").alias("b")).where("a < b")).distinct(), "pairs")
-    suspects = shared.select("class").distinct().join(classes.select("class", "text_hash"), "class")
+    suspects = shared.select("class").union(alike.select("a")).union(alike.select("b")).distinct().join(classes.select("class", "text_hash"), "class")
     bodies = texts.join(suspects, "text_hash").select("class", "text").dropDuplicates(["class"])
     sets = through_disk(_sets(bodies, shingle), "shingle-sets")
-    first = pairs.groupBy("b").agg(F.min("a").alias("a"))
+    first = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b").union(alike).distinct()
     links = through_disk(_verified(first, sets, similarity), "similar")
     labels = components(links)
     apart = through_disk(_apart(pairs.join(first, ["a", "b"], "left_anti"), labels), "apart")

@@ -6,7 +6,8 @@ import pytest
 import xxhash
 
 from forkline.llm.repeats import line_dedup, substring_dedup
-from forkline.llm.simhash import choose, forest, simhash_groups, similar_groups, thresholds
+from forkline.llm.similar import similar_groups
+from forkline.llm.simhash import choose, forest, simhash_groups, thresholds
 
 SPACE = r"[^\x20\x09-\x0D]+"
 

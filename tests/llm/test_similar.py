@@ -2,7 +2,8 @@ import numpy as np
 import pytest
 
 from forkline.llm import similar as sim
-from forkline.llm.simhash import near_duplicate_groups, similar_groups
+from forkline.llm.similar import similar_groups
+from forkline.llm.simhash import near_duplicate_groups
 
 
 def words(n, seed):
@@ -81,3 +82,53 @@ def test_full_keys_and_short_texts_against_brute_force(spark, monkeypatch):
     got = {r["doc_id"]: r["component_id"] for r in similar_groups(rows).collect()}
     assert got.pop(400) == 303 and got == want
     assert similar_groups(rows.limit(0)).count() == 0
+
+
+def components_of(sets, similarity):
+    """Smallest id reached over all pairs of distinct sets that reach the similarity, by a prefix filter that loses none."""
+    from collections import Counter, defaultdict
+
+    often = Counter(x for s in sets.values() for x in s)
+    root = {d: d for d in sets}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    held, links = defaultdict(list), 0
+    for d, s in sets.items():
+        order = sorted(s, key=lambda x: (often[x], x))
+        seen = set()
+        for x in order[: len(order) - int(np.ceil(similarity * len(order))) + 1]:
+            seen.update(held[x])
+            held[x].append(d)
+        for e in seen:
+            t = sets[e]
+            if min(len(s), len(t)) >= similarity * max(len(s), len(t)) and len(s & t) >= similarity * len(s | t):
+                links += 1
+                a, b = sorted((find(d), find(e)))
+                root[b] = a
+    return {d: find(d) for d in sets}, links
+
+
+def test_every_link_of_the_given_table(spark):
+    rows = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
+    sets, first = {}, {}
+    for r in sorted(rows.collect(), key=lambda r: r["doc_id"]):
+        sets[r["doc_id"]] = frozenset(hash(x) for x in shingles("".join(c.lower() if c.isascii() else c for c in r["text"] or "")))
+    for d, s in sets.items():
+        first.setdefault(s, d)
+    label, links = components_of({d: s for s, d in first.items()}, 0.8)
+    assert links > 40 and len(sets) - len(first) > 500
+    want = {d: label[first[s]] for d, s in sets.items()}
+    got = {r["doc_id"]: r["component_id"] for r in similar_groups(rows).collect()}
+    missed = [d for d in want if got[d] != want[d]]
+    assert not missed
+
+
+def test_groups_do_not_depend_on_how_rows_are_dealt(spark):
+    rows = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    runs = [{r["doc_id"]: r["component_id"] for r in similar_groups(x).collect()} for x in (rows, rows.repartition(7, "text"), rows.orderBy("text"))]
+    assert runs[0] == runs[1] == runs[2]
