@@ -41,7 +41,7 @@ def edges(name: str) -> str:
     directed = name == "directed_order_chain"
     both = "SELECT a AS src, b AS dst FROM raw" + ("" if directed else " UNION ALL SELECT b, a FROM raw")
     ends = "SELECT src AS id FROM e" + (" UNION SELECT dst FROM e" if directed else "") + (" UNION SELECT p_partkey * 2 + 1 FROM part" if name == "with_isolated" else "")
-    return f"{_EXTRA.get(name, '')}raw AS ({PAIRS[name]}), e AS (SELECT DISTINCT src::BIGINT AS src, dst::BIGINT AS dst FROM ({both}) WHERE src <> dst), v AS (SELECT DISTINCT id::BIGINT AS id FROM ({ends}))"
+    return f"{_EXTRA.get(name, '')}raw AS ({PAIRS[name]}), e AS MATERIALIZED (SELECT DISTINCT src::BIGINT AS src, dst::BIGINT AS dst FROM ({both}) WHERE src <> dst), v AS (SELECT DISTINCT id::BIGINT AS id FROM ({ends}))"
 
 
 def labels(name: str) -> str:
@@ -58,7 +58,7 @@ def labels(name: str) -> str:
 def history(name: str, order: str = "sync") -> str:
     """``edges``, ``hist(it, id, before, after)`` of every sweep, and ``s(sweeps)``."""
     if order == "sync":
-        return f"{labels(name)}, hist AS (SELECT it, id, old AS before, component AS after FROM lab WHERE it > 0)"
+        return f"{labels(name)}, hist AS MATERIALIZED (SELECT it, id, old AS before, component AS after FROM lab WHERE it > 0)"
     # a step either lets labels climb to larger neighbours or, if none did, begins the next sweep with what larger ones say
     return f"""{edges(name)}, run(step, it, id, prev, cur, climbing, moved) AS (
   SELECT 0, 1, id, id, id, 1::BIGINT, 1::BIGINT FROM v
@@ -95,21 +95,28 @@ def fold(outcomes: str, bits: int, start: str = "0::BIGINT") -> str:
 
 
 def _sites(tables: dict[str, str], first: int, bits: int | str) -> str:
-    """``one(it, site, evaluations, taken, mispredictions)`` from tables ``(it, n, taken, o)`` by site; ``o`` lists outcomes in order.
+    """``one(it, site, evaluations, taken, mispredictions)`` from tables ``(it, k, n, taken, o)`` by site.
 
-    Each iteration is folded from every state by itself, then iterations follow each other.
+    A row is a piece of an iteration's trace, the ``k``-th, whose outcomes ``o`` lists in
+    order. Pieces are folded from every state, and their functions (one wide number each)
+    walked through piece by piece; then iterations follow each other.
     """
     if bits in STATIC:
-        missed = "n - taken" if STATIC[bits] else "taken"
-        return "one AS (" + " UNION ALL ".join(f"SELECT it, '{site}' AS site, n AS evaluations, taken, {missed} AS mispredictions FROM {t}" for site, t in tables.items()) + ")"
+        missed = "sum(n) - sum(taken)" if STATIC[bits] else "sum(taken)"
+        return "one AS (" + " UNION ALL ".join(f"SELECT it, '{site}' AS site, sum(n)::BIGINT AS evaluations, sum(taken)::BIGINT AS taken, ({missed})::BIGINT AS mispredictions FROM {t} GROUP BY it" for site, t in tables.items()) + ")"
     n = 1 << bits
-    told = " UNION ALL ".join(f"SELECT it, '{site}' AS site, n, taken, o FROM {t}" for site, t in tables.items())
-    return f"""told AS ({told}),
-fn AS (SELECT it, site, st, {fold('o', bits, 'st')} AS code FROM told, range({n}) r(st)),
+    wide = 1 << (120 // n)
+    powers = "[" + ", ".join(f"{wide**i}::HUGEINT" for i in range(n)) + "]"
+    told = " UNION ALL ".join(f"SELECT it, '{site}' AS site, k, n, taken, o FROM {t}" for site, t in tables.items())
+    code = f"((f // list_extract({powers}, (a % {n})::INTEGER + 1)) % {wide})"
+    return f"""told AS MATERIALIZED ({told}),
+piece AS (SELECT it, site, k, sum({fold('o', bits, 'st')}::HUGEINT * list_extract({powers}, st::INTEGER + 1)) AS f FROM told, range({n}) r(st) GROUP BY it, site, k),
+pieces AS (SELECT it, site, list(f::HUGEINT ORDER BY k) AS fs FROM piece GROUP BY it, site),
+fn AS MATERIALIZED (SELECT it, site, st, list_reduce(list_prepend(st::HUGEINT, fs), lambda a, f: (a // {n} + {code} // {n}) * {n} + {code} % {n})::BIGINT AS code FROM pieces, range({n}) r(st)),
 walk(site, it, state, missed) AS (
   SELECT DISTINCT site, {first - 1}::BIGINT, 0::BIGINT, 0::BIGINT FROM told
   UNION ALL SELECT f.site, f.it::BIGINT, f.code % {n}, f.code // {n} FROM walk w JOIN fn f ON f.site = w.site AND f.it = w.it + 1 AND f.st = w.state),
-one AS (SELECT t.it, t.site, n AS evaluations, taken, missed AS mispredictions FROM told t JOIN walk w ON w.site = t.site AND w.it = t.it)"""
+one AS (SELECT t.it, t.site, t.n AS evaluations, t.taken, missed AS mispredictions FROM (SELECT it, site, sum(n)::BIGINT AS n, sum(taken)::BIGINT AS taken FROM told GROUP BY it, site) t JOIN walk w ON w.site = t.site AND w.it = t.it)"""
 
 
 def _loops(d: str, bits: int | str) -> str:
@@ -122,14 +129,14 @@ def cc_sites(name: str, bits: int | str = 2, order: str = "sync") -> str:
     """``history`` and ``sites(variant, it, site, evaluations, taken, mispredictions)``."""
     heard = "b.before" if order == "sync" else "CASE WHEN e.dst < e.src THEN b.after ELSE b.before END"
     return f"""{history(name, order)}, its AS (SELECT unnest(range(1, sweeps + 1)) AS it, sweeps FROM s),
-deg AS (SELECT v.id, count(e.src) AS d FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id),
-t_sweep AS (SELECT it, (1 + (it = sweeps)::BIGINT) AS n, 1::BIGINT AS taken, CASE WHEN it = sweeps THEN [1, 0] ELSE [1] END::BIGINT[] AS o FROM its),
-t_vertex AS (SELECT it, (SELECT count(*) FROM v) + 1 AS n, (SELECT count(*) FROM v) AS taken, {_loops('(SELECT count(*) FROM v)', bits)} AS o FROM its),
-t_near AS (SELECT it, n, taken, o FROM its, (SELECT count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY id)) AS o FROM deg)),
+deg AS MATERIALIZED (SELECT v.id, count(e.src) AS d FROM v LEFT JOIN e ON e.src = v.id GROUP BY v.id),
+t_sweep AS (SELECT it, 0::BIGINT AS k, (1 + (it = sweeps)::BIGINT) AS n, 1::BIGINT AS taken, CASE WHEN it = sweeps THEN [1, 0] ELSE [1] END::BIGINT[] AS o FROM its),
+t_vertex AS (SELECT it, 0::BIGINT AS k, (SELECT count(*) FROM v) + 1 AS n, (SELECT count(*) FROM v) AS taken, {_loops('(SELECT count(*) FROM v)', bits)} AS o FROM its),
+t_near AS (SELECT it, k, n, taken, o FROM its, (SELECT k, count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY id)) AS o FROM (SELECT *, row_number() OVER (ORDER BY id) // 64 AS k FROM deg) GROUP BY k)),
 outcome AS (
   SELECT it, src, dst, (heard < least(own, coalesce(min(heard) OVER (PARTITION BY it, src ORDER BY dst ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), own)))::BIGINT AS t
   FROM (SELECT a.it, e.src, e.dst, {heard} AS heard, a.before AS own FROM e JOIN hist a ON a.id = e.src JOIN hist b ON b.id = e.dst AND b.it = a.it)),
-t_test AS (SELECT it, count(*) AS n, sum(t)::BIGINT AS taken, list(t ORDER BY src, dst) AS o FROM outcome GROUP BY it),
+t_test AS (SELECT it, k, count(*) AS n, sum(t)::BIGINT AS taken, list(t ORDER BY src, dst) AS o FROM (SELECT *, row_number() OVER (PARTITION BY it ORDER BY src, dst) // 256 AS k FROM outcome) GROUP BY it, k),
 {_sites({'cc.sweep': 't_sweep', 'cc.vertex': 't_vertex', 'cc.neighbor': 't_near', 'cc.test': 't_test'}, 1, bits)},
 sites AS (SELECT 'conditional' AS variant, * FROM one UNION ALL SELECT 'unconditional', * FROM one WHERE site <> 'cc.test')"""
 
@@ -138,9 +145,10 @@ def bfs_sites(name: str, bits: int | str = 2) -> str:
     """``queue`` and ``sites`` of the search; an iteration is a level."""
     return f"""{queue(name)}, top AS (SELECT max(dist) AS d FROM q),
 deg AS (SELECT q.id, q.dist, q.rank, count(e.src) AS d FROM q LEFT JOIN e ON e.src = q.id GROUP BY q.id, q.dist, q.rank),
-t_queue AS (SELECT dist AS it, count(*) + (dist = any_value(top.d))::BIGINT AS n, count(*) AS taken, CASE WHEN dist = any_value(top.d) THEN list_append(list(1::BIGINT), 0) ELSE list(1::BIGINT) END AS o FROM q, top GROUP BY dist),
-t_near AS (SELECT dist AS it, count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY rank)) AS o FROM deg GROUP BY dist),
-t_test AS (SELECT a.dist AS it, count(*) AS n, sum((b.parent = a.id)::BIGINT)::BIGINT AS taken, list(coalesce((b.parent = a.id)::BIGINT, 0) ORDER BY a.rank, e.dst) AS o FROM e JOIN q a ON a.id = e.src JOIN q b ON b.id = e.dst GROUP BY a.dist),
+t_queue AS (SELECT dist AS it, 0::BIGINT AS k, count(*) + (dist = any_value(top.d))::BIGINT AS n, count(*) AS taken, CASE WHEN dist = any_value(top.d) THEN list_append(list(1::BIGINT), 0) ELSE list(1::BIGINT) END AS o FROM q, top GROUP BY dist),
+t_near AS (SELECT it, k, count(*) + sum(d)::BIGINT AS n, sum(d)::BIGINT AS taken, flatten(list({_loops('d', bits)} ORDER BY rank)) AS o FROM (SELECT *, dist AS it, row_number() OVER (PARTITION BY dist ORDER BY rank) // 64 AS k FROM deg) GROUP BY it, k),
+t_test AS (SELECT it, k, count(*) AS n, sum(t)::BIGINT AS taken, list(t ORDER BY rank, dst) AS o FROM (
+  SELECT a.dist AS it, a.rank, e.dst, coalesce((b.parent = a.id)::BIGINT, 0) AS t, row_number() OVER (PARTITION BY a.dist ORDER BY a.rank, e.dst) // 256 AS k FROM e JOIN q a ON a.id = e.src JOIN q b ON b.id = e.dst) GROUP BY it, k),
 {_sites({'bfs.queue': 't_queue', 'bfs.neighbor': 't_near', 'bfs.test': 't_test'}, 0, bits)},
 sites AS (SELECT 'conditional' AS variant, * FROM one UNION ALL SELECT 'unconditional', * FROM one WHERE site <> 'bfs.test')"""
 
