@@ -3,6 +3,9 @@
 Each stage takes (spark, docs, sf_dir), works on every row it gets and returns a DataFrame,
 which is written as Parquet and read again for the next one. All but the last return the
 columns of ``documents``; the last returns the pieces of packed sequences with their ids.
+
+In every stage rows of equal or null ids are told apart by their text, other columns are
+carried along whatever their names, and an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -17,7 +20,7 @@ ORACLE_SQL = None
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the texts that pass the base rules and are mostly content lines; null texts go."""
+    """Keep the texts that pass the base rules and are mostly content lines; null and empty texts fail the rules and go."""
     from forkline.llm.line_quality import fit, keep_good
 
     field = fit(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
@@ -25,7 +28,10 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Delete runs of lines that occur earlier; a text of which no word is left goes. ``n_chars`` follows the text."""
+    """Delete runs of lines that occur earlier; a text of which no word is left goes. ``n_chars`` follows the text.
+
+    Null and empty texts stay (as empty ones); a null id is later than all others.
+    """
     from forkline.llm.repeats import line_dedup as dedup
 
     others = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
@@ -37,7 +43,11 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of similar texts (0.8 or more over five-word shingles) one row stays: that of smallest id, null last, then of smallest text hash."""
+    """Of each group of similar texts (0.8 or more over five-word shingles) one row stays: that of smallest id, null last, then of smallest text hash.
+
+    SimHash finds the first candidates and MinHash the rest; all are compared by their
+    shingles. Null and empty texts are one group.
+    """
     from forkline.llm.similar import similar_rows
 
     rows = through_disk(similar_rows(docs, similarity=0.8, shingle=5), "groups")
@@ -55,7 +65,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts that hold a window of ten words of a benchmark item go."""
+    """Texts that hold a window of ten words of a benchmark item go; null and empty texts hold none."""
     from forkline.llm.decontaminate import decontaminate
 
     found = decontaminate(docs, table(spark, sf_dir, "benchmark"), width=10)
@@ -63,7 +73,7 @@ def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of sequences of 1024 tokens or a shorter power of two, with their ids."""
+    """Pieces of sequences of 1024 tokens or a shorter power of two, with their ids; a null text is an empty one, which is its end token."""
     from forkline.llm.packing import pack
 
     return pack(docs, "byte_bpe_50k.json", sequence_length=1024, end_id=0).withColumn("ids_crc32", F.crc32("ids"))

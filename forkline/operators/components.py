@@ -33,7 +33,7 @@ from forkline.graph import Graph
 from forkline.sources.tables import Epochs
 
 #: Deltas that are merged into a new full label table at once, unconditional sweeps of one action, and edges of a block.
-COMPACT_EVERY, UNROLL, BLOCK_EDGES = 8, 8, 1_000_000
+COMPACT_EVERY, UNROLL, BLOCK_EDGES = 8, 3, 1_000_000
 
 
 @dataclass(frozen=True)
