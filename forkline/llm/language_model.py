@@ -166,8 +166,8 @@ class WordLayer:
         return z - np.log(np.exp(z).sum(1, keepdims=True))
 
 
-#: Tokens whose scores are computed at once, and blocks of rows that sums travel in.
-SLICE, BLOCKS = 20_000, 8
+#: Tokens whose scores are computed at once, blocks of rows that sums travel in, and sums of a block that one group adds up.
+SLICE, BLOCKS, FAN = 20_000, 8, 256
 
 
 def _short(x: np.ndarray) -> bytes:
@@ -186,6 +186,8 @@ def train_words(learn: DataFrame, classes: np.ndarray, layer: WordLayer, s: Sett
         shared = sc.broadcast((classes, layer))  # of the model's size
 
         def part(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            from pyspark import TaskContext
+
             classes, own = shared.value
             rows, slots = own.weights.shape[1:]
             seen, expected = np.zeros((2, rows * slots)), np.zeros((2, rows * slots))
@@ -203,14 +205,18 @@ def train_words(learn: DataFrame, classes: np.ndarray, layer: WordLayer, s: Sett
                             expected[j] += np.bincount((before[at, j][:, None] * slots + np.arange(slots)).ravel(), weights=model.ravel(), minlength=rows * slots)
             if some:
                 pieces = [np.array_split(x.ravel(), BLOCKS) for x in (seen, expected)]
-                yield pa.RecordBatch.from_arrays([pa.array(range(BLOCKS), pa.int32()), *(pa.array([_short(x) for x in p], pa.binary()) for p in pieces)], names=["block", "seen", "expected"])
+                yield pa.RecordBatch.from_arrays([pa.array(range(BLOCKS), pa.int32()), pa.array([TaskContext.get().partitionId()] * BLOCKS, pa.int32()), *(pa.array([_short(x) for x in p], pa.binary()) for p in pieces)], names=["block", "lane", "seen", "expected"])
 
         def add_up(t: pa.Table) -> pa.Table:
             sums = [sum(_long(x).astype(np.float64) for x in t.column(c).to_pylist()) for c in ("seen", "expected")]
-            return pa.table({"block": pa.array([t.column("block")[0].as_py()], pa.int32()), **{c: pa.array([_short(x)], pa.binary()) for c, x in zip(("seen", "expected"), sums, strict=True)}})
-
-        kinds = "block int, seen binary, expected binary"
-        found = learn.where(F.col("part") == k).select("text").mapInArrow(lean(part), kinds).groupBy("block").applyInArrow(lean(add_up), kinds).collect()  # BLOCKS rows
+            return pa.table({**{c: pa.array([t.column(c)[0].as_py()], pa.int32()) for c in ("block", "lane")}, **{c: pa.array([_short(x)], pa.binary()) for c, x in zip(("seen", "expected"), sums, strict=True)}})
+
+        kinds = "block int, lane int, seen binary, expected binary"
+        texts = learn.where(F.col("part") == k).select("text")
+        sums, lanes = texts.mapInArrow(lean(part), kinds), texts.rdd.getNumPartitions()
+        while lanes > FAN:  # a tree, so that a group stays small however many tasks there are
+            sums, lanes = sums.withColumn("lane", F.floor(F.col("lane") / FAN).cast("int")).groupBy("block", "lane").applyInArrow(lean(add_up), kinds), -(-lanes // FAN)
+        found = sums.groupBy("block").applyInArrow(lean(add_up), kinds).collect()  # BLOCKS rows
         shared.unpersist()
         if not found:
             continue
