@@ -18,7 +18,7 @@ from forkline.plans.workloads import WORKLOADS, build
 from forkline.sources.tables import stored
 
 #: A graph of each kind of the study: sparse matrix, partitioning mesh, collaboration, clustering, and a tree; whole workloads.
-TRACED = ("part_supplier_matrix", "order_mesh", "supplier_co_order", "bulk_order_part", "supplier_geo_tree")
+TRACED = ("part_supplier_matrix", "order_mesh", "supplier_co_order", "bulk_supplier_part", "supplier_geo_tree")
 PROFILES = (Profile("balanced"), Profile("deep-pipeline", per_miss=24.0, wrong_path=3.0), Profile("narrow", per_instruction=2.0, per_miss=8.0, per_store=4.0))
 POLICIES = (SwitchPolicy.at_iteration(2), SwitchPolicy.changed_fraction(0.1), SwitchPolicy.test_miss_rate(0.1), SwitchPolicy.modelled_cost(2.0, 14.0))
 
