@@ -16,7 +16,7 @@ on the bytes, with two exchanges of packed hashes between them:
    occur elsewhere and are indexed (*live* anchors);
 2. chunks send the full windows around live anchors, once each with the earliest place in
    the chunk; a bucket answers with those that have an earlier place in another chunk. This
-   compares the whole window by 106 bits, 53 of each of two independent polynomials over the
+   compares the whole window by 96 bits, 48 of each of two independent polynomials over the
    64-bit hashes of its units, so an anchor in common alone deletes nothing;
 3. chunks mark what their own earlier places and the answers cover. Overlapping windows
    make the maximal extension of a match to both sides.
@@ -50,9 +50,24 @@ NO_ID = (1 << 63) - 1
 
 
 def wide(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """One key of 106 bits of two hashes: whole numbers below 2**53 are exact as parts of a complex number, whose order is that of its parts."""
+    """One key of 96 bits of two hashes: whole numbers below 2**48 are exact as parts of a complex number, whose order is that of its parts."""
     key = np.empty(len(a), np.complex128)
-    key.real, key.imag = a >> np.uint64(11), b >> np.uint64(11)
+    key.real, key.imag = a >> np.uint64(16), b >> np.uint64(16)
+    return key
+
+
+def pack96(key: np.ndarray) -> bytes:
+    """Twelve bytes for each key."""
+    parts = np.stack([key.real, key.imag], axis=1).astype("<u8")
+    return np.ascontiguousarray(parts.view(np.uint8).reshape(-1, 8)[:, :6]).tobytes()
+
+
+def unpack96(blob: bytes) -> np.ndarray:
+    parts = np.zeros((len(blob) // 6, 8), np.uint8)
+    parts[:, :6] = np.frombuffer(blob, np.uint8).reshape(-1, 6)
+    real, imag = parts.reshape(-1).view("<u8").reshape(-1, 2).T
+    key = np.empty(len(real), np.complex128)
+    key.real, key.imag = real, imag
     return key
 
 
@@ -258,13 +273,13 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
         key, spread, doc, pos = key[order], spread[order], doc[order], pos[order]
         rows = [(k, p) for k, p in enumerate(by_bucket(spread, buckets)) if len(p)]
         return pa.table(
-            [pa.array([k for k, _ in rows], pa.int32()), pa.array([t.column("chunk")[0].as_py()] * len(rows), pa.int32()), pa.array([key[p].tobytes() for _, p in rows], pa.binary()), pa.array([zlib.compress(np.concatenate([doc[p], pos[p]]).tobytes(), 1) for _, p in rows], pa.binary())],
+            [pa.array([k for k, _ in rows], pa.int32()), pa.array([t.column("chunk")[0].as_py()] * len(rows), pa.int32()), pa.array([pack96(key[p]) for _, p in rows], pa.binary()), pa.array([zlib.compress(np.concatenate([doc[p], pos[p]]).tobytes(), 1) for _, p in rows], pa.binary())],
             schema=PLACED,
         )
 
     def find_earlier(t: pa.Table) -> pa.Table:
         chunks = t.column("chunk").to_numpy()
-        keys = [np.frombuffer(b, np.complex128) for b in t.column("keys").to_pylist()]
+        keys = [unpack96(b) for b in t.column("keys").to_pylist()]
         places = [np.frombuffer(zlib.decompress(b), np.int64).reshape(2, -1) for b in t.column("places").to_pylist()]
         key, owner = np.concatenate(keys), np.repeat(np.arange(len(keys)), [len(k) for k in keys])
         doc, pos = np.concatenate([p[0] for p in places]), np.concatenate([p[1] for p in places])
@@ -275,7 +290,7 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
         late = order[(doc[lead] < doc[order]) | ((doc[lead] == doc[order]) & (pos[lead] < pos[order]))]
         late = late[np.argsort(owner[late], kind="stable")]
         bucket = t.column("bucket")[0].as_py()
-        rows = [(chunks[owner[p[0]]], key[p].tobytes()) for p in np.split(late, np.flatnonzero(np.diff(owner[late])) + 1) if len(p)]
+        rows = [(chunks[owner[p[0]]], pack96(key[p])) for p in np.split(late, np.flatnonzero(np.diff(owner[late])) + 1) if len(p)]
         return pa.table([pa.array([c for c, _ in rows], pa.int32()), pa.array([bucket] * len(rows), pa.int32()), pa.array([b for _, b in rows], pa.binary())], schema=ANSWER)
 
     def strike(t: pa.Table, answers: pa.Table) -> pa.Table:
@@ -292,7 +307,7 @@ def remove_repeats(docs: DataFrame, units: WordUnits | LineUnits, bytes_per_unit
             new = np.concatenate([[True], s[1:] != s[:-1]])
             lead = order[np.flatnonzero(new)][np.cumsum(new) - 1]
             late[order] = (doc[lead] < doc[order]) | ((doc[lead] == doc[order]) & (pos[lead] < pos[order]))
-        told = np.sort(np.concatenate([np.zeros(0, np.complex128), *(np.frombuffer(b, np.complex128) for b in answers.column("found").to_pylist())]))
+        told = np.sort(np.concatenate([np.zeros(0, np.complex128), *(unpack96(b) for b in answers.column("found").to_pylist())]))
         late |= contained(key, told)
         cover = np.zeros(len(u["h"]) + 1, np.int64)
         np.add.at(cover, first[late], 1)

@@ -214,16 +214,17 @@ def test_a_row_without_id_links_two_others(spark):
     from forkline.llm.simhash import near_duplicate_groups
 
     prints = spark.createDataFrame([(1, 0), (None, 3), (2, 15), (None, 255 << 20), (None, 255 << 20), (7, -1), (None, -2)], "doc_id bigint, f0 bigint")
-    got = sorted((str(r["doc_id"]), r["f0"], r["component_id"]) for r in near_duplicate_groups(prints, 1, 2).collect())
+    got = sorted(((str(r["doc_id"]), r["f0"], r["component_id"]) for r in near_duplicate_groups(prints, 1, 2).collect()), key=str)
     lone = ("None", 255 << 20, None)
     assert got == sorted([("1", 0, 1), ("None", 3, 1), ("2", 15, 1), lone, lone, ("7", -1, 7), ("None", -2, 7)], key=str)
 
 
 def test_window_keys_hold_more_than_sixty_four_bits():
-    from forkline.llm.repeats import wide
+    from forkline.llm.repeats import pack96, unpack96, wide
 
-    a = np.array([5 << 40, 5 << 40, 5 << 40, (5 << 40) + (1 << 11)], np.uint64)
-    b = np.array([1 << 63, (1 << 63) + (1 << 11), 1 << 63, 1 << 63], np.uint64)
+    a = np.array([5 << 40, 5 << 40, 5 << 40, (5 << 40) + (1 << 16)], np.uint64)
+    b = np.array([1 << 63, (1 << 63) + (1 << 16), 1 << 63, 1 << 63], np.uint64)
     key = wide(a, b)
+    assert len(pack96(key)) == 48 and (unpack96(pack96(key)) == key).all() and not len(unpack96(b""))
     assert len(np.unique(key)) == 3 and key[0] == key[2]
     assert np.searchsorted(np.sort(key), key[1]) == 2
