@@ -9,6 +9,6 @@ def test_recursive_query_walks_a_wide_tree(spark):
 
     limit = spark.conf.get("spark.sql.cteRecursionRowLimit")
     g = graph_of(spark.createDataFrame([(i, 1000) for i in range(200)], "a bigint, b bigint"), "wide")
-    labels = {r["id"]: r["component"] for r in sqlapi.components_recursive(g, 2).collect()}
+    labels = {r["id"]: r["component"] for r in sqlapi.components_recursive(g, 4).collect()}
     assert labels == dict.fromkeys([*range(200), 1000], 0)
     assert spark.conf.get("spark.sql.cteRecursionRowLimit") == limit
