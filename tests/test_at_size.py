@@ -64,3 +64,17 @@ def test_queries_read_given_tables(spark):
     assert frame.count() == 10  # a row a supplier
     assert entry.queries()["loop_lemmas"](spark, "/root/testdata/sf0.001").where("violations > 0").count() == 0
     assert "branches" in entry.queries()["profile_inventory"](spark, "/root/testdata/sf0.001").columns
+
+
+def test_inventory_writes_no_graph(spark, fx):
+    """Graphs are counted as plans: nothing is written to the shared folder, and the session's settings stay."""
+    from forkline import graph as gr
+    from forkline.sources import tables
+
+    key = spark.sparkContext.applicationId
+    before, kept = len(tables._made.get(key, [])), spark.conf.get(tables._CLEANUP, None)
+    assert [tuple(r) for r in gr.inventory([fx]).collect()] == [("fx", False, 10, 9)]
+    from forkline.plans import experiments as x
+
+    assert x.x13_inventory(spark, "/root/testdata/sf0.001", ["order_mesh"]).first()["vertices"] == 1500
+    assert len(tables._made.get(key, [])) == before and spark.conf.get(tables._CLEANUP, None) == kept
