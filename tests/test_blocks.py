@@ -64,3 +64,20 @@ def test_in_place_totals_take_one_job_a_graph(spark):
     jobs = len(tracker.getJobIdsForGroup(group))
     spark.sparkContext.setJobGroup("", "")
     assert jobs < 60, jobs
+
+
+def test_a_written_graph_is_made_once(spark):
+    """Both orientations and the vertices come from one reading of the pairs."""
+    from forkline.graph import written
+
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    pairs = spark.createDataFrame([(1, 2), (2, 1), (2, 3), (4, 4)], "a bigint, b bigint").mapInArrow(counted, "a bigint, b bigint")
+    g = written(graph_of(pairs, "pairs", vertices=spark.createDataFrame([(9,)], "id bigint")))
+    assert read.value == 4
+    assert _rows(g.edges) == [(1, 2), (2, 1), (2, 3), (3, 2)] and _rows(g.vertices) == [(1,), (2,), (3,), (9,)]
