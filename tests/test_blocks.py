@@ -81,3 +81,29 @@ def test_a_written_graph_is_made_once(spark):
     g = written(graph_of(pairs, "pairs", vertices=spark.createDataFrame([(9,)], "id bigint")))
     assert read.value == 4
     assert _rows(g.edges) == [(1, 2), (2, 1), (2, 3), (3, 2)] and _rows(g.vertices) == [(1,), (2,), (3,), (9,)]
+
+
+def test_pairs_go_straight_into_blocks(spark, monkeypatch):
+    """Pairs are read once, with nulls, loops, and repeats in both orientations and across arrays; no edges are made of them first."""
+    read = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for b in batches:
+            read.add(b.num_rows)
+            yield b
+
+    rnd = random.Random(8)
+    made = [(rnd.randrange(50), rnd.randrange(50)) for _ in range(120)]
+    pairs = [*made, *((b, a) for a, b in made[:40]), *made[:30], (3, None), (None, 4), (7, 7)]
+    want = {(a, b) for x, y in made if x != y for a, b in ((x, y), (y, x))}
+    for one_block in (10, 4_000_000):
+        monkeypatch.setattr(blocks, "ONE_BLOCK", one_block)
+        monkeypatch.setattr(blocks, "BLOCK_EDGES", 60)
+        monkeypatch.setattr(blocks, "CHUNK_PAIRS", 9)
+        read.value = 0
+        g = graph_of(spark.createDataFrame(pairs, "a bigint, b bigint").mapInArrow(counted, "a bigint, b bigint"), "raw")
+        found = blocks.component_run(g, SPECS)
+        assert (read.value, found.n, found.adjacent) == (len(pairs), len({a for a, _ in want}), len(want))
+        if one_block == 10:
+            first = found
+    assert found == first
