@@ -8,7 +8,7 @@ from forkline.graph import graph_of
 from forkline.operators import blocks, counters
 from forkline.operators.bfs import queue_order
 from forkline.operators.components import components_in_place, components_unconditional
-from forkline.operators.predictor import one_bit, static, two_bit
+from forkline.operators.predictor import identity, loop_function, one_bit, static, two_bit
 
 SPECS = (one_bit(), two_bit(), static(True))
 
@@ -107,3 +107,18 @@ def test_pairs_go_straight_into_blocks(spark, monkeypatch):
         if one_block == 10:
             first = found
     assert found == first
+
+
+def test_search_by_blocks_equals_the_search_in_one_block(spark, monkeypatch):
+    """Queue order across blocks and folders; before, a graph of several blocks was searched by joins only."""
+    from forkline.operators import block_search
+
+    g = _graph(spark, 60, 90, 5)
+    root = 12
+    want = blocks.search_run(g, SPECS, root)
+    monkeypatch.setattr(blocks, "ONE_BLOCK", 10)
+    monkeypatch.setattr(blocks, "BLOCK_EDGES", 40)
+    monkeypatch.setattr(blocks, "CHUNK_PAIRS", 30)
+    monkeypatch.setattr(block_search, "FOLDER_PLACES", 3)
+    assert len(want) > 4 and blocks.search_run(g, SPECS, root) == want
+    assert blocks.search_run(g, SPECS, 5) == [blocks.LevelRun(1, 0, *(blocks._codes([c for s in SPECS for c in f(s)], SPECS) for f in (lambda s: loop_function(0, s), identity)), 0)]
